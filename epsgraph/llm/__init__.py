@@ -4,7 +4,10 @@ from importlib import import_module
 
 _QUERIES = {
     "op3_chat_format": ("chat", "op3_chat_format"),
+    "op4_secret_scan": ("secrets", "op4_secret_scan"),
+    "op5_pack": ("packing", "op5_pack"),
     "op7_exact_topk": ("topk", "op7_exact_topk"),
+    "op10_quality_rules": ("quality", "op10_quality_rules"),
 }
 _SQL = {"op3_chat_format": ("chat", "OP3_SQL"), "op7_exact_topk": ("topk", "OP7_SQL")}
 
