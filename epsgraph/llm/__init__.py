@@ -3,10 +3,14 @@
 from importlib import import_module
 
 _QUERIES = {
+    "op1_ppm_scores": ("ppm", "op1_ppm_scores"),
+    "op2_surrogates": ("surrogates", "op2_surrogates"),
     "op3_chat_format": ("chat", "op3_chat_format"),
     "op4_secret_scan": ("secrets", "op4_secret_scan"),
     "op5_pack": ("packing", "op5_pack"),
+    "op6_language_id": ("langid", "op6_language_id"),
     "op7_exact_topk": ("topk", "op7_exact_topk"),
+    "op9_near_duplicates": ("neardup", "op9_near_duplicates"),
     "op10_quality_rules": ("quality", "op10_quality_rules"),
 }
 _SQL = {"op3_chat_format": ("chat", "OP3_SQL"), "op7_exact_topk": ("topk", "OP7_SQL")}
