@@ -10,6 +10,7 @@ _QUERIES = {
     "op5_pack": ("packing", "op5_pack"),
     "op6_language_id": ("langid", "op6_language_id"),
     "op7_exact_topk": ("topk", "op7_exact_topk"),
+    "op8_mix": ("mixing", "op8_mix"),
     "op9_near_duplicates": ("neardup", "op9_near_duplicates"),
     "op10_quality_rules": ("quality", "op10_quality_rules"),
 }

@@ -1,13 +1,14 @@
 """Language-model scores by prediction by partial matching over bytes.
 
-The pretrained model is a byte-context trie of depth ``ORDER``: symbol counts of every context of 0..ORDER bytes, all orders
-updated at every byte of the training texts. A text is its UTF-8 bytes between start marks and an end mark (bytes that UTF-8
+The pretrained model is a byte-context trie of depth ``ORDER``: symbol counts of contexts of 0..ORDER bytes. A byte counts in
+its longest context and, as long as it is new there, in the next shorter one (update exclusion). A text is its UTF-8 bytes between start marks and an end mark (bytes that UTF-8
 never uses), so its score is a proper probability. In a context with n counts of d symbols a symbol of count c
 has (2c - 1) / 2n and escape d / 2n; after an escape, the symbols of the longer context are excluded; below order 0 the
 bytes not yet excluded are equally likely.
 
-On Spark the trie is a table of (ORDER + 1)-grams. As all orders are updated, symbols seen in a context are seen in its
-suffixes too, so a gram's code length needs only sums over grams that share its last bytes: one task codes all grams
+On Spark the trie is a table of (ORDER + 1)-grams: a shorter gram's count is the number of different grams one byte
+longer that end in it. Symbols seen in a context are seen in its suffixes too, so a gram's code length needs only sums
+over grams that share its last bytes: one task codes all grams
 of one two-byte context, given the order-1 table (at most 65,536 counts). Texts are dealt into batches of bounded bytes;
 each asks for the words it holds, the answers are joined by key and meet the batch again. Code lengths are broadcast while
 they are few (a checked size) and asked for by batch like words beyond it. Each text is read whole.
@@ -46,9 +47,11 @@ class Trie:
         self.at: dict[bytes, dict[int, int]] = {}
 
     def learn(self, context: bytes, symbol: int) -> None:
-        for k in range(ORDER + 1):
+        for k in range(ORDER, -1, -1):
             node = self.at.setdefault(context[ORDER - k :], {})
             node[symbol] = node.get(symbol, 0) + 1
+            if node[symbol] > 1:
+                return
 
     def log10(self, context: bytes, symbol: int) -> float:
         out, excluded = 0.0, set()
@@ -161,24 +164,19 @@ def word_requests(group: pa.Table) -> pa.Table:
 
 def code_lengths(gram: np.ndarray, count: np.ndarray, pairs: np.ndarray) -> np.ndarray:
     """log10 probability of each gram's last byte after the others. ``gram`` holds all grams of one two-byte context that
-    are seen or asked for, ``count`` their training counts, ``pairs`` the counts of (last context byte, symbol)."""
+    are seen or asked for, each once, ``count`` their training counts, ``pairs`` the order-1 counts (context byte, symbol)."""
     symbol, last = gram & 255, int(gram[0] >> 8) & 255
-    zero = pairs.sum(0)
+    zero = (pairs > 0).sum(0)
     levels = []  # from order ORDER down: context's n and d, symbol's c, and the excluded part of the order below
-    c = count
+    u, c, at = gram, count, np.arange(len(gram))
     for k in range(ORDER, 1, -1):
-        g = gram & ((1 << 8 * (k + 1)) - 1)
-        u, at = np.unique(g, return_inverse=True)
-        c_u = np.bincount(at, count, len(u)).astype(np.int64)
         ctx, in_ctx = np.unique(u >> 8, return_inverse=True)
-        n, d = np.bincount(in_ctx, c_u), np.bincount(in_ctx, c_u > 0)
-        if k > 2:
-            low, low_at = np.unique(u & ((1 << 8 * k) - 1), return_inverse=True)
-            below = np.bincount(low_at, c_u, len(low))[low_at]
-        else:
-            below = pairs[last][u & 255]
-        e = np.bincount(in_ctx, np.where(c_u > 0, below, 0))
-        levels.append((n[in_ctx][at], d[in_ctx][at], c_u[at], e[in_ctx][at]))
+        n, d = np.bincount(in_ctx, c), np.bincount(in_ctx, c > 0)
+        low, low_at = np.unique(u & ((1 << 8 * k) - 1), return_inverse=True)
+        c_low = np.bincount(low_at, c > 0, len(low)).astype(np.int64) if k > 2 else pairs[last][low & 255]
+        e = np.bincount(in_ctx, np.where(c > 0, c_low[low_at], 0))
+        levels.append((n[in_ctx][at], d[in_ctx][at], c[at], e[in_ctx][at]))
+        u, c, at = low, c_low, low_at[at]
     one = pairs[last]
     flat = lambda v: np.full(len(gram), v)
     levels.append((flat(one.sum()), flat((one > 0).sum()), one[symbol], flat(zero[one > 0].sum())))
@@ -211,10 +209,11 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 32 << 20, most_gram
     total, kinds = n_words + n_train, n_kinds + (n_train > 0)
 
     counts = rows.select("text", "held_out").mapInArrow(gram_requests, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).persist(StorageLevel.DISK_ONLY)
-    pairs, n_grams = np.zeros((256, 256), np.int64), 0
-    for k, n, some in counts.groupBy(F.col("key").bitwiseAND(F.lit(65535))).agg(F.sum("n"), F.count("*")).collect():
+    n_grams = counts.count()
+    pairs = np.zeros((256, 256), np.int64)
+    three = counts.filter("n > 0").select(F.col("key").bitwiseAND(F.lit((1 << 24) - 1)).alias("key")).distinct()
+    for k, n in three.groupBy(F.col("key").bitwiseAND(F.lit(65535))).count().collect():
         pairs[k >> 8, k & 255] = n
-        n_grams += some
 
     def code(group: pa.Table) -> pa.Table:
         key = group.column("key").to_numpy()
