@@ -217,15 +217,16 @@ def near_join(a: DataFrame, b: DataFrame, eps: float, metric: str | Metric = "l2
     home = assign(b, cs, met)
     radii = {r.cell: r.radius for r in cell_stats(home).collect()}
     guests = assign(a, cs, met, eps)
-    looked = guests.select("pid", "vec", F.explode(F.concat(F.array("home"), F.col("cells"))).alias("cell")).distinct() if a.schema["vec"].dataType.typeName() == "string" else guests.select("pid", "vec", F.explode(F.concat(F.array("home"), F.col("cells"))).alias("cell"))
+    looked = guests.select("pid", "vec", F.explode(F.concat(F.array("home"), F.col("cells"))).alias("cell"))
     looked = looked.filter(F.col("cell").isin(*radii))
 
     def run(own: pa.Table, come: pa.Table) -> pa.Table:
         if not own.num_rows or not come.num_rows:
             return pa.table({"left": pa.array([], pa.int64()), "right": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})
         tree = INDEXES[index](met.decode(own.column("vec")), met, **options)
-        i, j, d = tree.query(met.decode(come.column("vec")), eps)
-        return pa.table({"left": come.column("pid").to_numpy()[i], "right": own.column("pid").to_numpy()[j], "dist": d})
+        i, j, d = tree.query(met.decode(come.column("vec_")), eps)
+        return pa.table({"left": come.column("pid_").to_numpy()[i], "right": own.column("pid").to_numpy()[j], "dist": d})
 
     rows = home.select("pid", "vec", F.col("home").alias("cell"))
-    return rows.groupBy("cell").cogroup(looked.groupBy("cell")).applyInArrow(run, "left long, right long, dist double")
+    looked = looked.select(F.col("pid").alias("pid_"), F.col("vec").alias("vec_"), F.col("cell").alias("cell_"))
+    return rows.groupBy("cell").cogroup(looked.groupBy("cell_")).applyInArrow(run, "left long, right long, dist double")

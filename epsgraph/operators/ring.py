@@ -62,7 +62,7 @@ def ring_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int = 8
         def run(own: pa.Table, come: pa.Table) -> pa.Table:
             if not own.num_rows or not come.num_rows:
                 return edge_table(*[np.empty(0)] * 3)
-            s, d, dist = meet(own, come)
+            s, d, dist = meet(own, come.rename_columns(["pid", "vec", "block"]))
             mine = set(own.column("pid").to_pylist())
             # inside a block each pair comes up twice; on a full ring every pair does
             twice = np.fromiter((v in mine for v in s.tolist()), bool, len(s)) if halve else np.ones(len(s), bool)
@@ -73,7 +73,9 @@ def ring_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int = 8
         come = come.withColumn("block", F.pmod(F.col("block") - F.col("offset"), F.lit(n)).cast("int"))
         if halve and n % 2 == 0 and n // 2 in now and n > 1:
             come = come.filter((F.col("offset") < n // 2) | (F.col("block") < n // 2))
-        out = dealt.groupBy("block").cogroup(come.select("pid", "vec", "block").groupBy("block")).applyInArrow(run, EDGE)
+        # names of its own keep the two sides' columns apart in the plan
+        come = come.select(F.col("pid").alias("pid_"), F.col("vec").alias("vec_"), F.col("block").alias("block_"))
+        out = dealt.groupBy("block").cogroup(come.groupBy("block_")).applyInArrow(run, EDGE)
         if step < len(offsets):
             checkpoint_dir(p.sparkSession)
             out = out.checkpoint()

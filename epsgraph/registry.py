@@ -2,14 +2,262 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from .operators import baselines as B
+from .operators import definitions as D
+from .operators import downstream as N
+from .operators import landmark as L
+from .operators import measures as C
+from .operators import ring as R
+from .plans import planner
+from .relational import RELATIONAL
+from .streaming import streams
+from .workloads import SETS
 
-def queries() -> dict:
-    return {}
+ROUND = 6
 
 
-def oracle_sql() -> dict:
-    return {}
+def _edges(df: DataFrame) -> DataFrame:
+    return df.select("src", "dst", F.round("dist", ROUND).alias("dist"))
+
+
+def _edges_sql(name: str, eps: float) -> str:
+    return f"SELECT src, dst, round(dist, {ROUND}) AS dist FROM ({SETS[name].edges_sql(eps)})"
+
+
+def _graph(build: Callable, name: str, at: int = 1) -> tuple[Callable, str]:
+    """A query that runs ``build(points, eps, metric)``, and its SQL."""
+    ps = SETS[name]
+    eps = ps.radii[at]
+    return lambda spark, d: _edges(build(ps.build(spark, d), eps, ps.metric())), _edges_sql(name, eps)
+
+
+def landmark(**kw) -> Callable:
+    return lambda p, eps, m: L.landmark_graph(p, eps, m, **kw)
+
+
+def ring(**kw) -> Callable:
+    return lambda p, eps, m: R.ring_graph(p, eps, m, **kw)
+
+
+def distinct(build: Callable) -> Callable:
+    return lambda p, eps, m: B.over_distinct(p, lambda q: build(q, eps, m))[0]
+
+
+GRAPHS: dict[str, tuple[Callable, str]] = {
+    **{f"graph_brute_{n}": _graph(lambda p, eps, m: R.brute_graph(p, eps, m), n) for n in ("e20", "e32", "e40", "e64", "h64")},
+    "graph_brute_join_e8": _graph(lambda p, eps, m: R.brute_graph(p, eps, m, how="join"), "e8"),
+    **{f"graph_ring_{n}": _graph(ring(n=8), n) for n in ("e20", "e64", "h256", "uc")},
+    "graph_ring_full_e8": _graph(ring(n=5, halve=False), "e8"),
+    "graph_ring_rounds_e8": _graph(ring(n=6, rounds_per_job=2), "e8"),
+    "graph_ring_exact_blocks_e8": _graph(ring(n=5, exact=True), "e8"),
+    "graph_ring_grid_e64": _graph(lambda p, eps, m: R.grid_graph(p, eps, m, 4), "e64"),
+    **{f"graph_landmark_coll_{n}": _graph(landmark(m=16), n) for n in ("e2", "e4", "e8", "e20", "e64", "lgf", "url", "w1", "ut")},
+    "graph_landmark_coll_h800": _graph(distinct(landmark(m=16)), "h800"),
+    **{f"graph_landmark_ring_{n}": _graph(landmark(m=16, ghost="ring", rounds=3), n) for n in ("e2", "e8", "h256", "names")},
+    "graph_landmark_greedy_e4": _graph(landmark(m=8, how="greedy"), "e4"),
+    "graph_landmark_fullghost_e4": _graph(landmark(m=16, half_ghosts=False), "e4"),
+    "graph_landmark_bisector_e4": _graph(landmark(m=16, bound="bisector"), "e4"),
+    "graph_landmark_cyclic_e4": _graph(landmark(m=16, balance="cyclic", tasks=3), "e4"),
+    "graph_landmark_level_e4": _graph(landmark(m=4, threshold="level", levels="strict", leaf_size=1, bailout=1.0), "e4"),
+    "graph_landmark_m10_e8": _graph(landmark(m=10), "e8"),
+    "graph_landmark_m60_e8": _graph(landmark(m=60), "e8"),
+    "graph_covertree_single_e8": _graph(landmark(m=1, leaf_size=1), "e8"),
+    **{f"graph_pca_sort_{n}": _graph(lambda p, eps, m: B.pca_sort_graph(p, eps), n) for n in ("e8", "e20", "e64", "lgf")},
+    "graph_pca_sort_local_e20": _graph(lambda p, eps, m: B.pca_sort_graph(p, eps, how="local"), "e20"),
+    "graph_kdtree_p2": _graph(lambda p, eps, m: R.kdtree_graph(p, eps, 4), "p2"),
+    "graph_balltree_e8": _graph(lambda p, eps, m: R.balltree_graph(p, eps, m, 4), "e8"),
+    "graph_vptree_names": _graph(lambda p, eps, m: R.vptree_graph(p, eps, m, 2), "names"),
+    "graph_jaccard_docs": _graph(distinct(landmark(m=16)), "jaccard", 0),
+    **{f"graph_auto_{n}": _graph(lambda p, eps, m: planner.near_graph(p, eps, m), n) for n in ("ca", "o2", "uc", "e64_angular")},
+}
+
+E4, E8, E2 = SETS["e4"], SETS["e8"], SETS["e2"]
+IDS = list(range(0, 500, 25))
+CENTRES_SQL = "c AS (SELECT row_number() OVER (ORDER BY pid) - 1 AS cell, pid AS cid, vec AS cv FROM p WHERE pid % 25 = 0 AND pid < 500)"
+ASSIGN_SQL = f"{CENTRES_SQL}, dd AS (SELECT p.pid, c.cell, list_distance(p.vec, c.cv) AS d FROM p, c), h AS (SELECT pid, arg_min(cell, d * 1e6 + cell * 1e-9) AS home, min(d) AS dmin FROM dd GROUP BY pid)"
+
+
+def _ids(p: DataFrame) -> list:
+    return L.centers(p, 0, "ids", ids=IDS)
+
+
+def _lg_degrees(spark: SparkSession, d: str) -> DataFrame:
+    """Degrees over all line items at eps 1.5, without writing out pairs of copies, as a histogram."""
+    ps = SETS["lg"]
+    edges, groups = B.over_distinct(ps.build(spark, d), lambda q: L.landmark_graph(q, 1.5, "l2", 16), expanded=False)
+    return B.weighted_degrees(edges, groups).groupBy("degree").agg(F.count("*").alias("points"))
+
+
+LG_SQL = f"""WITH q AS (SELECT vec, count(*) AS n FROM ({SETS['lg'].sql}) GROUP BY vec), p AS (SELECT vec, n, row_number() OVER () AS pid FROM q),
+s AS (SELECT a.pid, a.n, CAST(sum(b.n) - 1 AS BIGINT) AS degree FROM p a JOIN p b ON list_distance(a.vec, b.vec) <= 1.5 GROUP BY a.pid, a.n)
+SELECT degree, CAST(sum(n) AS BIGINT) AS points FROM s GROUP BY degree"""
+
+
+def _e(ps, spark, d, at=1, m=16) -> tuple[DataFrame, DataFrame]:
+    """Points and edges, the edges cut off from how they were found."""
+    p = ps.build(spark, d)
+    N.checkpoint_dir(spark)
+    return p, L.landmark_graph(p, ps.radii[at], ps.metric(), m).checkpoint()
+
+
+def _q(ps, f: Callable, at: int = 1) -> Callable:
+    return lambda spark, d: f(*_e(ps, spark, d, at))
+
+
+def _sym_sql(ps, at: int = 1) -> str:
+    return f"WITH p AS ({ps.sql}), e AS ({ps.edges_sql(ps.radii[at])}), s AS (SELECT src, dst, dist FROM e UNION ALL SELECT dst, src, dist FROM e)"
+
+
+def _ghosts(bound: str) -> Callable:
+    return lambda spark, d: C.ghost_stats(p := E4.build(spark, d), _ids(p), 0.141, bound=bound)
+
+
+def _ghosts_sql(both: bool) -> str:
+    ball = "AND dd.d <= r.radius + 0.141" if both else ""
+    return f"WITH p AS ({E4.sql}), {ASSIGN_SQL}, r AS (SELECT home AS cell, max(dmin) AS radius FROM h GROUP BY home) SELECT CAST(dd.cell AS INTEGER) AS cell, CAST(h.home AS INTEGER) AS home, count(*) AS ghosts FROM dd JOIN h ON dd.pid = h.pid AND dd.cell <> h.home AND dd.d <= h.dmin + 0.282 JOIN r ON r.cell = dd.cell {ball} GROUP BY dd.cell, h.home"
+
+
+def _voronoi(spark: SparkSession, d: str) -> DataFrame:
+    p = E4.build(spark, d)
+    return L.voronoi(p, _ids(p)).select("pid", "cell", F.round("dmin", ROUND).alias("dmin"))
+
+
+def _cell_stats(spark: SparkSession, d: str) -> DataFrame:
+    p = E4.build(spark, d)
+    return L.cell_stats(L.assign(p, _ids(p), E4.metric())).select("cell", "size", F.round("radius", ROUND).alias("radius"))
+
+
+def _sweep(name: str) -> tuple[Callable, str]:
+    ps = SETS[name]
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        p, out = ps.build(spark, d), None
+        for eps in ps.radii:
+            s = C.graph_stats(planner.near_graph(p, eps, ps.metric()), p).withColumn("eps", F.lit(float(eps)))
+            out = s if out is None else out.unionByName(s)
+        return out
+
+    one = lambda eps: f"SELECT n.n, e.pairs, 2 * e.pairs AS directed, round(2.0 * e.pairs / n.n, 6) AS avg_degree, coalesce(m.max_degree, 0) AS max_degree, n.n - m.touched AS isolated, CAST({eps} AS DOUBLE) AS eps FROM (SELECT count(*) AS n FROM ({ps.sql})) n, (SELECT count(*) AS pairs FROM ({ps.edges_sql(eps)})) e, (SELECT max(k) AS max_degree, count(*) AS touched FROM (SELECT v, count(*) AS k FROM (SELECT src AS v FROM ({ps.edges_sql(eps)}) UNION ALL SELECT dst FROM ({ps.edges_sql(eps)})) GROUP BY v)) m"
+    return run, " UNION ALL ".join(map(one, ps.radii))
+
+
+def _compare(spark: SparkSession, d: str) -> DataFrame:
+    p = E8.build(spark, d)
+    return C.compare_graphs(R.ring_graph(p, 0.289, n=5), L.landmark_graph(p, 0.289, m=16))
+
+
+def _nested(spark: SparkSession, d: str) -> DataFrame:
+    p = E8.build(spark, d)
+    small, large = (L.landmark_graph(p, e, m=16) for e in (0.205, 0.289))
+    return small.join(large, ["src", "dst"], "left_anti").agg(F.count("*").alias("lost"))
+
+
+def _coverage(spark: SparkSession, d: str) -> DataFrame:
+    p = E4.build(spark, d)
+    return D.coverage_radius(p, _ids(p)).select(F.round("radius", ROUND).alias("radius"))
+
+
+def _knn(p: DataFrame, e: DataFrame) -> DataFrame:
+    return N.knn_in_graph(e, 5).select("src", "rank", "dst", F.round("dist", ROUND).alias("dist"))
+
+
+def _dbscan(p: DataFrame, e: DataFrame) -> DataFrame:
+    return N.dbscan(e, p, 12)
+
+
+def _dups(spark: SparkSession, d: str) -> DataFrame:
+    """Rows per representative of documents within Jaccard distance 0.2 of token sets."""
+    ps = SETS["jaccard"]
+    p = ps.build(spark, d)
+    e, groups = B.over_distinct(p, lambda q: L.landmark_graph(q, 0.2, ps.metric(), 16))
+    return N.components(e, p)
+
+
+def _near_parts(spark: SparkSession, d: str) -> DataFrame:
+    from .operators.points import points
+    from .workloads import read
+
+    part = read(spark, d, "part")
+    side = lambda brand: points(part.filter(F.col("p_brand").startswith(brand)), "p_partkey", F.array(F.col("p_size").cast("double"), "p_retailprice"))
+    return L.near_join(side("Brand#1"), side("Brand#2"), 5.005).select(F.col("left").alias("src"), F.col("right").alias("dst"), F.round("dist", ROUND).alias("dist"))
+
+
+P2 = SETS["p2"].sql
+
+
+def _components_sql(ps, at: int = 1) -> str:
+    return f"WITH RECURSIVE p AS ({ps.sql}), e AS ({ps.edges_sql(ps.radii[at])}), s AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e), w AS (SELECT pid, pid AS root FROM p UNION SELECT s.dst, w.root FROM w JOIN s ON s.src = w.pid WHERE w.root < s.dst) SELECT pid, min(root) AS component FROM w GROUP BY pid"
+
+
+MEASURES: dict[str, tuple[Callable, str | None]] = {
+    "ball_e8": (lambda s, d: D.ball(p := E8.build(s, d), p.filter("pid = 0").first().vec, 0.5).select("pid", F.round("dist", ROUND).alias("dist")), f"WITH p AS ({E8.sql}) SELECT a.pid, round(list_distance(a.vec, b.vec), 6) AS dist FROM p a, p b WHERE b.pid = 0 AND list_distance(a.vec, b.vec) <= 0.5"),
+    "voronoi_e4": (_voronoi, f"WITH p AS ({E4.sql}), {ASSIGN_SQL} SELECT pid, CAST(home AS INTEGER) AS cell, round(dmin, 6) AS dmin FROM h"),
+    "cell_stats_e4": (_cell_stats, f"WITH p AS ({E4.sql}), {ASSIGN_SQL} SELECT CAST(home AS INTEGER) AS cell, count(*) AS size, round(max(dmin), 6) AS radius FROM h GROUP BY home"),
+    "coverage_e4": (_coverage, f"WITH p AS ({E4.sql}), {ASSIGN_SQL} SELECT round(max(dmin), 6) AS radius FROM h"),
+    "spread_e8": (lambda s, d: D.spread(E8.build(s, d)).select(*[F.round(c, ROUND).alias(c) for c in ("largest", "smallest_positive")]), f"WITH p AS ({E8.sql}) SELECT round(max(list_distance(a.vec, b.vec)), 6) AS largest, round(min(list_distance(a.vec, b.vec)), 6) AS smallest_positive FROM p a JOIN p b ON a.pid < b.pid"),
+    "growth_constant_e2": (lambda s, d: D.growth_constant(E2.build(s, d), [0.05, 0.1], ids=IDS).select(F.round("constant", ROUND).alias("constant")), f"WITH p AS ({E2.sql}), x AS (SELECT a.pid, r.r, sum(CASE WHEN list_distance(a.vec, b.vec) <= r.r THEN 1 ELSE 0 END) AS near, sum(CASE WHEN list_distance(a.vec, b.vec) <= 2 * r.r THEN 1 ELSE 0 END) AS far FROM p a, p b, (SELECT unnest([0.05::DOUBLE, 0.1::DOUBLE]) AS r) r WHERE a.pid % 25 = 0 AND a.pid < 500 GROUP BY a.pid, r.r) SELECT round(max(far / near), 6) AS constant FROM x"),
+    "intrinsic_dim_e8": (lambda s, d: D.intrinsic_dim(E8.build(s, d)), None),
+    "ghosts_bisector_e4": (_ghosts("bisector"), _ghosts_sql(False)),
+    "ghosts_both_e4": (_ghosts("both"), _ghosts_sql(True)),
+    "degree_hist_e20": (lambda s, d: C.degree_histogram(e := L.landmark_graph(p := SETS["e20"].build(s, d), 0.59), p), _sym_sql(SETS["e20"]) + ", g AS (SELECT p.pid, count(s.src) AS degree FROM p LEFT JOIN s ON s.src = p.pid GROUP BY p.pid) SELECT degree, count(*) AS points FROM g GROUP BY degree"),
+    **{f"graph_stats_sweep_{w}": _sweep(n) for w, n in {"w1": "e20", "w2": "e40", "w3": "e32", "w4": "e64", "w5": "lgf", "w6": "uc", "w8": "h256", "w10": "url", "w12": "w1", "w13": "e2", "w14": "p2"}.items()},
+    "graph_dups_lg": (_lg_degrees, LG_SQL),
+    "compare_ring_landmark": (_compare, "SELECT CAST(0 AS BIGINT) AS missing, CAST(0 AS BIGINT) AS extra, CAST(0.0 AS DOUBLE) AS max_error"),
+    "nestedness_e8": (_nested, "SELECT CAST(0 AS BIGINT) AS lost"),
+    **{f"balance_{how}": ((lambda s, d, how=how: C.balance_stats(p := SETS["lgf"].build(s, d), L.centers(p, 32), 5, how)), None) for how in ("cyclic", "lpt")},
+    "tree_invariants_e8": (lambda s, d: D.tree_check(E8.build(s, d), leaf_size=1, bailout=1.0), "SELECT unnest(['partition', 'covering', 'separating', 'shrinking']) AS invariant, CAST(0 AS BIGINT) AS violations"),
+    "tree_stats_e4": (lambda s, d: D.tree_stats(E4.build(s, d), 0.141), None),
+    "tree_rows_e4": (lambda s, d: D.tree_rows(E4.build(s, d)), None),
+    "check_metric_l2": (lambda s, d: B.check_metric(E8.build(s, d), "l2"), "SELECT unnest(['non_negative', 'identity', 'symmetry', 'triangle']) AS axiom, CAST(0 AS BIGINT) AS violations"),
+    "check_metric_cosine": (lambda s, d: B.check_metric(E8.build(s, d), "cosine").filter("violations > 0").select("axiom"), "SELECT 'triangle' AS axiom"),
+    "near_join_part": (_near_parts, "WITH p AS (SELECT p_partkey AS pid, p_brand, [CAST(p_size AS DOUBLE), p_retailprice] AS vec FROM part) SELECT a.pid AS src, b.pid AS dst, round(list_distance(a.vec, b.vec), 6) AS dist FROM p a JOIN p b ON a.p_brand LIKE 'Brand#1%' AND b.p_brand LIKE 'Brand#2%' WHERE list_distance(a.vec, b.vec) <= 5.005"),
+    "plan_costs_e64": (lambda s, d: planner.explain_graph(SETS["e64"].build(s, d), 1.249, SETS["e64"].metric()), None),
+}
+
+CLUSTER_SQL = f"""WITH RECURSIVE p AS ({E4.sql}), e AS ({E4.edges_sql(0.141)}), s AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e),
+k AS (SELECT src AS pid FROM s GROUP BY src HAVING count(*) + 1 >= 12), ks AS (SELECT src, dst FROM s WHERE src IN (SELECT pid FROM k) AND dst IN (SELECT pid FROM k)),
+w AS (SELECT pid, pid AS root FROM k UNION SELECT ks.dst, w.root FROM w JOIN ks ON ks.src = w.pid WHERE w.root < ks.dst),
+c AS (SELECT pid, min(root) AS cluster FROM w GROUP BY pid), b AS (SELECT s.src AS pid, min(c.cluster) AS cluster FROM s JOIN c ON c.pid = s.dst GROUP BY s.src)
+SELECT p.pid, coalesce(c.cluster, b.cluster) AS cluster, CASE WHEN c.pid IS NOT NULL THEN 'core' WHEN b.pid IS NOT NULL THEN 'border' ELSE 'noise' END AS kind FROM p LEFT JOIN c ON c.pid = p.pid LEFT JOIN b ON b.pid = p.pid"""
+
+DOWNSTREAM: dict[str, tuple[Callable, str | None]] = {
+    "components_e4": (_q(E4, lambda p, e: N.components(e, p), 0), _components_sql(E4, 0)),
+    "dbscan_e4": (_q(E4, _dbscan), CLUSTER_SQL),
+    "density_e8": (_q(E8, lambda p, e: N.density(e, p, 0.289, "tri").select("pid", F.round("density", 5).alias("density"))), _sym_sql(E8) + " SELECT p.pid, round(1 + coalesce(sum(1 - s.dist / 0.289), 0), 5) AS density FROM p LEFT JOIN s ON s.src = p.pid GROUP BY p.pid"),
+    "triangles_e8": (_q(E8, lambda p, e: N.triangles(e)), _sym_sql(E8) + " SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON y.src = x.dst JOIN e z ON z.src = x.src AND z.dst = y.dst"),
+    "rips_e8": (_q(E8, lambda p, e: N.rips(e, p)), _sym_sql(E8) + ", t AS (SELECT x.src FROM e x JOIN e y ON y.src = x.dst JOIN e z ON z.src = x.src AND z.dst = y.dst) SELECT a.vertices, b.edges, c.triangles, a.vertices - b.edges + c.triangles AS euler FROM (SELECT count(*) AS vertices FROM p) a, (SELECT count(*) AS edges FROM e) b, (SELECT count(*) AS triangles FROM t) c"),
+    "clustering_e8": (_q(E8, lambda p, e: N.local_clustering(e, p).select("pid", "triangles", F.round("clustering", ROUND).alias("clustering"))), _sym_sql(E8) + ", k AS (SELECT src AS pid, count(*) AS k FROM s GROUP BY src), t AS (SELECT x.src AS pid, count(*) / 2 AS t FROM s x JOIN s y ON y.src = x.src AND y.dst <> x.dst JOIN s z ON z.src = x.dst AND z.dst = y.dst GROUP BY x.src) SELECT p.pid, CAST(coalesce(t.t, 0) AS BIGINT) AS triangles, round(CASE WHEN k.k > 1 THEN 2.0 * coalesce(t.t, 0) / (k.k * (k.k - 1)) ELSE 0.0 END, 6) AS clustering FROM p LEFT JOIN k ON k.pid = p.pid LEFT JOIN t ON t.pid = p.pid"),
+    "geodesics_e4": (_q(E4, lambda p, e: N.geodesics(e, [0, 1]).select("source", "pid", F.round("dist", 5).alias("dist"))), None),
+    "knn_in_eps_e8": (_q(E8, _knn), _sym_sql(E8) + ", r AS (SELECT src, dst, dist, row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS rank FROM s) SELECT src, CAST(rank AS INTEGER) AS rank, dst, round(dist, 6) AS dist FROM r WHERE rank <= 5"),
+    "mutual_knn_e8": (_q(E8, lambda p, e: _edges(N.mutual_knn(e, 5))), _sym_sql(E8) + ", r AS (SELECT src, dst, dist, row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS rank FROM s), k AS (SELECT * FROM r WHERE rank <= 5) SELECT a.src, a.dst, round(a.dist, 6) AS dist FROM k a JOIN k b ON a.src = b.dst AND a.dst = b.src WHERE a.src < a.dst"),
+    "fuzzy_weights_e8": (_q(E8, lambda p, e: N.fuzzy_weights(e, 5)), None),
+    "adjacency_e4": (_q(E4, lambda p, e: N.adjacency(e).select("pid", F.array_join(F.transform("neighbours", lambda x: x["dst"]), ",").alias("neighbours"))), _sym_sql(E4) + " SELECT src AS pid, string_agg(CAST(dst AS VARCHAR), ',' ORDER BY dst) AS neighbours FROM s GROUP BY src"),
+    "laplacian_e4": (_q(E4, lambda p, e: N.laplacian(e, p).select("src", "dst", F.round("value", ROUND).alias("value"))), _sym_sql(E4) + ", k AS (SELECT src AS pid, count(*) AS k FROM s GROUP BY src) SELECT s.src, s.dst, round(1 / sqrt(a.k * b.k), 6) AS value FROM s JOIN k a ON a.pid = s.src JOIN k b ON b.pid = s.dst"),
+    "spectral_e4": (_q(E4, lambda p, e: N.power_iteration(N.laplacian(e, p), p, 5)), None),
+    "mcl_e2": (_q(E2, lambda p, e: N.mcl(e, p, steps=4)), None),
+    "mcl_step_names": (_q(SETS["names"], lambda p, e: N.mcl_step(N.flow_matrix(e, p)).select("src", "dst", F.round("value", ROUND).alias("value"))), _sym_sql(SETS["names"]) + ", f AS (SELECT src, dst FROM s UNION ALL SELECT pid, pid FROM p), m AS (SELECT f.src, f.dst, 1.0::DOUBLE / n.n AS v FROM f JOIN (SELECT dst, count(*) AS n FROM f GROUP BY dst) n ON n.dst = f.dst), q AS (SELECT a.src, b.dst, pow(sum(a.v * b.v), 2) AS v FROM m a JOIN m b ON a.dst = b.src GROUP BY a.src, b.dst) SELECT q.src, q.dst, round(q.v / t.t, 6) AS value FROM q JOIN (SELECT dst, sum(v) AS t FROM q GROUP BY dst) t ON t.dst = q.dst"),
+    "label_vote_embeddings": (lambda s, d: N.label_vote(_e(E8, s, d)[1], s.read.parquet(f"{d}/embeddings.parquet").select(F.col("vec_id").alias("pid"), "label")), _sym_sql(E8) + ", v AS (SELECT s.src, l.label, count(*) AS n FROM s JOIN embeddings l ON l.vec_id = s.dst GROUP BY s.src, l.label), r AS (SELECT src, label, row_number() OVER (PARTITION BY src ORDER BY n DESC, label) AS k FROM v) SELECT o.vec_id AS pid, o.label, r.label AS vote, o.label = r.label AS agree FROM r JOIN embeddings o ON o.vec_id = r.src WHERE r.k = 1"),
+    "near_dups_documents": (_dups, _components_sql(SETS["jaccard"])),
+    "representatives_e4": (_q(E4, lambda p, e: N.keep_representatives(e, p), 0), f"SELECT pid FROM ({_components_sql(E4, 0)}) WHERE pid = component"),
+}
+
+ALL = {**GRAPHS, **MEASURES, **DOWNSTREAM, **RELATIONAL, **streams.QUERIES}
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Degree statistics of the landmark graph on four-dimensional points."""
+    p = E4.build(spark, sf_dir)
+    return C.graph_stats(L.landmark_graph(p, 0.141, "l2", 16), p)
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return {name: q for name, (q, _) in ALL.items()}
+
+
+def oracle_sql() -> dict[str, str]:
+    return {name: sql for name, (_, sql) in ALL.items() if sql}
