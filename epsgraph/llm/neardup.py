@@ -36,6 +36,8 @@ from ..operators.components import checkpoint_dir, connected_components
 from .common import chunks, table
 
 CHUNK = 5
+#: Bits of the bitmap of wanted ids: at most 131,072 rows of 64.
+BITS = 1 << 23
 #: Odd 64-bit multipliers come from this rule, so no table is needed.
 GOLDEN = 0x9E3779B97F4A7C15
 MASK = (1 << 64) - 1
@@ -176,7 +178,11 @@ def fetch_sets(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
                 rows = [(c, s.tobytes()) for c, s in zip(ids[lo:hi], shingler.sets(texts[lo:hi])) if len(s) and class_id(s) == c]
                 yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary())], ["cid", "set"])
 
-    d = docs.select(F.col("doc_id").cast("long").alias("d"), "text")
+    # a bitmap of the wanted ids' hashes (a bounded table) thins the texts out before they are shuffled
+    spot = lambda c: F.pmod(F.xxhash64(c), F.lit(BITS))
+    words64 = wanted.select(spot(F.col("doc_id")).alias("at")).groupBy(F.shiftright("at", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(at & 63 as int))")).alias("bits"))
+    d = docs.select(F.col("doc_id").cast("long").alias("d"), "text").withColumn("at", spot(F.col("d")))
+    d = d.join(F.broadcast(words64), F.shiftright("at", 6) == F.col("word")).filter(F.expr("getbit(bits, cast(at & 63 as int)) = 1")).select("d", "text")
     return wanted.join(d, F.col("d").eqNullSafe(F.col("doc_id"))).select("cid", "text").mapInArrow(run, "cid long, set binary").dropDuplicates(["cid"])
 
 
