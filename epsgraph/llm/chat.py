@@ -41,6 +41,7 @@ def format_chats(conversations: DataFrame, loss_role: str = LOSS_ROLE) -> DataFr
     turns = conversations.select(
         "conv_id",
         F.struct(
+            F.col("turn").isNull().alias("late"),  # structs sort nulls first
             F.col("turn").alias("turn"),
             F.url_encode(F.coalesce(F.col("role"), F.lit(""))).alias("role"),
             F.coalesce(F.col("text"), F.lit("")).alias("text"),
