@@ -2,7 +2,7 @@
 
 A source's weight is its token share to a power between 0 (uniform) and 1 (as found), normalised. The power is found by
 bisection, inside one SQL expression over the array of sources: the largest that reaches a target entropy (as a part of the
-logarithm of the number of sources), or the smallest that keeps every source's repetition within a limit.
+logarithm of the number of sources), or the smallest that keeps every source's repetition within a limit (a budget that exceeds the limit for all is cut to it).
 
 Weights become token budgets and budgets whole epochs and a rest. A source's documents are dealt into blocks by
 hash, about ``block_tokens`` tokens each and at most 65,536 a source, and every epoch permutes the blocks by a keyed hash. The
@@ -77,7 +77,7 @@ def weights(sizes: DataFrame, budget: int | None, target_entropy: float | None,
     whole = whole.withColumn("exponent", ends).withColumn("z", _sums(shares, F.col("exponent"))["z"])
     return whole.select("exponent", "z", "total", F.col("budget").alias("all"), F.inline("ss")).select(
         "src", "tokens", "exponent", (F.pow(F.col("tokens") / F.col("total"), F.col("exponent")) / F.col("z")).alias("weight"), (F.pow(F.col("tokens") / F.col("total"), F.col("exponent")) / F.col("z") * F.col("all")).alias("budget")
-    )
+    ).withColumn("budget", F.col("budget") if max_repeats is None else F.least("budget", max_repeats * F.col("tokens")))
 
 
 def mix(docs: DataFrame, budget: int | None = None, target_entropy: float | None = None, max_repeats: float | None = None, block_tokens: int = 100_000, seed: int = 7, tokens: Column | None = None) -> DataFrame:
