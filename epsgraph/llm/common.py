@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,17 +12,6 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
-def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder that the session names; one is set only where none is (local runs)."""
-    sc = spark.sparkContext
-    found = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
-    if not found:
-        found = os.path.join(tempfile.gettempdir(), f"epsgraph-{uuid.uuid4().hex}")
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(found)
-    return found
-
-
 def chunks(texts: list[bytes], limit: int = 4 << 20) -> Iterator[tuple[int, int]]:
     """Row ranges of at most ``limit`` bytes, one row at least: bounds what numpy holds at a time."""
     start, size = 0, 0
