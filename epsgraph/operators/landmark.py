@@ -126,10 +126,11 @@ WEIGHTS = {"size": lambda h, g: h, "size_log": lambda h, g: h * np.log2(h + 1),
 
 
 def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, intra: bool = True):
-    """Arrow kernel over rows sorted by (cell, role): a cell's home rows, then its ghosts, streamed."""
+    """Arrow kernel over rows sorted by (part, role): a part's home rows, then what comes to it, streamed. A part is a cell, or
+    of a heavy cell a pair of blocks (i <= j): the first block's rows are at home, the second's come to it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cell, held, tree, pids = None, [], None, None
+        part_id, held, tree, pids, own, whole = None, [], None, None, None, True
 
         def built():
             t = pa.Table.from_batches(held)
@@ -137,7 +138,7 @@ def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, in
             return INDEXES[index](x, m, **options), ids, x
 
         def inside(tree, pids, x):
-            if intra:
+            if intra and whole:
                 for k in range(0, len(x), 4096):
                     i, j, d = tree.query(x[k : k + 4096], eps)
                     keep = pids[i + k] < pids[j]
@@ -146,14 +147,15 @@ def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, in
         for b in batches:
             if not b.num_rows:
                 continue
-            cells, roles = b.column("cell").to_numpy(), b.column("role").to_numpy()
-            cuts = np.flatnonzero((np.diff(cells) != 0) | (np.diff(roles) != 0)) + 1
+            parts, roles = b.column("part").to_numpy(), b.column("role").to_numpy()
+            cuts = np.flatnonzero((np.diff(parts) != 0) | (np.diff(roles) != 0)) + 1
             for lo, hi in zip([0, *cuts], [*cuts, b.num_rows]):
                 part = b.slice(lo, hi - lo)
-                if cells[lo] != cell:
+                if parts[lo] != part_id:
                     if held:
                         yield from inside(*built())
-                    cell, held, tree = cells[lo], [], None
+                    part_id, held, tree = parts[lo], [], None
+                    own, whole = part.column("cell")[0].as_py(), part.column("whole")[0].as_py()
                 if roles[lo] == 0:
                     held.append(part)
                     continue
@@ -162,10 +164,10 @@ def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, in
                     held = []
                     yield from inside(tree, pids, x)
                 if tree is None:
-                    continue  # a cell without home rows has nothing to find
+                    continue  # a part without home rows has nothing to find
                 i, j, d = tree.query(m.decode(part.column("vec")), eps)
                 come = part.column("pid").to_numpy()
-                keep = np.ones(len(i), bool) if half else part.column("home").to_numpy()[i] > cell
+                keep = np.ones(len(i), bool) if half else part.column("home").to_numpy()[i] >= own
                 yield from edge_batches(come[i][keep], pids[j][keep], d[keep])
         if held:
             yield from inside(*built())
@@ -173,9 +175,10 @@ def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, in
     return run
 
 
-def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int = 16, how: str = "random", seed: int = 0, bound: str = "both", half_ghosts: bool = True, ghost: str = "collective", rounds: int = 4, balance: str = "lpt", weight: str = "size", tasks: int | None = None, index: str = "cover", ids: list[int] | None = None, measures: dict | None = None, **options) -> DataFrame:
+def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int = 16, how: str = "random", seed: int = 0, bound: str = "both", half_ghosts: bool = True, ghost: str = "collective", rounds: int = 4, balance: str = "lpt", weight: str = "size", tasks: int | None = None, index: str = "cover", ids: list[int] | None = None, max_cell: int = 50_000, measures: dict | None = None, **options) -> DataFrame:
     """Edges by cells. ``ghost``: "collective" ships all ghosts with the cells' rows in one exchange, "ring" in ``rounds``
-    exchanges, each of one block's ghosts, so that only a part of them is under way at a time."""
+    exchanges, each of one block's ghosts, so that only a part of them is under way at a time. A cell of more than ``max_cell``
+    points is dealt into blocks, every pair of blocks being a part of its own, so no part holds more at home."""
     met = resolve(metric)
     cs = centers(p, m, how, seed, met, ids)
     spark = p.sparkSession
@@ -189,12 +192,29 @@ def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int
     place = assign_cells(loads, n, balance)
     if measures is not None:
         measures |= {"centres": [c for c, _ in cs], "sizes": {c: r.size for c, r in cells.items()}, "radii": radii, "place": place, "loads": loads}
+    blocks = {c: -(-r.size // max_cell) for c, r in cells.items() if r.size > max_cell}
+    most = max(blocks.values(), default=1)
+    k = F.coalesce(F.create_map(*[F.lit(int(v)) for c in blocks.items() for v in c])[F.col("cell")], F.lit(1)) if blocks else F.lit(1)
+    one = F.pmod(F.xxhash64("pid", F.lit(seed + 1)), k).cast("int")
+    each = F.sequence(F.lit(0), k - 1)
+    home = assigned.select("pid", "vec", "home", F.col("home").alias("cell"))
+    come = ghosts(assigned, eps, radii, bound, half_ghosts).select("pid", "vec", "home", "cell")
+    if blocks:
+        # a home row meets the blocks from its own on, and comes to those before it; ghosts come to every block
+        pair = lambda i, j: F.struct(F.least(i, j).alias("i"), F.greatest(i, j).alias("j"), (i < j).cast("int").alias("role"))
+        home = home.withColumn("b", one).withColumn("at", F.explode(F.transform(each, lambda j: pair(j, F.col("b")))))
+        come = come.withColumn("at", F.explode(F.transform(each, lambda i: F.struct(i.alias("i"), i.alias("j"), F.lit(1).alias("role")))))
+    else:
+        at = lambda role: F.struct(F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(role).alias("role"))
+        home, come = home.withColumn("at", at(0)), come.withColumn("at", at(1))
+    row = ("pid", "vec", "home", "cell", "at.role", ((F.col("cell").cast("long") * most + F.col("at.i")) * most + F.col("at.j")).alias("part"), (F.col("at.i") == F.col("at.j")).alias("whole"))
+    home, come = home.select(*row), come.select(*row)
     task = F.element_at(F.array(*map(F.lit, place)), F.col("cell") + 1)
-    home = assigned.select("pid", "vec", "home", F.col("home").alias("cell"), F.lit(0).alias("role"))
-    come = ghosts(assigned, eps, radii, bound, half_ghosts).select("pid", "vec", "home", "cell", F.lit(1).alias("role"))
+    if blocks:
+        task = F.when(F.col("cell").isin(*blocks), F.pmod(F.xxhash64("part"), F.lit(n)).cast("int")).otherwise(task)
 
     def meet(rows: DataFrame, intra: bool) -> DataFrame:
-        dealt = rows.withColumn("task", task).repartitionById(n, "task").sortWithinPartitions("cell", "role", "pid")
+        dealt = rows.withColumn("task", task).repartitionById(n, "task").sortWithinPartitions("part", "role", "pid")
         return dealt.mapInArrow(cell_kernel(met, eps, index, options, half_ghosts, intra), EDGE)
 
     if ghost == "collective":
@@ -203,7 +223,7 @@ def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int
     out = meet(home, True).checkpoint()
     for r in range(rounds):
         block = come.filter(F.pmod(F.xxhash64("pid", F.lit(seed)), F.lit(rounds)) == r)
-        out = out.unionByName(meet(home.unionByName(block), False).checkpoint())
+        out = out.unionByName(meet(home.filter("whole").unionByName(block), False).checkpoint())
     return out
 
 

@@ -64,6 +64,9 @@ GRAPHS: dict[str, tuple[Callable, str]] = {
     "graph_landmark_bisector_e4": _graph(landmark(m=16, bound="bisector"), "e4"),
     "graph_landmark_cyclic_e4": _graph(landmark(m=16, balance="cyclic", tasks=3), "e4"),
     "graph_landmark_level_e4": _graph(landmark(m=4, threshold="level", levels="strict", leaf_size=1, bailout=1.0), "e4"),
+    "graph_landmark_heavy_e4": _graph(landmark(m=3, max_cell=40), "e4"),
+    "graph_landmark_heavy_ring_e4": _graph(landmark(m=3, max_cell=40, ghost="ring", rounds=2), "e4"),
+    "graph_landmark_heavy_fullghost_e4": _graph(landmark(m=3, max_cell=40, half_ghosts=False), "e4"),
     "graph_landmark_m10_e8": _graph(landmark(m=10), "e8"),
     "graph_landmark_m60_e8": _graph(landmark(m=60), "e8"),
     "graph_covertree_single_e8": _graph(landmark(m=1, leaf_size=1), "e8"),

@@ -102,6 +102,45 @@ def graph(stream: DataFrame, eps: float, width: float = 1.0) -> DataFrame:
     return routed.groupBy("cell").applyInPandasWithState(step_, "src long, dst long, dist double", "p array<long>, x array<double>", "append", GroupStateTimeout.NoTimeout)
 
 
+def timed_graph(stream: DataFrame, eps: float, seconds: float) -> DataFrame:
+    """As ``graph``, for pairs at most eps apart and at most ``seconds`` apart in event time; ``stream`` is (pid, x, ts) with a
+    watermark. Rows behind the watermark are late and dropped; stored points go once no row in time can reach them."""
+    reach = F.sequence(F.floor((F.col("x") - eps * (1 + 1e-9)) / eps), F.floor((F.col("x") + eps * (1 + 1e-9)) / eps))
+    routed = stream.select("pid", "x", "ts", F.floor(F.col("x") / eps).alias("home"), F.explode(reach).alias("cell"))
+
+    def step_(key, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        held = [list(v) for v in state.get] if state.exists else [[], [], []]
+        mark = state.getCurrentWatermarkMs() / 1000
+        out = []
+        if not state.hasTimedOut:
+            come = pd.concat(list(parts))
+            come = come.assign(t=come.ts.astype("int64") / (1e9 if come.ts.dtype.str.endswith("[ns]") else 1e6)).sort_values("pid")
+            come = come[come.t >= mark]
+            mine = come[come.home == key[0]]
+            known = len(held[0])
+            for into, name in zip(held, ("pid", "x", "t")):
+                into += mine[name].tolist()
+            for pid, x, t in zip(come.pid.tolist(), come.x.tolist(), come.t.tolist()):
+                for i, (p, y, u) in enumerate(zip(*held)):
+                    if abs(x - y) <= eps and abs(t - u) <= seconds and (i < known or p < pid):
+                        out.append((min(pid, p), max(pid, p), abs(x - y)))
+        keep = [i for i, t in enumerate(held[2]) if t >= mark - seconds]
+        held = [[v[i] for i in keep] for v in held]
+        if keep:
+            state.update(tuple(held))
+            state.setTimeoutTimestamp(int((max(min(held[2]), mark) + seconds) * 1000) + 1)
+        elif state.exists:
+            state.remove()
+        yield pd.DataFrame(out, columns=["src", "dst", "dist"]).astype({"src": "int64", "dst": "int64", "dist": "float64"})
+
+    return routed.groupBy("cell").applyInPandasWithState(step_, "src long, dst long, dist double", "p array<long>, x array<double>, t array<double>", "append", GroupStateTimeout.EventTimeTimeout)
+
+
+def value_graph_timed(spark: SparkSession, d: str) -> DataFrame:
+    points = events(spark, d).filter("event_id % 5 = 0").withWatermark("ts", "1 hour").select(F.col("event_id").alias("pid"), F.col("value").alias("x"), "ts")
+    return drained(timed_graph(points, 0.5, 86400)).select("src", "dst", F.round("dist", 6).alias("dist"))
+
+
 def value_graph(spark: SparkSession, d: str) -> DataFrame:
     points = events(spark, d).filter("event_id % 10 = 0").select(F.col("event_id").alias("pid"), F.col("value").alias("x"))
     return drained(graph(points, 0.05)).select("src", "dst", F.round("dist", 6).alias("dist"))
@@ -115,4 +154,5 @@ QUERIES: dict[str, tuple[Callable, str | None]] = {
     "stream_static_nearest": (static_nearest, "SELECT event_id, c AS centre FROM (SELECT event_id, c, row_number() OVER (PARTITION BY event_id ORDER BY abs(value - c), c) AS k FROM events, (SELECT CAST(unnest(range(10)) * 50 AS DOUBLE) AS c)) WHERE k = 1"),
     "stream_interval_join": (interval_join, "SELECT c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON c.user_id = p.user_id AND c.event_type = 'click' AND p.event_type = 'purchase' AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR"),
     "stream_graph_value1d": (value_graph, "WITH p AS (SELECT event_id AS pid, value AS x FROM events WHERE event_id % 10 = 0) SELECT a.pid AS src, b.pid AS dst, round(abs(a.x - b.x), 6) AS dist FROM p a JOIN p b ON a.pid < b.pid AND abs(a.x - b.x) <= 0.05"),
+    "stream_graph_timed": (value_graph_timed, "WITH p AS (SELECT event_id AS pid, value AS x, epoch(ts) AS t FROM events WHERE event_id % 5 = 0) SELECT a.pid AS src, b.pid AS dst, round(abs(a.x - b.x), 6) AS dist FROM p a JOIN p b ON a.pid < b.pid AND abs(a.x - b.x) <= 0.5 AND abs(a.t - b.t) <= 86400"),
 }
