@@ -64,8 +64,13 @@ def _joined() -> str:
 ANY = _joined()
 
 
+#: What every entity holds somewhere: an at sign, a digit before a digit or separator, or the start of a title.
+HINT = r"@|[0-9][0-9. ()-]|[MDHFSг](?:r|s|iss|err|rau|onsieur|adame|eñor|-)"
+
+
 def entities(text: Column) -> Column:
-    return F.regexp_extract_all(text, F.lit(ANY), F.lit(0))
+    """All entities of a text; the hint, far cheaper than the patterns, spares texts that can have none."""
+    return F.when(text.rlike(HINT), F.regexp_extract_all(text, F.lit(ANY), F.lit(0)))
 
 
 def kind_of(m: Column) -> Column:
