@@ -6,6 +6,7 @@ import re
 import uuid
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -136,8 +137,6 @@ def _medoid(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _udf(spark: SparkSession, d: str) -> DataFrame:
-    import pandas as pd
-
     @F.pandas_udf("double")
     def norm(v: pd.Series) -> pd.Series:
         return v.map(lambda x: float((x.astype(float) ** 2).sum() ** 0.5))
@@ -233,6 +232,6 @@ RELATIONAL: dict[str, tuple[Callable, str | None]] = {
     "cte_recursive_components": (_components_by_recursion, f"WITH RECURSIVE p AS ({SETS['names'].sql}), e AS ({SETS['names'].edges_sql(2)}), s AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e), w AS (SELECT pid, pid AS root FROM p UNION SELECT s.dst, w.root FROM w JOIN s ON s.src = w.pid) SELECT pid, min(root) AS component FROM w GROUP BY pid"),
     "subquery_suite": sql("SELECT c_custkey FROM {customer} WHERE c_acctbal > (SELECT avg(c_acctbal) FROM {customer}) AND EXISTS (SELECT 1 FROM {orders} WHERE o_custkey = c_custkey AND o_totalprice > 100000) AND c_nationkey IN (SELECT n_nationkey FROM {nation} WHERE n_regionkey = 1)"),
     "udf_pandas_norm": (_udf, "SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x))), 4) AS norm FROM embeddings"),
-    "udtf_near_pairs": (_table_function("SELECT src, dst, round(dist, 6) AS dist FROM near_pairs(TABLE(SELECT * FROM labelled_points) PARTITION BY label, 0.4D)"), "WITH p AS (SELECT label, vec_id AS pid, CAST(embedding[1:8] AS DOUBLE[]) AS vec FROM embeddings) SELECT a.pid AS src, b.pid AS dst, round(list_distance(a.vec, b.vec), 6) AS dist FROM p a JOIN p b ON a.label = b.label AND a.pid < b.pid WHERE list_distance(a.vec, b.vec) <= 0.4"),
+    "udtf_near_pairs": (_table_function("SELECT src, dst, round(dist, 6) AS dist FROM near_pairs(TABLE(SELECT * FROM labelled_points) PARTITION BY (label), 0.4D)"), "WITH p AS (SELECT label, vec_id AS pid, CAST(embedding[1:8] AS DOUBLE[]) AS vec FROM embeddings) SELECT a.pid AS src, b.pid AS dst, round(list_distance(a.vec, b.vec), 6) AS dist FROM p a JOIN p b ON a.label = b.label AND a.pid < b.pid WHERE list_distance(a.vec, b.vec) <= 0.4"),
     "udtf_tree_nodes": (_table_function("SELECT sum(size) AS points, count(*) AS trees FROM tree_nodes(TABLE(SELECT * FROM labelled_points) PARTITION BY label)"), "SELECT count(*) AS points, count(DISTINCT label) AS trees FROM embeddings"),
 }
