@@ -27,6 +27,7 @@ from math import log10
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
@@ -106,6 +107,18 @@ def grams(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return h[inside], begin - ORDER * np.arange(len(texts))
 
 
+def tally(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Different keys and their counts, by hash table."""
+    found = pc.value_counts(pa.array(keys))
+    return found.field("values").to_numpy(), found.field("counts").to_numpy()
+
+
+def looked_up(keys: np.ndarray, table_: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """The value of each key, all being in the sorted table: different keys are found by hash, and looked up once."""
+    found = pa.array(keys).dictionary_encode()
+    return values[np.searchsorted(table_, found.dictionary.to_numpy())][found.indices.to_numpy()]
+
+
 def counted(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
     """Sums of counts by key."""
     if not parts:
@@ -132,7 +145,7 @@ def gram_requests(batches):
         for weight in (1, 0):
             part = [t for t, h in zip(texts, held) if h != weight]
             for lo, hi in chunks(part):
-                k, c = np.unique(grams(part[lo:hi])[0], return_counts=True)
+                k, c = tally(grams(part[lo:hi])[0])
                 parts.append((k, c * weight))
                 size += len(k)
                 if size > 4_000_000:
@@ -148,7 +161,7 @@ def gram_requests(batches):
 def batch_grams(group: pa.Table) -> pa.Table:
     """(batch, key): every gram of a batch."""
     texts = [(t.as_py() or "").encode() for t in group.column("text")]
-    keys = np.unique(np.concatenate([np.unique(grams(texts[lo:hi])[0]) for lo, hi in chunks(texts)]))
+    keys = np.unique(np.concatenate([tally(grams(texts[lo:hi])[0])[0] for lo, hi in chunks(texts)]))
     return pa.table({"batch": pa.array(np.full(len(keys), group.column("batch")[0].as_py(), np.int32)), "key": keys})
 
 
@@ -196,17 +209,16 @@ def code_lengths(gram: np.ndarray, count: np.ndarray, pairs: np.ndarray) -> np.n
     return out
 
 
-def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 32 << 20, most_grams: int = 8_000_000) -> DataFrame:
+def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_grams: int = 8_000_000) -> DataFrame:
     """SCORES and train_tokens for ``docs`` (doc_id, text); learns from the rows where the column ``held_out`` is false.
     The coded trie is broadcast while it has at most ``most_grams`` grams (16 bytes each), and joined by batch beyond."""
     rows = docs.select(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")).alias("text"), held_out.alias("held_out"))
     size, n_train = rows.agg(F.sum(F.octet_length("text")), F.count_if(~F.col("held_out"))).first()
     n_batches = max(1, -(-(size or 0) // batch_bytes))
     dealt = rows.withColumn("batch", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n_batches)).cast("int"))
-    asked = dealt.groupBy("batch").applyInArrow(word_requests, "batch int, key long, n long").persist(StorageLevel.DISK_ONLY)
-    sums = asked.groupBy("key").agg(F.sum("n").alias("n")).persist(StorageLevel.DISK_ONLY)
-    n_words, n_kinds = sums.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count_if(F.col("n") > 0)).first()
-    total, kinds = n_words + n_train, n_kinds + (n_train > 0)
+    asked = dealt.groupBy("batch").applyInArrow(word_requests, "batch int, key long, n long")
+    sums = asked.groupBy("key").agg(F.sum("n").alias("n"))
+    totals = sums.agg((F.coalesce(F.sum("n"), F.lit(0)) + n_train).alias("train_tokens"), (F.count_if(F.col("n") > 0) + int(n_train > 0)).alias("kinds"))
 
     counts = rows.select("text", "held_out").mapInArrow(gram_requests, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).persist(StorageLevel.DISK_ONLY)
     n_grams = counts.count()
@@ -242,7 +254,7 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 32 << 20, most_gram
         scores = np.empty(len(texts))
         for lo, hi in chunks(texts):
             g, begin = grams(texts[lo:hi])
-            scores[lo:hi] = np.add.reduceat(length[np.searchsorted(gram, g)], begin)
+            scores[lo:hi] = np.add.reduceat(looked_up(g, gram, length), begin)
         ids: dict[bytes, int] = {}
         local = Counter()
         each = []
@@ -255,14 +267,16 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 32 << 20, most_gram
         if len(key):
             at = np.minimum(np.searchsorted(key, hashed), len(key) - 1)
             count = np.where(key[at] == hashed, value[at], count)
-        below = total + 0.5 * (kinds + 1)
-        logs, end = np.log10((count + 0.5) / below), log10((n_train + 0.5) / below)
+        logs, end = np.log10(count + 0.5), log10(n_train + 0.5)
         base = [float(logs[e].sum()) + end for e in each]
         known = [int((count[e] > 0).sum()) + (n_train > 0) for e in each]
         return pa.table({"doc_id": group.column("doc_id"), "held_out": group.column("held_out"), "n_tokens": pa.array([len(e) + 1 for e in each], pa.int64()), "n_known": pa.array(known, pa.int64()), "base_score": base, "score": scores})
 
     out = dealt.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(score, SCORES)
-    return out.withColumn("train_tokens", F.lit(total).cast("long"))
+    # the texts' one exchange serves requests and scores alike, as all of it is one plan
+    out = out.crossJoin(F.broadcast(totals))
+    below = F.log10(F.col("train_tokens") + 0.5 * (F.col("kinds") + 1))
+    return out.withColumn("base_score", F.col("base_score") - F.col("n_tokens") * below).drop("kinds")
 
 
 def op1_ppm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
