@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric, resolve
 from ..functions.trees import CoverTree
+from .components import checkpoint_dir
 from .landmark import assign, centers, decoded_centres
 
 
@@ -153,3 +154,49 @@ def tree_stats(p: DataFrame, eps: float, metric: str | Metric = "l2", **options)
         return pa.table({k: pa.array([v], pa.int64()) for k, v in one.items()})
 
     return p.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(run, "vertices long, leaves long, depth long, bailed long, build_distances long, query_distances long, brute_distances long")
+
+
+def build_tree_df(p: DataFrame, metric: str | Metric = "l2", leaf_size: int = 32, threshold: str = "radius", bailout: float = 0.25) -> DataFrame:
+    """One cover tree over all points, a Spark job for each level: every open hub is a group, so hubs are split side by side.
+
+    Rows (hub, parent, depth, pid, radius, size, is_leaf); a hub's id is the path of its centres. Points move with their hub
+    and its distances; a hub of one level must fit a task, which only the first few levels of a large set put to the test."""
+    m = resolve(metric)
+    checkpoint_dir(p.sparkSession)
+    root = centers(p, 1)
+    if not root:
+        return p.sparkSession.createDataFrame([], "hub string, parent string, depth int, pid long, radius double, size long, is_leaf boolean")
+    kind = p.schema["vec"].dataType
+    near = distances_to(p, root[0][1], m)
+    open_ = p.join(near, "pid").select(F.lit(str(root[0][0])).alias("hub"), F.lit(root[0][0]).cast("long").alias("centre"), "pid", "vec", "dist").checkpoint()
+    out, depth = None, 0
+
+    def split(t: pa.Table) -> pa.Table:
+        t = t.sort_by("pid")
+        hub, centre = t.column("hub")[0].as_py(), t.column("centre")[0].as_py()
+        pids, d = t.column("pid").to_numpy(), t.column("dist").to_numpy()
+        cut = None
+        if len(pids) > leaf_size and d.max() > 0:
+            tree = CoverTree.__new__(CoverTree)
+            tree.x, tree.metric, tree.leaf_size, tree.threshold, tree.bailout, tree.skip = m.decode(t.column("vec")), m, leaf_size, threshold, bailout, True
+            top = float(d.max())
+            tree.centre, tree.radius, tree.level = [int(np.flatnonzero(pids == centre)[0])], [top], [int(np.ceil(np.log2(top)))]
+            cut = tree._split(0, np.arange(len(pids)), d)
+        if cut is None:
+            return t.append_column("child", pa.nulls(len(pids), pa.string())).append_column("next", pa.nulls(len(pids), pa.int64())).append_column("near", pa.nulls(len(pids), pa.float64())).select(names)
+        child, nxt, new = np.empty(len(pids), object), np.zeros(len(pids), np.int64), np.zeros(len(pids))
+        for c, own, dist in cut:
+            child[own], nxt[own], new[own] = f"{hub}.{pids[c]}", pids[c], dist
+        return t.append_column("child", pa.array(child, pa.string())).append_column("next", pa.array(nxt)).append_column("near", pa.array(new)).select(names)
+
+    names = ["hub", "centre", "pid", "vec", "dist", "child", "next", "near"]
+    schema = f"hub string, centre long, pid long, vec {kind.simpleString()}, dist double, child string, next long, near double"
+    while True:
+        done = open_.groupBy("hub").applyInArrow(split, schema).checkpoint()
+        level = done.groupBy("hub", "centre").agg(F.max("dist").alias("radius"), F.count("*").alias("size"), F.first(F.col("child").isNull()).alias("is_leaf"))
+        level = level.select("hub", F.when(F.col("hub").contains("."), F.regexp_extract("hub", r"^(.*)\.[^.]*$", 1)).alias("parent"), F.lit(depth).alias("depth"), F.col("centre").alias("pid"), "radius", "size", "is_leaf")
+        out = level if out is None else out.unionByName(level)
+        open_ = done.filter(F.col("child").isNotNull()).select(F.col("child").alias("hub"), F.col("next").alias("centre"), "pid", "vec", F.col("near").alias("dist")).checkpoint()
+        depth += 1
+        if open_.isEmpty():
+            return out

@@ -224,3 +224,16 @@ def test_lattice_source_and_hand_over(spark):
     register(spark)
     e = spark.read.format("lattice_edges").option("side", 4).load()
     assert {(r.src, r.dst) for r in e.collect()} == plain(LATTICE, 1.0, l2)
+
+
+def test_tree_by_levels(spark):
+    p = SETS["e2"].build(spark, SF)
+    rows = definitions.build_tree_df(p, leaf_size=8).collect()
+    by = {r.hub: r for r in rows}
+    assert len(by) == len(rows) and sum(r.size for r in rows if r.is_leaf) == 500
+    for r in rows:
+        kids = [k for k in rows if k.parent == r.hub]
+        assert r.is_leaf != bool(kids) and (not kids or sum(k.size for k in kids) == r.size)
+        assert all(k.radius <= r.radius / 2 + 1e-9 for k in kids)
+    x = np.array([r.vec for r in p.orderBy("pid").collect()])
+    assert definitions.build_tree_df(p.limit(0)).count() == 0 and max(r.depth for r in rows) < 15 and len(x) == 500
