@@ -91,6 +91,11 @@ def canonical(kind: Column, m: Column) -> Column:
     )
 
 
+def let(value: Column, body) -> Column:
+    """``body`` of a value that is worked out once, however often the body uses it."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
 def _hash(key: str, *parts: Column) -> Column:
     return F.sha2(F.concat_ws("\x1f", F.lit(key), *parts).cast("binary"), 256)
 
@@ -102,65 +107,95 @@ def _number(h: Column, start: int = 1, digits: int = 12) -> Column:
 
 def _permuted(key: str, kind: Column, digits: Column) -> Column:
     """A permutation of the decimal strings of each length of two or more: alternating Feistel rounds on the two halves."""
-    half = F.floor(F.length(digits) / 2).cast("int")
-    left, right = F.substr(digits, F.lit(1), half), F.substr(digits, half + 1)
+    def cut(d: Column) -> Column:
+        half = F.floor(F.length(d) / 2).cast("int")
+        return F.struct(F.substr(d, F.lit(1), half).alias("l"), F.substr(d, half + 1).alias("r"))
+
+    def turn(r: int):
+        def run(s: Column) -> Column:
+            target, source = (s["l"], s["r"]) if r % 2 == 0 else (s["r"], s["l"])
+            shift = _number(_hash(key, kind, F.lit(f"{r}"), source))
+            size = F.length(target)
+            moved = F.lpad(F.pmod(target.cast("long") + shift, F.pow(F.lit(10.0), size).cast("long")).cast("string"), 20, "0")
+            moved = F.substr(moved, F.lit(21) - size)
+            return F.struct((moved if r % 2 == 0 else s["l"]).alias("l"), (s["r"] if r % 2 == 0 else moved).alias("r"))
+
+        return run
+
+    state = let(digits, cut)
     for r in range(ROUNDS):
-        target, source = (left, right) if r % 2 == 0 else (right, left)
-        shift = _number(_hash(key, kind, F.lit(f"{r}"), source))
-        size = F.length(target)
-        moved = F.lpad(F.pmod(target.cast("long") + shift, F.pow(F.lit(10.0), size).cast("long")).cast("string"), 20, "0")
-        moved = F.substr(moved, F.lit(21) - size)
-        left, right = (moved, right) if r % 2 == 0 else (left, moved)
-    return F.concat(left, right)
+        state = let(state, turn(r))
+    return let(state, lambda s: F.concat(s["l"], s["r"]))
 
 
 def _luhn(digits: Column) -> Column:
     """Luhn sum of a digit string whose last digit counts once."""
-    n = F.length(digits)
-    each = F.transform(F.split(digits, ""), lambda d, i: F.when(F.pmod(n - i, F.lit(2)) == 1, d.cast("int")).otherwise(F.element_at(F.array(*[F.lit(v) for v in (0, 2, 4, 6, 8, 1, 3, 5, 7, 9)]), d.cast("int") + 1)))
-    return F.aggregate(each, F.lit(0), lambda a, d: a + F.coalesce(d, F.lit(0)))
 
+    def total(ds: Column) -> Column:
+        n = F.length(ds)
+        each = F.transform(F.split(ds, ""), lambda d, i: F.when(F.pmod(n - i, F.lit(2)) == 1, d.cast("int")).otherwise(F.element_at(F.array(*[F.lit(v) for v in (0, 2, 4, 6, 8, 1, 3, 5, 7, 9)]), d.cast("int") + 1)))
+        return F.aggregate(each, F.lit(0), lambda a, d: a + F.coalesce(d, F.lit(0)))
+
+    return let(digits, total)
+
+
+def _card(key: str, digits: Column) -> Column:
+    def run(d: Column) -> Column:
+        head = F.concat(F.substr(d, F.lit(1), F.lit(1)), _permuted(key, F.lit("card"), F.substr(d, F.lit(2), F.length(d) - 2)))
+        return let(head, lambda h: F.concat(h, F.pmod(_luhn(d) - _luhn(F.concat(h, F.lit("0"))), F.lit(10)).cast("string")))
 
-def _card(key: str, d: Column) -> Column:
-    n = F.length(d)
-    head = F.concat(F.substr(d, F.lit(1), F.lit(1)), _permuted(key, F.lit("card"), F.substr(d, F.lit(2), n - 2)))
-    last = F.pmod(_luhn(d) - _luhn(F.concat(head, F.lit("0"))), F.lit(10))
-    return F.concat(head, last.cast("string"))
+    return let(digits, run)
 
 
 def _ip(key: str, m: Column) -> Column:
     """The number that the last three octets make, moved by Feistel rounds on its two 12-bit halves."""
-    o = F.split(m, r"\.")
-    value = o[1].cast("int") * 65536 + o[2].cast("int") * 256 + o[3].cast("int")
-    left, right = F.shiftright(value, 12), value.bitwiseAND(F.lit(4095))
+    def cut(o: Column) -> Column:
+        value = o[1].cast("int") * 65536 + o[2].cast("int") * 256 + o[3].cast("int")
+        return F.struct(o[0].alias("o"), F.shiftright(value, 12).alias("l"), value.bitwiseAND(F.lit(4095)).alias("r"))
+
+    def turn(r: int):
+        def run(s: Column) -> Column:
+            source = s["r"] if r % 2 == 0 else s["l"]
+            shift = F.pmod(_number(_hash(key, F.lit(f"ip{r}"), source.cast("string"))), F.lit(4096)).cast("int")
+            return F.struct(s["o"].alias("o"), (s["l"].bitwiseXOR(shift) if r % 2 == 0 else s["l"]).alias("l"), (s["r"] if r % 2 == 0 else s["r"].bitwiseXOR(shift)).alias("r"))
+
+        return run
+
+    state = let(F.split(m, r"\."), cut)
     for r in range(ROUNDS):
-        source = right if r % 2 == 0 else left
-        shift = F.pmod(_number(_hash(key, F.lit(f"ip{r}"), source.cast("string"))), F.lit(4096)).cast("int")
-        if r % 2 == 0:
-            left = left.bitwiseXOR(shift)
-        else:
-            right = right.bitwiseXOR(shift)
-    v = left * 4096 + right
-    return F.concat_ws(".", o[0], F.shiftright(v, 16).cast("string"), F.shiftright(v, 8).bitwiseAND(F.lit(255)).cast("string"), v.bitwiseAND(F.lit(255)).cast("string"))
+        state = let(state, turn(r))
+    octets = lambda v: F.concat_ws(".", F.shiftright(v, 16).cast("string"), F.shiftright(v, 8).bitwiseAND(F.lit(255)).cast("string"), v.bitwiseAND(F.lit(255)).cast("string"))
+    return let(state, lambda s: F.concat_ws(".", s["o"], let(s["l"] * 4096 + s["r"], octets)))
 
 
 def _dressed(m: Column, digits: Column) -> Column:
     """``digits`` in the places of the match's digits."""
-    at = F.transform(F.split(m, ""), lambda c: c.rlike(r"^\d$").cast("int"))
-    put = lambda c, i: F.when(c.rlike(r"^\d$"), F.substr(digits, F.aggregate(F.slice(at, 1, i + 1), F.lit(0), lambda a, x: a + x), F.lit(1))).otherwise(c)
-    return F.array_join(F.transform(F.split(m, ""), put), "")
+
+    def run(s: Column) -> Column:
+        at = F.transform(s["cs"], lambda c: c.rlike(r"^\d$").cast("int"))
+
+        def put(a: Column) -> Column:
+            one = lambda c, i: F.when(c.rlike(r"^\d$"), F.substr(s["ds"], F.aggregate(F.slice(a, 1, i + 1), F.lit(0), lambda t, x: t + x), F.lit(1))).otherwise(c)
+            return F.array_join(F.transform(s["cs"], one), "")
+
+        return let(at, put)
+
+    return let(F.struct(F.split(m, "").alias("cs"), digits.alias("ds")), run)
 
 
 def _letters(key: str, kind: str, canon: Column, attempt: Column) -> Column:
     """Each letter by a letter of its case, each digit by a digit, drawn from one hash; other signs stay."""
-    h = F.concat(*[_hash(key, F.lit(f"{kind}{i}"), canon, attempt.cast("string")) for i in range(3)])
+    hashed = F.concat(*[_hash(key, F.lit(f"{kind}{i}"), canon, attempt.cast("string")) for i in range(3)])
 
-    def draw(c: Column, i: Column) -> Column:
-        x = F.conv(F.substr(h, F.pmod(i, F.lit(96)) * 2 + 1, F.lit(2)), 16, 10).cast("int")
-        letter = lambda a, n: F.chr(F.lit(ord(a)) + F.pmod(x, F.lit(n)))
-        return F.when(c.rlike("^[a-z]$"), letter("a", 26)).when(c.rlike("^[A-Z]$"), letter("A", 26)).when(c.rlike("^[0-9]$"), letter("0", 10)).otherwise(c)
+    def draw(h: Column):
+        def one(c: Column, i: Column) -> Column:
+            x = F.conv(F.substr(h, F.pmod(i, F.lit(96)) * 2 + 1, F.lit(2)), 16, 10).cast("int")
+            letter = lambda a, n: F.chr(F.lit(ord(a)) + F.pmod(x, F.lit(n)))
+            return F.when(c.rlike("^[a-z]$"), letter("a", 26)).when(c.rlike("^[A-Z]$"), letter("A", 26)).when(c.rlike("^[0-9]$"), letter("0", 10)).otherwise(c)
 
-    return F.array_join(F.transform(F.split(canon, ""), draw), "")
+        return one
+
+    return let(hashed, lambda h: F.array_join(F.transform(F.split(canon, ""), draw(h)), ""))
 
 
 def _pick(words: list[str], x: Column) -> Column:
@@ -169,12 +204,13 @@ def _pick(words: list[str], x: Column) -> Column:
 
 def _name(key: str, canon: Column, female: Column, attempt: Column) -> Column:
     """Given name (where there was one) and surname of the same gender and script."""
-    h = _hash(key, F.lit("name"), canon, attempt.cast("string"))
+    def of(script: str):
+        def run(h: Column) -> Column:
+            given = F.when(female, _pick(GIVEN["f", script], _number(h, 1, 6))).otherwise(_pick(GIVEN["m", script], _number(h, 1, 6)))
+            sur = F.concat(F.initcap(_pick(SYLLABLES[script], _number(h, 7, 6))), *[_pick(SYLLABLES[script], _number(h, p, 6)) for p in (13, 19, 25)], _pick(ENDINGS[script], _number(h, 31, 6)))
+            return F.when(canon.contains(" "), F.concat_ws(" ", given, sur)).otherwise(sur)
 
-    def of(script: str) -> Column:
-        given = F.when(female, _pick(GIVEN["f", script], _number(h, 1, 6))).otherwise(_pick(GIVEN["m", script], _number(h, 1, 6)))
-        sur = F.concat(F.initcap(_pick(SYLLABLES[script], _number(h, 7, 6))), *[_pick(SYLLABLES[script], _number(h, p, 6)) for p in (13, 19, 25)], _pick(ENDINGS[script], _number(h, 31, 6)))
-        return F.when(canon.contains(" "), F.concat_ws(" ", given, sur)).otherwise(sur)
+        return let(_hash(key, F.lit("name"), canon, attempt.cast("string")), run)
 
     return F.when(canon.rlike(r"\p{IsCyrillic}"), of("cyrillic")).otherwise(of("latin"))
 
@@ -187,26 +223,32 @@ def is_female(m: Column) -> Column:
 def drawn(key: str, kind: Column, canon: Column, female: Column, attempt: Column) -> Column:
     """The surrogate's canonical form for the kinds that are drawn, on one attempt."""
     local, domain = F.substring_index(canon, "@", 1), F.substring_index(canon, "@", -1)
-    email = F.concat(_letters(key, "local", F.concat(local, F.lit("@")), F.concat_ws(":", domain, attempt.cast("string"))), _letters(key, "domain", domain, F.lit(0)))
-    keep = F.concat(F.regexp_extract(email, r"^(.*)\.[^.]*$", 1), F.lit("."), F.substring_index(domain, ".", -1))  # the top domain stays
-    return F.when(kind == "email", keep).otherwise(_name(key, canon, female, attempt))
+    whole = F.concat(_letters(key, "local", F.concat(local, F.lit("@")), F.concat_ws(":", domain, attempt.cast("string"))), _letters(key, "domain", domain, F.lit(0)))
+    # the top domain stays
+    email = F.concat(F.regexp_extract(whole, r"^(.*)\.[^.]*$", 1), F.lit("."), F.substring_index(domain, ".", -1))
+    return F.when(kind == "email", email).otherwise(_name(key, canon, female, attempt))
 
 
 DRAWN = ("email", "name")
 
 
 def surrogate(key: str, m: Column, kind: Column, canon: Column, chosen: Column | None) -> Column:
-    """The replacement of a match; ``chosen`` overrides the first draw."""
+    """The replacement of a match; ``chosen`` overrides the first draw. Every part is worked out only for its kind."""
     first = drawn(key, kind, canon, is_female(m), F.lit(0))
     value = F.coalesce(chosen, first) if chosen is not None else first
     digits = F.regexp_replace(m, r"\D", "")
-    # a phone's last ten digits vary but for a reserved exchange; a country code before them stays
-    local = F.right(digits, F.lit(10))
-    exchange = F.substr(local, F.lit(4), F.lit(3)) == "555"
-    free = F.when(exchange, F.concat(F.left(local, F.lit(3)), F.right(local, F.lit(4)))).otherwise(local)
-    moved = _permuted(key, F.concat(F.lit("phone"), F.length(free)), free)
-    phone = F.concat(F.left(digits, F.length(digits) - 10), F.when(exchange, F.concat(F.left(moved, F.lit(3)), F.lit("555"), F.right(moved, F.lit(4)))).otherwise(moved))
-    rest = F.substr(canon, F.lit(5))
+
+    def phone_digits(d: Column) -> Column:
+        # a phone's last ten digits vary but for a reserved exchange; a country code before them stays
+        def run(local: Column) -> Column:
+            kept = F.substr(local, F.lit(4), F.lit(3)) == "555"
+            free = F.when(kept, F.concat(F.left(local, F.lit(3)), F.right(local, F.lit(4)))).otherwise(local)
+            moved = let(free, lambda f: _permuted(key, F.concat(F.lit("phone"), F.length(f)), f))
+            return let(moved, lambda v: F.when(kept, F.concat(F.left(v, F.lit(3)), F.lit("555"), F.right(v, F.lit(4)))).otherwise(v))
+
+        return F.concat(F.left(d, F.length(d) - 10), let(F.right(d, F.lit(10)), run))
+
+    phone = let(digits, phone_digits)
     iban = F.concat(F.left(canon, F.lit(2)), _permuted(key, F.lit("iban"), F.regexp_replace(F.substr(canon, F.lit(3)), r"\D", "")))
     return (
         F.when(kind == "email", value)
@@ -219,12 +261,18 @@ def surrogate(key: str, m: Column, kind: Column, canon: Column, chosen: Column |
     )
 
 
+def once(df: DataFrame, name: str, value: Column) -> DataFrame:
+    """``df`` with a column that is evaluated once a row however often it is used: a generator of one element keeps the
+    optimizer from writing the expression out at each use."""
+    return df.select("*", F.explode(F.array(value)).alias(name))
+
+
 def found(docs: DataFrame) -> DataFrame:
     """``docs`` with ``_hits``: array<struct<m, kind, canon>> of the text's entities."""
-    ms = F.coalesce(entities(F.col("text")), F.expr("cast(array() as array<string>)"))
-    kinds = F.transform(F.col("_ms"), lambda m: F.struct(m.alias("m"), kind_of(m).alias("kind")))
-    hits = F.transform(F.col("_kinds"), lambda s: F.struct(s["m"].alias("m"), s["kind"].alias("kind"), canonical(s["kind"], s["m"]).alias("canon")))
-    return docs.withColumn("_ms", ms).withColumn("_kinds", kinds).withColumn("_hits", hits).drop("_ms", "_kinds")
+    docs = once(docs, "_ms", F.coalesce(entities(F.col("text")), F.expr("cast(array() as array<string>)")))
+    docs = once(docs, "_kinds", F.transform("_ms", lambda m: F.struct(m.alias("m"), kind_of(m).alias("kind"))))
+    hits = F.transform("_kinds", lambda s: F.struct(s["m"].alias("m"), s["kind"].alias("kind"), canonical(s["kind"], s["m"]).alias("canon")))
+    return once(docs, "_hits", hits).drop("_ms", "_kinds")
 
 
 def choose(mentions: DataFrame, key: str) -> DataFrame:
