@@ -7,9 +7,10 @@ A text's set is its distinct shingles of ``words`` words. Texts of equal sets fo
 * Index: positions are split into chunks of five; each chunk gives five keys, every one leaving a position out (the
   allowed chunk error). By the pigeonhole rule two signatures of distance 2 * chunks - 1 or less meet under one key at
   least. ``positions`` is set so that linked sets lie beyond that distance with a probability below 1e-5.
-* Links: round one checks each class against one pivot, the best of the smallest classes of its keys. Components of these links
-  leave few keys with classes of several components; round two checks all their pairs of different components. A group of
-  copies so costs one check a member, never all pairs, and no link between different components is left out.
+* Links: each class belongs to the family of the most connected pivot of its keys (an original, where there are variants).
+  Families are settled in blocks of classes, each set travelling once a block of its family and all pairs being counted from
+  postings inside the tasks. Keys that then still hold several components have the pairs of different families checked one by one. So
+  a group of copies is never written out as pairs, and no link between different components is left out.
 * A 64-bit sketch of one-bit MinHash values and the set sizes filter pairs before sets are compared.
 
 Sets travel as sorted 64-bit hashes. Only classes that share a key with another are compared, and only their texts are
@@ -28,7 +29,6 @@ from math import ceil, sqrt
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -204,43 +204,81 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(a, "src").join(b, "dst").select("src", "dst", "x", "y").mapInArrow(run, "src long, dst long")
 
 
+def linked(ids: list[int], sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+    """Links enough to join all sets that are linked with each other, directly or through others of the list. Every pair is
+    counted, by postings of the shingles, unless its ends are joined by then."""
+    sizes = np.fromiter(map(len, sets), np.int64, len(sets))
+    _, at = np.unique(np.concatenate(sets), return_inverse=True)
+    owner = np.repeat(np.arange(len(sets)), sizes)
+    order = np.argsort(at, kind="stable")
+    posts, ends = owner[order], np.cumsum(np.bincount(at))
+    begins = ends - np.bincount(at)
+    root, out = np.arange(len(sets)), []
+    for i, (lo, hi) in enumerate(zip(np.cumsum(sizes) - sizes, np.cumsum(sizes))):
+        mine = at[lo:hi]
+        both = np.bincount(np.concatenate([posts[b:e] for b, e in zip(begins[mine].tolist(), ends[mine].tolist())]), minlength=len(sets))
+        for j in np.flatnonzero((100 * both >= percent * (sizes[i] + sizes - both)) & (root != root[i])).tolist():
+            if root[j] != root[i]:
+                out.append((ids[i], ids[j]))
+                root[root == root[j]] = root[i]
+        if (root == root[0]).all():
+            break
+    return out
+
+
+def family_links(families: DataFrame, sets: DataFrame, percent: int, block: int = 1024) -> DataFrame:
+    """Links within families (family, cid): blocks of classes meet in pairs, so a task holds two blocks' sets at most."""
+    k = F.ceil(F.col("n") / block).cast("int")
+    sized = families.groupBy("family").agg(F.count("*").alias("n")).filter("n > 1").select("family", k.alias("k"))
+    rows = families.join(sized, "family").withColumn("b", F.pmod(F.xxhash64("cid"), F.col("k")).cast("int"))
+    rows = rows.withColumn("w", F.explode(F.sequence(F.lit(0), F.col("k") - 1))).select("family", "cid", F.least("b", "w").alias("i"), F.greatest("b", "w").alias("j"))
+
+    def run(t: pa.Table) -> pa.Table:
+        found = linked(t.column("cid").to_pylist(), [np.frombuffer(x, np.uint64) for x in t.column("set").to_pylist()], percent)
+        return pa.table({"src": pa.array([f[0] for f in found], pa.int64()), "dst": pa.array([f[1] for f in found], pa.int64())})
+
+    return rows.join(sets, "cid").select("family", "cid", "i", "j", "set").groupBy("family", "i", "j").applyInArrow(run, "src long, dst long")
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept: a row for each row of ``docs``."""
-    checkpoint_dir(docs.sparkSession)
+    checkpoint_dir(docs.sparkSession)  # checkpoints keep plans short, so that the driver holds little of them
     similarity = percent / 100
     n, near = positions_for(similarity), sketch_bound(similarity)
-    sketched = sketch_documents(docs, words, n).persist(StorageLevel.DISK_ONLY)
-    classes = sketched.filter(F.col("cid").isNotNull()).groupBy("cid").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("size"), F.first("sketch").alias("sketch"), F.first("sig").alias("sig")).persist(StorageLevel.DISK_ONLY)
+    sketched = sketch_documents(docs, words, n).checkpoint()
+    classes = sketched.filter(F.col("cid").isNotNull()).groupBy("cid").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("size"), F.first("sketch").alias("sketch"), F.first("sig").alias("sig")).checkpoint()
 
     keys = class_keys(classes, n)
-    shared = keys.groupBy("key").agg(F.min("cid").alias("pivot"), F.max("cid").alias("last")).filter("pivot <> last").select("key", "pivot")
+    shared = keys.groupBy("key").agg(F.min("cid").alias("lo"), F.max("cid").alias("hi"), F.count("*").alias("n")).filter("lo <> hi").select("key", "n")
     traits = classes.select("cid", "size", "sketch")
-    # members of keys that several classes share, with the key's pivot
-    members = keys.join(shared, "key").join(traits, "cid").persist(StorageLevel.DISK_ONLY)
+    # members of keys that several classes share
+    members = keys.join(shared, "key").join(traits, "cid").checkpoint()
+    # a key's pivot is the member that meets most others under its keys: the original, where the others are its variants
+    weight = members.groupBy("cid").agg(F.sum("n").alias("weight"))
+    pivot_of = members.select("key", "cid").join(weight, "cid").groupBy("key").agg(F.max_by("cid", F.struct("weight", "cid")).alias("pivot"))
 
     def alike(s1, k1, s2, k2):
         return (100 * F.least(s1, s2) >= percent * F.greatest(s1, s2)) & (F.bit_count(k1.bitwiseXOR(k2)) <= near)
 
-    pivots = traits.select(F.col("cid").alias("pivot"), F.col("size").alias("psize"), F.col("sketch").alias("psketch"))
-    tried = members.filter("cid <> pivot").select("cid", "pivot", "size", "sketch").distinct().join(pivots, "pivot")
+    pivots = traits.join(weight, "cid").select(F.col("cid").alias("pivot"), F.col("size").alias("psize"), F.col("sketch").alias("psketch"), "weight")
+    tried = members.join(pivot_of, "key").filter("cid <> pivot").select("cid", "pivot", "size", "sketch").distinct().join(pivots, "pivot")
     tried = tried.filter(alike(F.col("size"), F.col("sketch"), F.col("psize"), F.col("psketch")))
-    far = F.bit_count(F.col("sketch").bitwiseXOR(F.col("psketch")))
-    first = tried.groupBy("cid").agg(F.min_by("pivot", F.struct(far, F.col("pivot"))).alias("pivot")).select(F.col("pivot").alias("src"), F.col("cid").alias("dst"))
+    lead = tried.groupBy("cid").agg(F.max_by("pivot", F.struct("weight", "pivot")).alias("family")).checkpoint()
 
     wanted = members.select("cid").distinct().join(classes.select("cid", "doc_id"), "cid")
-    sets = fetch_sets(docs, wanted, words).persist(StorageLevel.DISK_ONLY)
-    links = confirm(first, sets, percent).checkpoint()
+    sets = fetch_sets(docs, wanted, words).checkpoint()
+    links = family_links(lead.select("family", "cid").unionByName(lead.select("family", F.col("family").alias("cid"))).distinct(), sets, percent).checkpoint()
     parts = connected_components(links).withColumnRenamed("id", "cid")
 
-    placed = members.join(parts, "cid", "left").withColumn("component", F.coalesce("component", "cid"))
+    placed = members.join(parts, "cid", "left").join(lead, "cid", "left").withColumn("component", F.coalesce("component", "cid")).withColumn("family", F.coalesce("family", "cid"))
     mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.min_by("component", "cid").alias("main")).filter("lo <> hi").select("key", "main")
-    open_ = placed.join(mixed, "key").select("key", "cid", "size", "sketch", "component", "main").checkpoint()
-    # all pairs of different components, one of them outside the main one
+    open_ = placed.join(mixed, "key").select("key", "cid", "size", "sketch", "component", "main", "family").checkpoint()
+    # all pairs of different components and families, one of them outside the key's main component
     u, v = open_.filter("component <> main").alias("u"), open_.alias("v")
     c = F.col
     rest = u.join(
         v,
-        (c("u.key") == c("v.key")) & (c("u.component") != c("v.component")) & ((c("v.component") == c("v.main")) | (c("u.cid") < c("v.cid")))
+        (c("u.key") == c("v.key")) & (c("u.component") != c("v.component")) & (c("u.family") != c("v.family")) & ((c("v.component") == c("v.main")) | (c("u.cid") < c("v.cid")))
         & alike(c("u.size"), c("u.sketch"), c("v.size"), c("v.sketch")),
     ).select(F.least("u.cid", "v.cid").alias("src"), F.greatest("u.cid", "v.cid").alias("dst")).distinct()
     more = confirm(rest, sets, percent)
