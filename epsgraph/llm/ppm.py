@@ -27,7 +27,6 @@ from math import log10
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 import xxhash
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
@@ -107,12 +106,6 @@ def grams(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return h[inside], begin - ORDER * np.arange(len(texts))
 
 
-def tally(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Different keys and their counts, by hash table."""
-    found = pc.value_counts(pa.array(keys))
-    return found.field("values").to_numpy(), found.field("counts").to_numpy()
-
-
 def looked_up(keys: np.ndarray, table_: np.ndarray, values: np.ndarray) -> np.ndarray:
     """The value of each key, all being in the sorted table: different keys are found by hash, and looked up once."""
     found = pa.array(keys).dictionary_encode()
@@ -145,7 +138,7 @@ def gram_requests(batches):
         for weight in (1, 0):
             part = [t for t, h in zip(texts, held) if h != weight]
             for lo, hi in chunks(part):
-                k, c = tally(grams(part[lo:hi])[0])
+                k, c = np.unique(grams(part[lo:hi])[0], return_counts=True)  # a sort beats a hash table here
                 parts.append((k, c * weight))
                 size += len(k)
                 if size > 4_000_000:
@@ -161,7 +154,7 @@ def gram_requests(batches):
 def batch_grams(group: pa.Table) -> pa.Table:
     """(batch, key): every gram of a batch."""
     texts = [(t.as_py() or "").encode() for t in group.column("text")]
-    keys = np.unique(np.concatenate([tally(grams(texts[lo:hi])[0])[0] for lo, hi in chunks(texts)]))
+    keys = np.unique(np.concatenate([np.unique(grams(texts[lo:hi])[0]) for lo, hi in chunks(texts)]))
     return pa.table({"batch": pa.array(np.full(len(keys), group.column("batch")[0].as_py(), np.int32)), "key": keys})
 
 
