@@ -5,7 +5,8 @@ identifiers (access ids, and weak ones: ``user``/``client``-style assignments),
 weak ones: 40-character base64-like runs of high entropy) and endpoints (URLs of API or storage hosts). Parts are joined
 by interval: two complementary parts are linked when both lie in one scope (a stretch of lines without an empty line) and at
 most ``reach`` code points apart. A weak part is reported only when a part of another role links to it; each candidate
-takes its nearest partner of each role, found by bisection in position order, so no pairs are enumerated.
+takes its nearest partner of each other role (their starts are in ``linked``, nearest first), found by bisection in position
+order, so no pairs are enumerated.
 
 Spans are kind:start:end in code points, end exclusive, over the whole match, ordered by start and kind.
 
@@ -18,6 +19,7 @@ from __future__ import annotations
 import re
 from bisect import bisect_left
 from collections.abc import Iterator
+from itertools import accumulate
 from math import log2
 
 import pyarrow as pa
@@ -76,35 +78,38 @@ class Scanner:
     def weak_secrets(self, text: str) -> list[tuple[str, int, int]]:
         return [("weak_secret", *m.span()) for m in self.weak_secret.finditer(text) if entropy(m[0]) >= self.min_entropy]
 
-    def link(self, text: str, parts: list[tuple[str, int, int]]) -> dict[int, int]:
-        """Position of the nearest complementary part in the same scope, by position of the part."""
-        found: dict[int, int] = {}
+    def link(self, text: str, parts: list[tuple[str, int, int]]) -> dict[int, list[int]]:
+        """Positions of the nearest part of each other role in the same scope, nearest first, by position of the part."""
+        found: dict[int, list[int]] = {}
         by_role: dict[str, list[int]] = {}
         for i, (kind, _, _) in enumerate(parts):
             by_role.setdefault(ROLES[kind], []).append(i)
         starts = {r: [parts[i][1] for i in at] for r, at in by_role.items()}
+        # Of the parts that start before, the nearest ends last; parts of a role may lie in one another.
+        last = {r: list(accumulate(at, lambda i, j: j if parts[j][2] >= parts[i][2] else i)) for r, at in by_role.items()}
         for i, (kind, start, end) in enumerate(parts):
-            best = None
+            near = []
             for role, at in by_role.items():
                 if role == ROLES[kind]:
                     continue
                 j = bisect_left(starts[role], start)
-                for k in (j - 1, j):
-                    if 0 <= k < len(at):
-                        _, s, e = parts[at[k]]
-                        gap = max(s - end, start - e, 0)
-                        if gap <= self.reach and not self._parted(text, min(end, e), max(start, s)) and (best is None or gap < best[0]):
-                            best = (gap, at[k])
-            if best:
-                found[i] = best[1]
+                tries = []
+                for k in (last[role][j - 1 : j] if j else []) + at[j : j + 1]:
+                    _, s, e = parts[k]
+                    gap = max(s - end, start - e, 0)
+                    if gap <= self.reach and not self._parted(text, min(end, e), max(start, s)):
+                        tries.append((gap, k))
+                near += [min(tries)] if tries else []
+            if near:
+                found[i] = [k for _, k in sorted(near)]
         return found
 
     @staticmethod
     def _parted(text: str, lo: int, hi: int) -> bool:
         return "\n\n" in text[lo:hi]
 
-    def spans(self, text: str) -> list[tuple[str, int, int, int]]:
-        """(kind, start, end, start of the linked part or -1) of what is reported."""
+    def spans(self, text: str) -> list[tuple[str, int, int, list[int]]]:
+        """(kind, start, end, starts of the linked parts, nearest first) of what is reported."""
         base = self.base(text)
         weak = self.weak(text, text.lower())
         # Weak secrets count only beside an identifier or an endpoint.
@@ -113,12 +118,12 @@ class Scanner:
             weak += [p for p in self.weak_secrets(text) if p[1:] not in taken and not any(s <= p[1] and p[2] <= e for s, e in taken)]
         parts = sorted(base + weak, key=lambda p: (p[1], KINDS[p[0]]))
         links = self.link(text, parts) if len(parts) > 1 else {}
-        # An endpoint and a weak id confirm each other only through a secret, so a weak part needs a secret in its pair.
-        keep = lambda i: parts[i][0] in BASE or i in links and "secret" in (ROLES[parts[i][0]], ROLES[parts[links[i]][0]])
-        return [(*p, parts[links[i]][1] if i in links else -1) for i, p in enumerate(parts) if keep(i)]
+        # An endpoint and a weak id confirm each other only through a secret, so a weak part needs a secret among its partners or to be one.
+        keep = lambda i: parts[i][0] in BASE or i in links and "secret" in (ROLES[parts[k][0]] for k in (i, *links[i]))
+        return [(*p, [parts[k][1] for k in links.get(i, [])]) for i, p in enumerate(parts) if keep(i)]
 
 
-SPANS = "array<struct<kind: string, start: bigint, end: bigint, linked: bigint>>"
+SPANS = "array<struct<kind: string, start: bigint, end: bigint, linked: array<bigint>>>"
 
 
 def scan_secrets(docs: DataFrame, reach: int = 400) -> DataFrame:
@@ -126,7 +131,7 @@ def scan_secrets(docs: DataFrame, reach: int = 400) -> DataFrame:
     schema = T.StructType([f for f in docs.schema.fields if f.name != "secret_spans"]).add("secret_spans", T._parse_datatype_string(SPANS))
     docs = docs.select(*[f.name for f in schema.fields[:-1]])
     at = docs.columns.index("text")
-    kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("linked", pa.int64())]))
+    kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("linked", pa.list_(pa.int64()))]))
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scanner = Scanner(reach)
