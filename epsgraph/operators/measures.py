@@ -22,7 +22,12 @@ def degree_histogram(edges: DataFrame, p: DataFrame) -> DataFrame:
 
 def graph_stats(edges: DataFrame, p: DataFrame) -> DataFrame:
     """n, pairs, directed, avg_degree, max_degree, isolated."""
-    return degrees(edges, p).agg(
+    return degree_stats(degrees(edges, p))
+
+
+def degree_stats(d: DataFrame) -> DataFrame:
+    """``graph_stats`` from (pid, degree) of every point."""
+    return d.agg(
         F.count("*").alias("n"), (F.sum("degree") / 2).cast("long").alias("pairs"), F.sum("degree").alias("directed"), F.round(F.sum("degree") / F.count("*"), 6).alias("avg_degree"),
         F.max("degree").alias("max_degree"), F.count_if(F.col("degree") == 0).alias("isolated"),
     )

@@ -56,7 +56,8 @@ GRAPHS: dict[str, tuple[Callable, str]] = {
     "graph_ring_rounds_e8": _graph(ring(n=6, rounds_per_job=2), "e8"),
     "graph_ring_exact_blocks_e8": _graph(ring(n=5, exact=True), "e8"),
     "graph_ring_grid_e64": _graph(lambda p, eps, m: R.grid_graph(p, eps, m, 4), "e64"),
-    **{f"graph_landmark_coll_{n}": _graph(landmark(m=16), n) for n in ("e2", "e4", "e8", "e20", "e64", "lgf", "url", "w1", "ut")},
+    **{f"graph_landmark_coll_{n}": _graph(landmark(m=16), n) for n in ("e2", "e4", "e8", "e20", "e64", "url", "w1", "ut")},
+    "graph_landmark_coll_lgf": _graph(distinct(landmark(m=16)), "lgf_all"),
     "graph_landmark_coll_h800": _graph(distinct(landmark(m=16)), "h800"),
     **{f"graph_landmark_ring_{n}": _graph(landmark(m=16, ghost="ring", rounds=3), n) for n in ("e2", "e8", "h256", "names")},
     "graph_landmark_greedy_e4": _graph(landmark(m=8, how="greedy"), "e4"),
@@ -70,7 +71,8 @@ GRAPHS: dict[str, tuple[Callable, str]] = {
     "graph_landmark_m10_e8": _graph(landmark(m=10), "e8"),
     "graph_landmark_m60_e8": _graph(landmark(m=60), "e8"),
     "graph_covertree_single_e8": _graph(landmark(m=1, leaf_size=1), "e8"),
-    **{f"graph_pca_sort_{n}": _graph(lambda p, eps, m: B.pca_sort_graph(p, eps), n) for n in ("e8", "e20", "e64", "lgf")},
+    **{f"graph_pca_sort_{n}": _graph(lambda p, eps, m: B.pca_sort_graph(p, eps), n) for n in ("e8", "e20", "e64")},
+    "graph_pca_sort_lgf": _graph(distinct(lambda p, eps, m: B.pca_sort_graph(p, eps)), "lgf_all"),
     "graph_pca_sort_local_e20": _graph(lambda p, eps, m: B.pca_sort_graph(p, eps, how="local"), "e20"),
     "graph_kdtree_p2": _graph(lambda p, eps, m: R.kdtree_graph(p, eps, 4), "p2"),
     "graph_balltree_e8": _graph(lambda p, eps, m: R.balltree_graph(p, eps, m, 4), "e8"),
@@ -135,13 +137,18 @@ def _cell_stats(spark: SparkSession, d: str) -> DataFrame:
     return L.cell_stats(L.assign(p, _ids(p), E4.metric())).select("cell", "size", F.round("radius", ROUND).alias("radius"))
 
 
-def _sweep(name: str) -> tuple[Callable, str]:
+def _sweep(name: str, copies: bool = False) -> tuple[Callable, str]:
+    """Statistics at each radius; with ``copies`` from a graph of distinct payloads, so pairs of copies are not written out."""
     ps = SETS[name]
 
+    def stats(p: DataFrame, eps: float) -> DataFrame:
+        build = lambda q: planner.near_graph(q, eps, ps.metric())
+        return C.degree_stats(B.weighted_degrees(*B.over_distinct(p, build, expanded=False))) if copies else C.graph_stats(build(p), p)
+
     def run(spark: SparkSession, d: str) -> DataFrame:
         p, out = ps.build(spark, d), None
         for eps in ps.radii:
-            s = C.graph_stats(planner.near_graph(p, eps, ps.metric()), p).withColumn("eps", F.lit(float(eps)))
+            s = stats(p, eps).withColumn("eps", F.lit(float(eps)))
             out = s if out is None else out.unionByName(s)
         return out
 
@@ -208,11 +215,12 @@ MEASURES: dict[str, tuple[Callable, str | None]] = {
     "ghosts_bisector_e4": (_ghosts("bisector"), _ghosts_sql(False)),
     "ghosts_both_e4": (_ghosts("both"), _ghosts_sql(True)),
     "degree_hist_e20": (lambda s, d: C.degree_histogram(e := L.landmark_graph(p := SETS["e20"].build(s, d), 0.59), p), _sym_sql(SETS["e20"]) + ", g AS (SELECT p.pid, count(s.src) AS degree FROM p LEFT JOIN s ON s.src = p.pid GROUP BY p.pid) SELECT degree, count(*) AS points FROM g GROUP BY degree"),
-    **{f"graph_stats_sweep_{w}": _sweep(n) for w, n in {"w1": "e20", "w2": "e40", "w3": "e32", "w4": "e64", "w5": "lgf", "w6": "uc", "w8": "h256", "w10": "url", "w12": "w1", "w13": "e2", "w14": "p2"}.items()},
+    **{f"graph_stats_sweep_{w}": _sweep(n) for w, n in {"w1": "e20", "w2": "e40", "w3": "e32", "w4": "e64", "w6": "uc", "w8": "h256", "w10": "url", "w12": "w1", "w13": "e2", "w14": "p2"}.items()},
+    "graph_stats_sweep_w5": _sweep("lgf_all", copies=True),
     "graph_dups_lg": (_lg_degrees, LG_SQL),
     "compare_ring_landmark": (_compare, "SELECT CAST(0 AS BIGINT) AS missing, CAST(0 AS BIGINT) AS extra, CAST(0.0 AS DOUBLE) AS max_error"),
     "nestedness_e8": (_nested, "SELECT CAST(0 AS BIGINT) AS lost"),
-    **{f"balance_{how}": ((lambda s, d, how=how: C.balance_stats(p := SETS["lgf"].build(s, d), L.centers(p, 32), 5, how)), None) for how in ("cyclic", "lpt")},
+    **{f"balance_{how}": ((lambda s, d, how=how: C.balance_stats(p := SETS["lgf_all"].build(s, d), L.centers(p, 32), 5, how)), None) for how in ("cyclic", "lpt")},
     "tree_invariants_e8": (lambda s, d: D.tree_check(E8.build(s, d), leaf_size=1, bailout=1.0), "SELECT unnest(['partition', 'covering', 'separating', 'shrinking']) AS invariant, CAST(0 AS BIGINT) AS violations"),
     "tree_stats_e4": (lambda s, d: D.tree_stats(E4.build(s, d), 0.141), None),
     "tree_rows_e4": (lambda s, d: D.tree_rows(E4.build(s, d)), None),
