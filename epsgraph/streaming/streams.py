@@ -137,12 +137,12 @@ def timed_graph(stream: DataFrame, eps: float, seconds: float) -> DataFrame:
 
 
 def value_graph_timed(spark: SparkSession, d: str) -> DataFrame:
-    points = events(spark, d).filter("event_id % 5 = 0").withWatermark("ts", "1 hour").select(F.col("event_id").alias("pid"), F.col("value").alias("x"), "ts")
+    points = events(spark, d).withWatermark("ts", "1 hour").select(F.col("event_id").alias("pid"), F.col("value").alias("x"), "ts")
     return drained(timed_graph(points, 0.5, 86400)).select("src", "dst", F.round("dist", 6).alias("dist"))
 
 
 def value_graph(spark: SparkSession, d: str) -> DataFrame:
-    points = events(spark, d).filter("event_id % 10 = 0").select(F.col("event_id").alias("pid"), F.col("value").alias("x"))
+    points = events(spark, d).select(F.col("event_id").alias("pid"), F.col("value").alias("x"))
     return drained(graph(points, 0.05)).select("src", "dst", F.round("dist", 6).alias("dist"))
 
 
@@ -153,6 +153,6 @@ QUERIES: dict[str, tuple[Callable, str | None]] = {
     "stream_dedup": (deduplicated, "SELECT DISTINCT event_id, user_id FROM events"),
     "stream_static_nearest": (static_nearest, "SELECT event_id, c AS centre FROM (SELECT event_id, c, row_number() OVER (PARTITION BY event_id ORDER BY abs(value - c), c) AS k FROM events, (SELECT CAST(unnest(range(10)) * 50 AS DOUBLE) AS c)) WHERE k = 1"),
     "stream_interval_join": (interval_join, "SELECT c.event_id AS click, p.event_id AS purchase FROM events c JOIN events p ON c.user_id = p.user_id AND c.event_type = 'click' AND p.event_type = 'purchase' AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR"),
-    "stream_graph_value1d": (value_graph, "WITH p AS (SELECT event_id AS pid, value AS x FROM events WHERE event_id % 10 = 0) SELECT a.pid AS src, b.pid AS dst, round(abs(a.x - b.x), 6) AS dist FROM p a JOIN p b ON a.pid < b.pid AND abs(a.x - b.x) <= 0.05"),
-    "stream_graph_timed": (value_graph_timed, "WITH p AS (SELECT event_id AS pid, value AS x, epoch(ts) AS t FROM events WHERE event_id % 5 = 0) SELECT a.pid AS src, b.pid AS dst, round(abs(a.x - b.x), 6) AS dist FROM p a JOIN p b ON a.pid < b.pid AND abs(a.x - b.x) <= 0.5 AND abs(a.t - b.t) <= 86400"),
+    "stream_graph_value1d": (value_graph, "WITH p AS (SELECT event_id AS pid, value AS x FROM events) SELECT a.pid AS src, b.pid AS dst, round(abs(a.x - b.x), 6) AS dist FROM p a JOIN p b ON a.pid < b.pid AND abs(a.x - b.x) <= 0.05"),
+    "stream_graph_timed": (value_graph_timed, "WITH p AS (SELECT event_id AS pid, value AS x, epoch(ts) AS t FROM events) SELECT a.pid AS src, b.pid AS dst, round(abs(a.x - b.x), 6) AS dist FROM p a JOIN p b ON a.pid < b.pid AND abs(a.x - b.x) <= 0.5 AND abs(a.t - b.t) <= 86400"),
 }

@@ -57,3 +57,26 @@ def test_balance_of_all_line_items(spark, lines, how):
     d, x = lines
     r = registry.ALL[f"balance_{how}"][0](spark, d).first()
     assert r.mean_cell * r.cells == pytest.approx(len(x))
+
+
+@pytest.fixture(scope="module")
+def clicks(tmp_path_factory):
+    """A folder with 300 events of odd ids in two days, and their ids, values and seconds."""
+    rng = np.random.default_rng(1)
+    n = 300
+    pid, x, t = np.arange(n) * 10 + 3, rng.random(n).round(3) * 9, 1_704_067_200 + rng.integers(0, 2 * 86400, n)
+    d = tmp_path_factory.mktemp("clicks")
+    pq.write_table(pa.table({"event_id": pid, "ts": pa.array(t * 1_000_000, pa.timestamp("us")), "value": x}), d / "events.parquet")
+    return str(d), pid.tolist(), x, t
+
+
+def test_stream_graph_of_all_events(spark, clicks):
+    d, pid, x, _ = clicks
+    check_edges(registry.ALL["stream_graph_value1d"][0](spark, d), near(pid, x[:, None], 0.05))
+
+
+def test_timed_stream_graph_of_all_events(spark, clicks):
+    d, pid, x, t = clicks
+    at = dict(zip(pid, t.tolist()))
+    want = {(a, b): v for (a, b), v in near(pid, x[:, None], 0.5).items() if abs(at[a] - at[b]) <= 86400}
+    check_edges(registry.ALL["stream_graph_timed"][0](spark, d), want)
