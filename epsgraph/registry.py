@@ -78,7 +78,8 @@ GRAPHS: dict[str, tuple[Callable, str]] = {
     "graph_balltree_e8": _graph(lambda p, eps, m: R.balltree_graph(p, eps, m, 4), "e8"),
     "graph_vptree_names": _graph(lambda p, eps, m: R.vptree_graph(p, eps, m, 2), "names"),
     "graph_jaccard_docs": _graph(distinct(landmark(m=16)), "jaccard", 0),
-    **{f"graph_auto_{n}": _graph(lambda p, eps, m: planner.near_graph(p, eps, m), n) for n in ("ca", "o2", "uc", "e64_angular")},
+    **{f"graph_auto_{n}": _graph(lambda p, eps, m: planner.near_graph(p, eps, m), n) for n in ("ca", "uc", "e64_angular")},
+    "graph_auto_o2": _graph(lambda p, eps, m: planner.near_graph(p, eps, m), "o2_all"),
 }
 
 E4, E8, E2 = SETS["e4"], SETS["e8"], SETS["e2"]

@@ -162,6 +162,13 @@ def token_sets(spark: SparkSession, d: str) -> DataFrame:
     return points(read(spark, d, "documents"), "doc_id", F.array_sort(F.array_distinct(F.split(F.lower("text"), " "))))
 
 
+def orders(o: DataFrame) -> DataFrame:
+    return points(o, "o_orderkey", F.array(F.col("o_totalprice") / 1000, F.datediff("o_orderdate", F.lit("1992-01-01")) / 10))
+
+
+ORDERS_SQL = "SELECT o_orderkey AS pid, [o_totalprice / 1000, date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) / 10] AS vec FROM orders"
+
+
 SETS: dict[str, PointSet] = {
     **{
         f"e{k}": PointSet(embeddings(k), embeddings_sql(k), L2_SQL, lambda: metric("l2"), r)
@@ -185,9 +192,7 @@ SETS: dict[str, PointSet] = {
     "names": PointSet(names, "SELECT row_number() OVER (ORDER BY p_name) AS pid, p_name AS vec FROM (SELECT DISTINCT p_name FROM part)", "levenshtein(a.vec, b.vec)", lambda: metric("edit"), (2, 3, 5)),
     "ca": PointSet(lambda spark, d: points(read(spark, d, "customer"), "c_custkey", F.array("c_acctbal")), "SELECT c_custkey AS pid, [c_acctbal] AS vec FROM customer", "abs(a.vec[1] - b.vec[1])", lambda: metric("l1"), (1.005, 5.005, 50.005)),
     "p2": PointSet(lambda spark, d: points(read(spark, d, "part"), "p_partkey", F.array(F.col("p_size").cast("double"), "p_retailprice")), "SELECT p_partkey AS pid, [CAST(p_size AS DOUBLE), p_retailprice] AS vec FROM part", L2_SQL, lambda: metric("l2"), (1.005, 2.005, 5.005)),
-    "o2": PointSet(
-        lambda spark, d: points(read(spark, d, "orders").filter(F.col("o_orderkey") % 5 == 0), "o_orderkey", F.array(F.col("o_totalprice") / 1000, F.datediff("o_orderdate", F.lit("1992-01-01")) / 10)),
-        "SELECT o_orderkey AS pid, [o_totalprice / 1000, date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) / 10] AS vec FROM orders WHERE o_orderkey % 5 = 0", L2_SQL, lambda: metric("l2"), (2.003, 5.003, 10.003),
-    ),
+    "o2": PointSet(lambda spark, d: orders(read(spark, d, "orders").filter(F.col("o_orderkey") % 5 == 0)), ORDERS_SQL + " WHERE o_orderkey % 5 = 0", L2_SQL, lambda: metric("l2"), (2.003, 5.003, 10.003)),
+    "o2_all": PointSet(lambda spark, d: orders(read(spark, d, "orders")), ORDERS_SQL, L2_SQL, lambda: metric("l2"), (2.003, 5.003, 10.003)),
     "jaccard": PointSet(token_sets, "SELECT doc_id AS pid, list_distinct(string_split(lower(text), ' ')) AS vec FROM documents", "1 - len(list_intersect(a.vec, b.vec)) / (len(a.vec) + len(b.vec) - len(list_intersect(a.vec, b.vec)))", lambda: metric("jaccard"), (0.1, 0.2)),
 }

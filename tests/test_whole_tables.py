@@ -80,3 +80,12 @@ def test_timed_stream_graph_of_all_events(spark, clicks):
     at = dict(zip(pid, t.tolist()))
     want = {(a, b): v for (a, b), v in near(pid, x[:, None], 0.5).items() if abs(at[a] - at[b]) <= 86400}
     check_edges(registry.ALL["stream_graph_timed"][0](spark, d), want)
+
+
+def test_graph_of_all_orders(spark, tmp_path):
+    rng = np.random.default_rng(2)
+    n = 200
+    price, day = (rng.random(n) * 1e5).round(2), rng.integers(0, 900, n)
+    key = np.arange(n) * 5 + 2
+    pq.write_table(pa.table({"o_orderkey": key, "o_totalprice": price, "o_orderdate": pa.array(np.datetime64("1992-01-01") + day)}), tmp_path / "orders.parquet")
+    check_edges(registry.ALL["graph_auto_o2"][0](spark, str(tmp_path)), near(key.tolist(), np.column_stack([price / 1000, day / 10]), 5.003))
