@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -69,14 +71,16 @@ def local_clustering(edges: DataFrame, p: DataFrame) -> DataFrame:
     return r.select("pid", t0.alias("triangles"), F.when(F.col("k") > 1, 2 * t0 / (F.col("k") * (F.col("k") - 1))).otherwise(0.0).alias("clustering"))
 
 
-def geodesics(edges: DataFrame, sources: list[int], max_hops: int = 64) -> DataFrame:
-    """(source, pid, dist): shortest path lengths, by relaxing frontiers until none gets shorter."""
+def geodesics(edges: DataFrame, sources: list[int], max_hops: int | None = None) -> DataFrame:
+    """(source, pid, dist): shortest path lengths, by relaxing frontiers until none gets shorter; refuses to stop at ``max_hops``."""
     spark = edges.sparkSession
     checkpoint_dir(spark)
     both = symmetric(edges).select("src", "dst", "dist").checkpoint()
     best = spark.createDataFrame([(s, s, 0.0) for s in sources], "source long, pid long, d double").checkpoint()
     front = best
-    for _ in range(max_hops):
+    for hop in count():
+        if hop == max_hops:
+            raise RuntimeError(f"paths did not settle in {max_hops} hops")
         reach = front.join(both, F.col("pid") == F.col("src")).select("source", F.col("dst").alias("pid"), (F.col("d") + F.col("dist")).alias("n")).groupBy("source", "pid").agg(F.min("n").alias("n"))
         both_ = best.join(reach, ["source", "pid"], "full")
         shorter = F.col("d").isNull() | (F.col("n") < F.col("d") - 1e-12)

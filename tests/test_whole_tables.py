@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 
 from epsgraph import registry
+from epsgraph.operators import downstream
 
 
 def near(pids, x, eps):
@@ -89,3 +90,11 @@ def test_graph_of_all_orders(spark, tmp_path):
     key = np.arange(n) * 5 + 2
     pq.write_table(pa.table({"o_orderkey": key, "o_totalprice": price, "o_orderdate": pa.array(np.datetime64("1992-01-01") + day)}), tmp_path / "orders.parquet")
     check_edges(registry.ALL["graph_auto_o2"][0](spark, str(tmp_path)), near(key.tolist(), np.column_stack([price / 1000, day / 10]), 5.003))
+
+
+def test_geodesics_go_to_the_end_of_a_long_path_or_refuse(spark):
+    n = 67
+    e = spark.createDataFrame([(i, i + 1, 1.0) for i in range(n - 1)], "src long, dst long, dist double").coalesce(1)
+    assert {r.pid: r.dist for r in downstream.geodesics(e, [0]).collect()} == {i: float(i) for i in range(n)}
+    with pytest.raises(RuntimeError):
+        downstream.geodesics(e, [0], max_hops=3)
