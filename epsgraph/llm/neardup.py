@@ -8,9 +8,10 @@ A text's set is its distinct shingles of ``words`` words. Texts of equal sets fo
   allowed chunk error). By the pigeonhole rule two signatures of distance 2 * chunks - 1 or less meet under one key at
   least. ``positions`` is set so that linked sets lie beyond that distance with a probability below 1e-5.
 * Links: each class belongs to the family of the most connected pivot of its keys (an original, where there are variants).
-  Families are settled in blocks of classes, each set travelling once a block of its family and all pairs being counted from
-  postings inside the tasks. Keys that then still hold several components have the pairs of different families checked one by one. So
-  a group of copies is never written out as pairs, and no link between different components is left out.
+  A family is settled in bounded blocks that all hold the pivot, so each set travels once. Where a key then still holds
+  several components, what meets the largest of them (under any key) is compared with it and with each other in cells of
+  bounded blocks, ordered by size; members of one component never need each other. Tasks count all pairs from postings
+  and return only links that join something, so no pairs are written out and no link between components is left out.
 * A 64-bit sketch of one-bit MinHash values and the set sizes filter pairs before sets are compared.
 
 Sets travel as sorted 64-bit hashes. Only classes that share a key with another are compared, and only their texts are
@@ -24,12 +25,12 @@ its members' ids are null; repeated rows are members like any others; other colu
 from __future__ import annotations
 
 from collections.abc import Iterator
-from math import ceil, sqrt
+from math import ceil, log, sqrt
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.components import checkpoint_dir, connected_components
@@ -186,36 +187,20 @@ def fetch_sets(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
     return wanted.join(d, F.col("d").eqNullSafe(F.col("doc_id"))).select("cid", "text").mapInArrow(run, "cid long, set binary").dropDuplicates(["cid"])
 
 
-def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (src, dst) whose full sets have 100 * intersection >= percent * union."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            keep = []
-            for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                at = np.searchsorted(y, x)
-                both = int((y[np.minimum(at, len(y) - 1)] == x).sum())
-                keep.append(100 * both >= percent * (len(x) + len(y) - both))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], ["src", "dst"]).filter(pa.array(keep, pa.bool_()))
-
-    a = sets.select(F.col("cid").alias("src"), F.col("set").alias("x"))
-    b = sets.select(F.col("cid").alias("dst"), F.col("set").alias("y"))
-    return pairs.join(a, "src").join(b, "dst").select("src", "dst", "x", "y").mapInArrow(run, "src long, dst long")
-
-
-def linked(ids: list[int], sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+def linked(ids: list[int], sets: list[np.ndarray], percent: int, root: np.ndarray | None = None, lead: np.ndarray | None = None) -> list[tuple[int, int]]:
     """Links enough to join all sets that are linked with each other, directly or through others of the list. Every pair is
-    counted, by postings of the shingles, unless its ends are joined by then."""
+    counted, by postings of the shingles, unless its ends are joined by then. ``root`` names what is joined beforehand; with
+    ``lead`` only pairs with one of these rows count."""
     sizes = np.fromiter(map(len, sets), np.int64, len(sets))
     _, at = np.unique(np.concatenate(sets), return_inverse=True)
     owner = np.repeat(np.arange(len(sets)), sizes)
     order = np.argsort(at, kind="stable")
     posts, ends = owner[order], np.cumsum(np.bincount(at))
     begins = ends - np.bincount(at)
-    root, out = np.arange(len(sets)), []
-    for i, (lo, hi) in enumerate(zip(np.cumsum(sizes) - sizes, np.cumsum(sizes))):
-        mine = at[lo:hi]
+    stops = np.cumsum(sizes)
+    root, out = (np.arange(len(sets)) if root is None else root.copy()), []
+    for i in range(len(sets)) if lead is None else np.flatnonzero(lead).tolist():
+        mine = at[stops[i] - sizes[i] : stops[i]]
         both = np.bincount(np.concatenate([posts[b:e] for b, e in zip(begins[mine].tolist(), ends[mine].tolist())]), minlength=len(sets))
         for j in np.flatnonzero((100 * both >= percent * (sizes[i] + sizes - both)) & (root != root[i])).tolist():
             if root[j] != root[i]:
@@ -226,18 +211,81 @@ def linked(ids: list[int], sets: list[np.ndarray], percent: int) -> list[tuple[i
     return out
 
 
-def family_links(families: DataFrame, sets: DataFrame, percent: int, block: int = 1024) -> DataFrame:
-    """Links within families (family, cid): blocks of classes meet in pairs, so a task holds two blocks' sets at most."""
-    k = F.ceil(F.col("n") / block).cast("int")
-    sized = families.groupBy("family").agg(F.count("*").alias("n")).filter("n > 1").select("family", k.alias("k"))
-    rows = families.join(sized, "family").withColumn("b", F.pmod(F.xxhash64("cid"), F.col("k")).cast("int"))
-    rows = rows.withColumn("w", F.explode(F.sequence(F.lit(0), F.col("k") - 1))).select("family", "cid", F.least("b", "w").alias("i"), F.greatest("b", "w").alias("j"))
+def _pairs(found: list[tuple[int, int]]) -> pa.Table:
+    return pa.table({"src": pa.array([f[0] for f in found], pa.int64()), "dst": pa.array([f[1] for f in found], pa.int64())})
+
+
+def _sets(t: pa.Table) -> list[np.ndarray]:
+    return [np.frombuffer(x, np.uint64) for x in t.column("set").to_pylist()]
+
+
+def family_links(lead: DataFrame, sets: DataFrame, percent: int, most: int = 1 << 19) -> DataFrame:
+    """Links within blocks of families (family, cid, size), the family's pivot being in each block. A set travels once and a
+    pivot once a block, and a task holds a block of about ``most`` shingles."""
+    k = F.ceil(F.sum("size") / most).cast("int")
+    blocks = lead.groupBy("family").agg(k.alias("k"))
+    rows = lead.join(blocks, "family").select("family", "cid", F.pmod(F.xxhash64("cid"), F.col("k")).cast("int").alias("b"))
+    pivots = blocks.select("family", F.col("family").alias("cid"), F.explode(F.sequence(F.lit(0), F.col("k") - 1)).alias("b"))
+
+    def run(t: pa.Table) -> pa.Table:
+        return _pairs(linked(t.column("cid").to_pylist(), _sets(t), percent))
+
+    return rows.unionByName(pivots).join(sets, "cid").groupBy("family", "b").applyInArrow(run, "src long, dst long")
+
+
+def cells(rows: DataFrame, weight: Column, most: int, percent: int) -> DataFrame:
+    """``rows`` (main, cid, component, size, ...) dealt into the cells (main, g, i, x) in which they are compared.
+
+    A row of the main component needs no other one of it, so blocks of the others (U) meet blocks of the main one (V) and
+    each other. Sets more than a size step apart are not compared: a step g holds the sizes of one step and the next.
+    A block weighs about ``most``, so a cell is bounded; a row of V travels once a block of U in its step."""
+    # a little below the ratio, so that rounding cannot part two sizes that may be linked
+    step = F.floor(F.log("size") / F.lit(-log(percent / 100 - 0.005))).cast("int")
+    own = rows.withColumn("step", step).withColumn("outer", F.col("component") != F.col("main"))
+    own = own.withColumn("g", F.explode(F.array(F.col("step"), F.col("step") - 1))).withColumn("low", F.col("step") == F.col("g"))
+    blocks = lambda side: F.coalesce(F.ceil(F.sum(F.when(side, weight)) / most), F.lit(0)).cast("int")
+    sizes = own.groupBy("main", "g").agg(blocks(F.col("outer")).alias("ku"), blocks(~F.col("outer")).alias("kv"), F.max("low").alias("some")).filter("some and ku > 0")
+    own = own.join(sizes.drop("some"), ["main", "g"]).withColumn("h", F.xxhash64("cid"))
+    u, v = F.pmod("h", F.col("ku")).cast("int"), F.expr("cast(pmod(h, greatest(kv, 1)) as int)")
+    to = lambda i, x: F.struct(i.cast("int").alias("i"), x.cast("int").alias("x"))
+    with_main = F.transform(F.sequence(F.lit(0), F.greatest("kv", F.lit(1)) - 1), lambda x: to(u, x))
+    with_others = F.transform(F.filter(F.sequence(F.lit(0), F.col("ku") - 1), lambda j: j != u), lambda j: to(F.least(j, u), F.col("kv") + 1 + F.greatest(j, u)))
+    home = F.transform(F.sequence(F.lit(0), F.col("ku") - 1), lambda i: to(i, v))
+    return own.withColumn("to", F.explode(F.when(F.col("outer"), F.concat(with_main, with_others)).otherwise(home))).select(*rows.columns, "outer", "low", "g", "to.i", "to.x")
+
+
+CELL = ("main", "g", "i", "x")
+
+
+def with_partner(rows: DataFrame, percent: int, near: int, most: int = 8192) -> DataFrame:
+    """The rows (main, cid, component, size, sketch) that sizes and sketches allow a link with one of another component."""
+
+    def run(t: pa.Table) -> pa.Table:
+        comp, size, sketch = (t.column(c).to_numpy() for c in ("component", "size", "sketch"))
+        outer, low = (t.column(c).to_numpy(zero_copy_only=False) for c in ("outer", "low"))
+        keep = np.zeros(len(comp), bool)
+        for i in np.flatnonzero(outer).tolist():
+            ok = (comp != comp[i]) & (100 * np.minimum(size, size[i]) >= percent * np.maximum(size, size[i])) & (low | low[i])
+            ok[ok] = np.bitwise_count(sketch[ok] ^ sketch[i]) <= near
+            keep |= ok
+            keep[i] |= ok.any()
+        return t.select(["main", "cid"]).filter(pa.array(keep, pa.bool_()))
+
+    light = cells(rows, F.lit(1), most, percent).select("main", "cid", "component", "size", "sketch", "outer", "low", "g", "i", "x")
+    found = light.groupBy(*CELL).applyInArrow(run, "main long, cid long").distinct()
+    return rows.select("main", "cid", "component", "size").join(found, ["main", "cid"], "left_semi")
+
+
+def component_links(rows: DataFrame, sets: DataFrame, percent: int, most: int = 1 << 19) -> DataFrame:
+    """Links between components (src, dst), enough to join those that any two compared rows link."""
 
     def run(t: pa.Table) -> pa.Table:
-        found = linked(t.column("cid").to_pylist(), [np.frombuffer(x, np.uint64) for x in t.column("set").to_pylist()], percent)
-        return pa.table({"src": pa.array([f[0] for f in found], pa.int64()), "dst": pa.array([f[1] for f in found], pa.int64())})
+        comp, root = np.unique(t.column("component").to_numpy(), return_inverse=True)
+        found = linked(comp[root].tolist(), _sets(t), percent, root, t.column("outer").to_numpy(zero_copy_only=False))
+        return _pairs(found)
 
-    return rows.join(sets, "cid").select("family", "cid", "i", "j", "set").groupBy("family", "i", "j").applyInArrow(run, "src long, dst long")
+    dealt = cells(rows, F.col("size"), most, percent).select("cid", "component", "outer", *CELL)
+    return dealt.join(sets, "cid").groupBy(*CELL).applyInArrow(run, "src long, dst long")
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
@@ -263,28 +311,23 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataF
     pivots = traits.join(weight, "cid").select(F.col("cid").alias("pivot"), F.col("size").alias("psize"), F.col("sketch").alias("psketch"), "weight")
     tried = members.join(pivot_of, "key").filter("cid <> pivot").select("cid", "pivot", "size", "sketch").distinct().join(pivots, "pivot")
     tried = tried.filter(alike(F.col("size"), F.col("sketch"), F.col("psize"), F.col("psketch")))
-    lead = tried.groupBy("cid").agg(F.max_by("pivot", F.struct("weight", "pivot")).alias("family")).checkpoint()
+    lead = tried.groupBy("cid").agg(F.max_by("pivot", F.struct("weight", "pivot")).alias("family"), F.first("size").alias("size")).checkpoint()
 
     wanted = members.select("cid").distinct().join(classes.select("cid", "doc_id"), "cid")
     sets = fetch_sets(docs, wanted, words).checkpoint()
-    links = family_links(lead.select("family", "cid").unionByName(lead.select("family", F.col("family").alias("cid"))).distinct(), sets, percent).checkpoint()
+    links = family_links(lead, sets, percent).checkpoint()
     parts = connected_components(links).withColumnRenamed("id", "cid")
 
-    placed = members.join(parts, "cid", "left").join(lead, "cid", "left").withColumn("component", F.coalesce("component", "cid")).withColumn("family", F.coalesce("family", "cid"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.min_by("component", "cid").alias("main")).filter("lo <> hi").select("key", "main")
-    open_ = placed.join(mixed, "key").select("key", "cid", "size", "sketch", "component", "main", "family").checkpoint()
-    # all pairs of different components and families, one of them outside the key's main component
-    u, v = open_.filter("component <> main").alias("u"), open_.alias("v")
+    # keys that hold several components yet: all that meet a main component under any key are compared in its cells
     c = F.col
-    rest = u.join(
-        v,
-        (c("u.key") == c("v.key")) & (c("u.component") != c("v.component")) & (c("u.family") != c("v.family")) & ((c("v.component") == c("v.main")) | (c("u.cid") < c("v.cid")))
-        & alike(c("u.size"), c("u.sketch"), c("v.size"), c("v.sketch")),
-    ).select(F.least("u.cid", "v.cid").alias("src"), F.greatest("u.cid", "v.cid").alias("dst")).distinct()
-    more = confirm(rest, sets, percent)
-    parts = connected_components(links.unionByName(more)).withColumnRenamed("id", "cid")
+    placed = members.join(parts, "cid", "left").withColumn("component", F.coalesce("component", "cid"))
+    mixed = placed.groupBy("key", "component").count().groupBy("key").agg(F.max_by("component", F.struct("count", "component")).alias("main"), F.count("*").alias("kinds")).filter("kinds > 1")
+    open_ = placed.join(mixed.select("key", "main"), "key").select("main", "cid", "component", "size", "sketch").distinct().checkpoint()
+    meet = with_partner(open_, percent, near).checkpoint()
+    more = connected_components(component_links(meet, sets, percent)).select(c("id").alias("component"), c("component").alias("joined"))
 
     whole = sketched.select("doc_id", "n_shingles", "cid").join(parts, "cid", "left").withColumn("component", F.coalesce("component", "cid"))
+    whole = whole.join(more, "component", "left").withColumn("component", F.coalesce("joined", "component")).drop("joined")
     named = whole.filter(c("component").isNotNull()).groupBy("component").agg(F.min("doc_id").alias("component_id"))
     out = whole.join(named, "component", "left")
     component_id = F.coalesce("component_id", "doc_id")
