@@ -4,6 +4,9 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -22,3 +25,17 @@ def chunks(texts: list[bytes], limit: int = 4 << 20) -> Iterator[tuple[int, int]
         size += len(t)
     if start < len(texts):
         yield start, len(texts)
+
+
+def slices(batch: pa.RecordBatch, at: int, limit: int = 1 << 20) -> Iterator[tuple[pa.RecordBatch, list[bytes]]]:
+    """Slices of a batch with the UTF-8 bytes of their texts (column ``at``, null: empty), of at most ``limit`` bytes, one row
+    at least: only a slice's texts are held as Python objects at a time."""
+    sizes = pc.fill_null(pc.binary_length(batch.column(at)), 0).to_numpy(zero_copy_only=False)
+    ends = np.cumsum(sizes, dtype=np.int64)
+    lo = 0
+    while lo < batch.num_rows:
+        before = ends[lo - 1] if lo else 0
+        hi = max(lo + 1, int(np.searchsorted(ends, before + limit, side="right")))
+        part = batch.slice(lo, hi - lo)
+        yield part, [t or b"" for t in part.column(at).cast(pa.binary()).to_pylist()]
+        lo = hi
