@@ -22,21 +22,23 @@ ignored.
 
 from __future__ import annotations
 
-from collections import Counter
 from math import log10
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import chunks, table
+from .common import chunks, slices, table
 
 ORDER = 5
 START, END = b"\xfe" * ORDER, b"\xff"
 ANSWER = "batch int, key long, value double"
+#: Bytes of text that are cut into grams at a time.
+PIECE = 2 << 20
 SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
 
 
@@ -125,26 +127,39 @@ def word_key(w: bytes) -> int:
     return (xxhash.xxh64_intdigest(w) >> 1) - (1 << 63)
 
 
-def words_of(raw: bytes) -> list[bytes]:
-    return raw.lower().split()
+def words_of(texts: pa.Array) -> tuple[list[bytes], np.ndarray, np.ndarray]:
+    """The different words of lower-cased texts, each word's place among them, and each text's number of words."""
+    bare = pc.ascii_trim_whitespace(pc.ascii_lower(texts))
+    lists = pc.ascii_split_whitespace(bare)
+    # a text without words is split into one empty word
+    n = np.where(pc.equal(bare, "").to_numpy(zero_copy_only=False), 0, pc.list_value_length(lists).to_numpy(zero_copy_only=False))
+    flat = lists.flatten()
+    found = flat.filter(pc.not_equal(flat, "")).dictionary_encode()
+    return found.dictionary.cast(pa.binary()).to_pylist(), found.indices.to_numpy(), n
+
+
+def _texts(group: pa.Table) -> pa.Array:
+    return pa.concat_arrays(group.column("text").chunks) if group.num_rows else pa.array([], pa.string())
+
+
+def _raw(texts: pa.Array) -> list[bytes]:
+    return texts.cast(pa.binary()).to_pylist()
 
 
 def gram_requests(batches):
     """(key, n): every gram of a partition's texts, with its count in training texts."""
     parts, size = [], 0
     for b in batches:
-        texts = [(t.as_py() or "").encode() for t in b.column("text")]
-        held = b.column("held_out").to_pylist()
+        held = b.column("held_out")
         for weight in (1, 0):
-            part = [t for t, h in zip(texts, held) if h != weight]
-            for lo, hi in chunks(part):
-                k, c = np.unique(grams(part[lo:hi])[0], return_counts=True)  # a sort beats a hash table here
+            for _, texts in slices(b.filter(pc.invert(held) if weight else held), 0, PIECE):
+                k, c = np.unique(grams(texts)[0], return_counts=True)  # a sort beats a hash table here
                 parts.append((k, c * weight))
                 size += len(k)
-                if size > 4_000_000:
+                if size > 3_000_000:
                     parts = [counted(parts)]
                     size = len(parts[0][0])
-                    if size > 2_000_000:
+                    if size > 1_500_000:
                         yield pa.record_batch(dict(zip(("key", "n"), parts.pop())))
                         size = 0
     if parts:
@@ -153,18 +168,17 @@ def gram_requests(batches):
 
 def batch_grams(group: pa.Table) -> pa.Table:
     """(batch, key): every gram of a batch."""
-    texts = [(t.as_py() or "").encode() for t in group.column("text")]
-    keys = np.unique(np.concatenate([np.unique(grams(texts[lo:hi])[0]) for lo, hi in chunks(texts)]))
+    texts = _raw(_texts(group))
+    keys = np.unique(np.concatenate([np.unique(grams(texts[lo:hi])[0]) for lo, hi in chunks(texts, PIECE)]))
     return pa.table({"batch": pa.array(np.full(len(keys), group.column("batch")[0].as_py(), np.int32)), "key": keys})
 
 
 def word_requests(group: pa.Table) -> pa.Table:
     """(batch, key, n): every word of a batch, with its count in training texts."""
-    words = Counter()
-    for t, h in zip(group.column("text"), group.column("held_out").to_pylist()):
-        found = words_of((t.as_py() or "").encode())
-        words.update(dict.fromkeys(found, 0) if h else found)
-    keys, sums = counted([(np.fromiter(map(word_key, words), np.int64, len(words)), np.fromiter(words.values(), np.int64, len(words)))])
+    words, at, n = words_of(_texts(group))
+    held = group.column("held_out").to_numpy()
+    counts = np.bincount(at[~np.repeat(held, n)], minlength=len(words))
+    keys, sums = counted([(np.fromiter(map(word_key, words), np.int64, len(words)), counts)])
     return pa.table({"batch": pa.array(np.full(len(keys), group.column("batch")[0].as_py(), np.int32)), "key": keys, "n": sums})
 
 
@@ -210,8 +224,11 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_gram
     n_batches = max(1, -(-(size or 0) // batch_bytes))
     dealt = rows.withColumn("batch", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n_batches)).cast("int"))
     asked = dealt.groupBy("batch").applyInArrow(word_requests, "batch int, key long, n long")
-    sums = asked.groupBy("key").agg(F.sum("n").alias("n"))
-    totals = sums.agg((F.coalesce(F.sum("n"), F.lit(0)) + n_train).alias("train_tokens"), (F.count_if(F.col("n") > 0) + int(n_train > 0)).alias("kinds"))
+    # totals and answers read one exchange by word, so texts are asked once; a word has a row a batch at most
+    same = Window.partitionBy("key")
+    asked = asked.select("batch", "key", "n", F.sum("n").over(same).alias("total"), F.min("batch").over(same).alias("first"))
+    kinds = F.count_if((F.col("total") > 0) & (F.col("batch") == F.col("first")))
+    totals = asked.agg((F.coalesce(F.sum("n"), F.lit(0)) + n_train).alias("train_tokens"), (kinds + int(n_train > 0)).alias("kinds"))
 
     counts = rows.select("text", "held_out").mapInArrow(gram_requests, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).persist(StorageLevel.DISK_ONLY)
     n_grams = counts.count()
@@ -227,8 +244,7 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_gram
     context = F.shiftright("key", 8).bitwiseAND(F.lit(65535))
     coded = counts.groupBy(context.alias("context")).applyInArrow(code, "key long, value double")
     # a word whose training count lies in one batch needs no answer there
-    known = sums.select("key", F.col("n").cast("double").alias("value"))
-    answers = asked.join(known, "key").filter(F.col("value") != F.col("n")).select("batch", "key", "value")
+    answers = asked.filter(F.col("total") != F.col("n")).select("batch", "key", F.col("total").cast("double").alias("value"))
     if n_grams <= most_grams:
         t = coded.toArrow().sort_by("key")
         shared = docs.sparkSession.sparkContext.broadcast((t.column("key").to_numpy(), t.column("value").to_numpy()))
@@ -238,32 +254,31 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_gram
         answers = answers.unionByName(wanted.join(coded, "key"))
 
     def score(group: pa.Table, answer: pa.Table) -> pa.Table:
-        texts = [t.as_py().encode() for t in group.column("text")]
-        held = group.column("held_out").to_pylist()
+        column, held = _texts(group), group.column("held_out").to_numpy()
         key, value = answer.column("key").to_numpy(), answer.column("value").to_numpy()
         order = np.argsort(key)
         key, value = key[order], value[order]
+        del order
         gram, length = shared.value if shared else (key, value)
+        texts = _raw(column)
         scores = np.empty(len(texts))
-        for lo, hi in chunks(texts):
+        for lo, hi in chunks(texts, PIECE):
             g, begin = grams(texts[lo:hi])
             scores[lo:hi] = np.add.reduceat(looked_up(g, gram, length), begin)
-        ids: dict[bytes, int] = {}
-        local = Counter()
-        each = []
-        for t, h in zip(texts, held):
-            each.append(np.array([ids.setdefault(w, len(ids)) for w in words_of(t)], np.int64))
-            if not h:
-                local.update(each[-1].tolist())
-        hashed = np.fromiter(map(word_key, ids), np.int64, len(ids))
-        count = np.fromiter((local[i] for i in range(len(ids))), float, len(ids))
-        if len(key):
-            at = np.minimum(np.searchsorted(key, hashed), len(key) - 1)
-            count = np.where(key[at] == hashed, value[at], count)
-        logs, end = np.log10(count + 0.5), log10(n_train + 0.5)
-        base = [float(logs[e].sum()) + end for e in each]
-        known = [int((count[e] > 0).sum()) + (n_train > 0) for e in each]
-        return pa.table({"doc_id": group.column("doc_id"), "held_out": group.column("held_out"), "n_tokens": pa.array([len(e) + 1 for e in each], pa.int64()), "n_known": pa.array(known, pa.int64()), "base_score": base, "score": scores})
+        del texts
+        words, at, n = words_of(column)
+        hashed = np.fromiter(map(word_key, words), np.int64, len(words))
+        count = np.bincount(at[~np.repeat(held, n)], minlength=len(words)).astype(float)
+        if len(key) and len(words):
+            found = np.minimum(np.searchsorted(key, hashed), len(key) - 1)
+            count = np.where(key[found] == hashed, value[found], count)
+        some = n > 0
+        begin = (np.cumsum(n) - n)[some]
+        base, known = np.full(len(n), log10(n_train + 0.5)), np.full(len(n), int(n_train > 0))
+        if len(begin):
+            base[some] += np.add.reduceat(np.log10(count + 0.5)[at], begin)
+            known[some] += np.add.reduceat((count > 0)[at].astype(np.int64), begin)
+        return pa.table({"doc_id": group.column("doc_id"), "held_out": group.column("held_out"), "n_tokens": pa.array(n + 1, pa.int64()), "n_known": pa.array(known, pa.int64()), "base_score": base, "score": scores})
 
     out = dealt.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(score, SCORES)
     # the texts' one exchange serves requests and scores alike, as all of it is one plan
