@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.components import checkpoint_dir, connected_components
-from .common import chunks, table
+from .common import slices, table
 
 CHUNK = 5
 #: Bits of the bitmap of wanted ids: at most 131,072 rows of 64.
@@ -140,16 +140,15 @@ def sketch_documents(docs: DataFrame, words: int, n: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(words)
         for b in batches:
-            texts = [(t or "").encode() for t in b.column(1).to_pylist()]
-            for lo, hi in chunks(texts, 2 << 20):
-                sets = shingler.sets(texts[lo:hi])
+            for part, texts in slices(b, 1):
+                sets = shingler.sets(texts)
                 some = [i for i, s in enumerate(sets) if len(s)]
                 cid, sk, sg = ([None] * len(sets) for _ in range(3))
                 if some:
                     sig, sketch = signatures([sets[i] for i in some], n)
                     for j, i in enumerate(some):
                         cid[i], sk[i], sg[i] = class_id(sets[i]), int(sketch[j]), sig[j].tobytes()
-                yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(map(len, sets), pa.int64()), pa.array(cid, pa.int64()), pa.array(sk, pa.int64()), pa.array(sg, pa.binary())], ["doc_id", "n_shingles", "cid", "sketch", "sig"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(map(len, sets), pa.int64()), pa.array(cid, pa.int64()), pa.array(sk, pa.int64()), pa.array(sg, pa.binary())], ["doc_id", "n_shingles", "cid", "sketch", "sig"])
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_shingles long, cid long, sketch long, sig binary")
 
@@ -173,10 +172,8 @@ def fetch_sets(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(words)
         for b in batches:
-            texts = [(t or "").encode() for t in b.column(1).to_pylist()]
-            ids = b.column(0).to_pylist()
-            for lo, hi in chunks(texts):
-                rows = [(c, s.tobytes()) for c, s in zip(ids[lo:hi], shingler.sets(texts[lo:hi])) if len(s) and class_id(s) == c]
+            for part, texts in slices(b, 1):
+                rows = [(c, s.tobytes()) for c, s in zip(part.column(0).to_pylist(), shingler.sets(texts)) if len(s) and class_id(s) == c]
                 yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary())], ["cid", "set"])
 
     # a bitmap of the wanted ids' hashes (a bounded table) thins the texts out before they are shuffled
