@@ -5,7 +5,7 @@ identifiers (access ids, and weak ones: ``user``/``client``-style assignments),
 weak ones: 40-character base64-like runs of high entropy) and endpoints (URLs of API or storage hosts). Parts are joined
 by interval: two complementary parts are linked when both lie in one scope (a stretch of lines without an empty line) and at
 most ``reach`` code points apart. A weak part is reported only when a part of another role links to it; each candidate
-takes its nearest partner of each other role (their starts are in ``linked``, nearest first), found by bisection in position
+takes its nearest partner of each other role (the starts of those reported are in ``linked``, nearest first), found by bisection in position
 order, so no pairs are enumerated.
 
 Spans are kind:start:end in code points, end exclusive, over the whole match, ordered by start and kind.
@@ -120,7 +120,8 @@ class Scanner:
         links = self.link(text, parts) if len(parts) > 1 else {}
         # An endpoint and a weak id confirm each other only through a secret, so a weak part needs a secret among its partners or to be one.
         keep = lambda i: parts[i][0] in BASE or i in links and "secret" in (ROLES[parts[k][0]] for k in (i, *links[i]))
-        return [(*p, [parts[k][1] for k in links.get(i, [])]) for i, p in enumerate(parts) if keep(i)]
+        kept = {i for i in range(len(parts)) if keep(i)}
+        return [(*parts[i], [parts[k][1] for k in links.get(i, []) if k in kept]) for i in sorted(kept)]
 
 
 SPANS = "array<struct<kind: string, start: bigint, end: bigint, linked: array<bigint>>>"

@@ -55,13 +55,27 @@ def test_nra_equals_brute_force():
     x = rng.integers(-5, 6, (300, 4)).astype(float)  # many ties
     ids = rng.permutation(300)
     q, qids = x[:40], ids[:40]
-    i, r, s = topk.nra(x, ids, q, qids, 7)
+    i, r, s, _ = topk.nra(x, ids, q, qids, 7)
     for k in range(40):
         score = x @ q[k]
         want = sorted((-v, j) for v, j in zip(score, ids) if j != qids[k])[:7]
         assert [(-v, ids[p]) for v, p in zip(s[i == k], r[i == k])] == want
 
 
+def test_nra_stops_before_the_end_of_the_lists():
+    """Where scores stand apart little is read, and never more than all."""
+    rng = np.random.default_rng(4)
+    centres = rng.normal(0, 400, (20, 16))
+    x = np.floor(np.repeat(centres, 100, 0) + rng.normal(0, 20, (2000, 16)))
+    ids = np.arange(2000)
+    i, r, s, depth = topk.nra(x, ids, x[::50], ids[::50], 10)
+    assert depth.max() <= 1 and np.median(depth) < 0.8
+    for k in range(40):
+        score = x @ x[50 * k]
+        score[50 * k] = -np.inf
+        assert ids[r[i == k]].tolist() == np.lexsort((ids, -score))[:10].tolist()
+
+
 def test_topk_of_odd_rows(spark):
     nan, inf = float("nan"), float("inf")
     rows = [(0, [1.0, 0.5], 1), (1, None, 1), (2, [1.0, None], 1), (3, [nan, 1.0], 1), (4, [inf, 1.0], 1), (5, [0.3, 0.3], 1), (5, [0.3, 0.3], 1), (None, [1.0, 1.0], 1), (6, [1.0], 1), (7, [], 1), (100, [-0.0001, 0.2], 1)]
