@@ -2,8 +2,10 @@
 
 Every candidate block holds one sorted list per dimension. Lists are read from the end that suits the sign of the query's
 weight, all to the same depth; each row has a lower and an upper bound from what has been read (unread entries lie between
-the list's last entry and its frontier). A query stops when few rows outside its best k can still qualify; those rows'
-scores are then resolved. Reading is block-synchronous: the bounds of all queries of a tile are four matrix products.
+the list's last entry and its frontier). A query reads on while a row outside its best k may still qualify; then the
+scores of the best are resolved. Reading is block-synchronous: the bounds of all queries of a tile are four matrix products;
+a query that few rows are left for goes on with those alone. How deep lists are read depends on the data: on 64 independent
+dimensions more than nine tenths, on vectors in clusters less (``nra`` tells).
 
 Queries meet candidates in a grid of (query block, candidate block) cells of bounded size, so nothing that grows is
 broadcast; the k best of each cell are merged by one window per query.
@@ -35,42 +37,62 @@ def usable(vec: Column) -> Column:
     return vec.isNotNull() & F.forall(vec, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x.cast("double")) < float("inf")))
 
 
-def nra(x: np.ndarray, ids: np.ndarray, q: np.ndarray, qids: np.ndarray, k: int, depths=(0.5, 0.75, 0.875, 1.0)) -> tuple[np.ndarray, ...]:
-    """(query position, row position, score) of each query's k best rows; all values are integers below 2**53 in doubles."""
+def nra(x: np.ndarray, ids: np.ndarray, q: np.ndarray, qids: np.ndarray, k: int, steps: int = 32, few: int = 16) -> tuple[np.ndarray, ...]:
+    """(query position, row position, score, depth) of each query's k best rows; all values are integers below 2**53 in
+    doubles. Depth is the part of each list that was read when no outsider could qualify any more.
+
+    Lists are read in ``steps`` equal parts. All queries of the tile go on together, every fourth part first and less at a time
+    later, while more than one row in ``few`` may qualify; then each query goes on alone with its few rows, part by part."""
     n, _ = x.shape
     order = np.argsort(x, axis=0, kind="stable")
     lists = np.take_along_axis(x, order, axis=0)
-    rank = np.empty_like(order)
-    np.put_along_axis(rank, order, np.arange(n)[:, None], axis=0)
+    rank = np.empty(order.shape, np.int32)
+    np.put_along_axis(rank, order, np.arange(n, dtype=np.int32)[:, None], axis=0)
+    del order
     up, down = np.maximum(q, 0.0), np.minimum(q, 0.0)
+
+    def bounds(rows: np.ndarray | slice, t: int, p: np.ndarray, m: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Upper and lower bounds of rows when t entries of each list are read: an unread entry lies between its list's
+        frontier and its last entry. Positive weights read from the top, negative ones from the bottom."""
+        v, r = x[rows], rank[rows]
+        high, low = r >= n - t, r < t
+        return (
+            np.where(high, v, lists[n - t]) @ p.T + np.where(low, v, lists[t - 1]) @ m.T,
+            np.where(high, v, lists[0]) @ p.T + np.where(low, v, lists[n - 1]) @ m.T,
+        )
+
+    at = lambda step: min(n, max(1, -(-n * step // steps)))
     alive, out = np.arange(len(q)), []
-    for depth in depths:
-        t = min(n, max(1, int(np.ceil(depth * n))))
-        high, low = (rank >= n - t).astype(float), (rank < t).astype(float)
-        p, m = up[alive], down[alive]
-        seen = (x * high) @ p.T + (x * low) @ m.T
-
-        def bound(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-            """What was read, and a (positive weights) or b (negative ones) for each unread entry."""
-            pa_, mb = p * a, m * b
-            return seen + (pa_.sum(1) + mb.sum(1))[None, :] - high @ pa_.T - low @ mb.T  # noqa: B023
-
-        upper, lower = bound(lists[n - t], lists[t - 1]), bound(lists[0], lists[n - 1])
+
+    def resolved(j: int, rows: np.ndarray, t: int) -> None:
+        score = x[rows] @ q[j]
+        best = np.lexsort((ids[rows], -score))[:k]
+        out.append((np.full(len(best), j), rows[best], score[best], np.full(len(best), t / n)))
+
+    def alone(j: int, rows: np.ndarray, kth: float, step: int) -> None:
+        t = at(step)
+        while len(rows) > k and t < n:
+            step += 1
+            t = at(step)
+            upper, lower = bounds(rows, t, up[j], down[j])
+            kth = max(kth, np.partition(lower, len(rows) - k)[len(rows) - k])
+            rows = rows[upper >= kth]
+        resolved(j, rows, t)
+
+    step = 0
+    while len(alive):
+        step = min(steps, step + max(1, min(steps // 4, (steps - step) // 3)))
+        t = at(step)
+        upper, lower = bounds(slice(None), t, up[alive], down[alive])
         own = ids[:, None] == qids[alive][None, :]
         lower[own] = -np.inf
-        upper[own] = -np.inf
         kth = np.partition(lower, n - k, axis=0)[n - k] if n > k else np.full(len(alive), -np.inf)
         rest = (upper >= kth[None, :]) & ~own
-        done = (rest.sum(0) <= max(8 * k, n // 16)) | (t == n)
+        done = (rest.sum(0) <= max(k, n // few)) | (t == n)
         for j in np.flatnonzero(done):
-            rows = np.flatnonzero(rest[:, j])
-            score = x[rows] @ q[alive[j]]
-            best = np.lexsort((ids[rows], -score))[:k]
-            out.append((np.full(len(best), alive[j]), rows[best], score[best]))
+            alone(int(alive[j]), np.flatnonzero(rest[:, j]), kth[j], step)
         alive = alive[~done]
-        if not len(alive):
-            break
-    return tuple(np.concatenate(c) if out else np.empty(0, int) for c in (zip(*out) if out else ((), (), ())))
+    return tuple(np.concatenate(c) for c in zip(*out)) if out else tuple(np.empty(0, int) for _ in range(4))
 
 
 def _matrix(t: pa.Table) -> np.ndarray:
@@ -101,7 +123,7 @@ def nra_topk(queries: DataFrame, candidates: DataFrame, k: int = 10, id_col: str
                 rows = slice(c0, c0 + block_rows)
                 for q0 in range(0, len(qi), tile):
                     part = slice(q0, q0 + tile)
-                    i, r, s = nra(cm[rows], ci[rows], qm[part], qi[part], k)
+                    i, r, s, _ = nra(cm[rows], ci[rows], qm[part], qi[part], k)
                     found.append((qi[part][i], ci[rows][r], s.astype(np.int64)))
         cols = [np.concatenate(c).astype(np.int64) for c in zip(*found)] if found else [np.empty(0, np.int64)] * 3
         return pa.table(dict(zip(("query_id", "vec_id", "score"), cols)))
