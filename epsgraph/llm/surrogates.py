@@ -5,15 +5,17 @@ names after a title) are replaced in place by keyed surrogates of the same type
 the entity's type and its canonical form alone, so one entity gets one surrogate in all documents and spellings
 (coreference), and nothing has to be looked up for most.
 
-* Digit formats are permuted: a four-round keyed Feistel network over the digits that may vary, so different entities
-  cannot meet. Separators, country codes, card issuer digit and Luhn remainder, the first octet and reserved exchange
-  ``555`` stay. Octets are kept below 256 by permuting the number the last three make.
+* Digit formats are permuted: a four-round keyed Feistel network over the digits that may vary, around a step that moves
+  all, so different entities cannot meet and none stays as it is. Separators, country codes, card issuer digit and Luhn remainder, the first octet and reserved exchange
+  ``555`` stay (other phones walk on until they are outside it). Octets are kept below 256 by permuting the number the last three make; an IBAN's letters
+  move too, and its check digits give the remainder that they gave.
 * E-mail addresses and names are drawn by keyed hash: letters stay letters of the same case, digits digits, names keep gender
   (from the title) and script (Latin or Cyrillic). These may collide, so entities are gathered once: where several draw one
   surrogate, or one that is itself an entity of the corpus, all but the first in keyed order draw again, with an
   attempt number. Names still in conflict after the last attempt carry a serial mark of their canonical form.
 
-Only texts with entities are exploded; only entities in conflict (normally few) are joined back.
+Only texts with entities are exploded. Conflicts (normally few) are told to a text by the hash of its list of entities: a bitmap
+of the lists concerned, a bounded table, picks the rows, which alone meet their conflicts by an exchange, each list dealt into parts.
 
 Defined results: a null text stays null and has no entities; empty texts stay empty; texts are scanned whole; repeated rows
 get equal replacements; other columns pass through; results are ``text`` replaced in place and ``n_entities``.
@@ -29,7 +31,7 @@ from .common import table
 #: What is detected, in order of preference at one position.
 PATTERNS = (
     ("email", r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+@(?:[A-Za-z0-9-]{1,63}\.){1,5}[A-Za-z]{2,24}"),
-    ("iban", r"(?<![A-Za-z0-9])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){3,7}(?![A-Za-z0-9])"),
+    ("iban", r"(?<![A-Za-z0-9])[A-Z]{2}(?:0[2-9]|[1-8]\d|9[0-8])(?: ?[A-Z0-9]{4}){3,7}(?![A-Za-z0-9])"),
     ("card", r"(?<![\w.])\d{4}([ -]?)\d{4}\1\d{4}\1\d{1,4}(?!\d)"),
     ("ssn", r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])"),
     ("phone", r"(?<![\w+])(?:\+\d{1,3}[ .-]?)?(?:\(\d{3}\)[ .-]?|\d{3}[ .-])\d{3}[ .-]\d{4}(?!\d)"),
@@ -49,6 +51,10 @@ SYLLABLES = {"latin": "ba ke li mo nu ra se ti vo za der fin gal hol jas kam".sp
 ENDINGS = {"latin": "berg dorf feld mann stein wald".split(), "cyrillic": "ский нов рин тов шин ков".split()}
 
 ROUNDS, ATTEMPTS = 4, 4
+#: Steps of the cycle walk that keeps other phones out of the reserved exchange; one in 10^12 needs more.
+WALKS = 3
+#: Bits of the bitmap of entity lists with conflicts (at most 131,072 rows of 64), and parts that a hot list is dealt into.
+BITS, SALTS = 1 << 23, 16
 
 
 def _joined() -> str:
@@ -106,26 +112,33 @@ def _number(h: Column, start: int = 1, digits: int = 12) -> Column:
 
 
 def _permuted(key: str, kind: Column, digits: Column) -> Column:
-    """A permutation of the decimal strings of each length of two or more: alternating Feistel rounds on the two halves."""
+    """A permutation of the decimal strings of each length of two or more that leaves none as it is; shorter ones stay.
+
+    Alternating Feistel rounds on the two halves, then a step that moves everything (the right half by a number that is not
+    0), then the rounds undone: a permutation conjugate to one without fixed points has none."""
     def cut(d: Column) -> Column:
         half = F.floor(F.length(d) / 2).cast("int")
         return F.struct(F.substr(d, F.lit(1), half).alias("l"), F.substr(d, half + 1).alias("r"))
 
-    def turn(r: int):
-        def run(s: Column) -> Column:
-            target, source = (s["l"], s["r"]) if r % 2 == 0 else (s["r"], s["l"])
-            shift = _number(_hash(key, kind, F.lit(f"{r}"), source))
-            size = F.length(target)
-            moved = F.lpad(F.pmod(target.cast("long") + shift, F.pow(F.lit(10.0), size).cast("long")).cast("string"), 20, "0")
-            moved = F.substr(moved, F.lit(21) - size)
-            return F.struct((moved if r % 2 == 0 else s["l"]).alias("l"), (s["r"] if r % 2 == 0 else moved).alias("r"))
+    def moved(target: Column, shift: Column) -> Column:
+        size = F.length(target)
+        padded = F.lpad(F.pmod(target.cast("long") + shift, F.pow(F.lit(10.0), size).cast("long")).cast("string"), 20, "0")
+        return F.substr(padded, F.lit(21) - size)
 
-        return run
+    def turn(s: Column, i: Column) -> Column:
+        middle, r = i == ROUNDS, F.least(i, 2 * ROUNDS - i)
+        left = ~middle & (r % 2 == 0)
+        target, source = F.when(left, s["l"]).otherwise(s["r"]), F.when(left, s["r"]).otherwise(s["l"])
+        drawn_ = _number(_hash(key, kind, r.cast("string"), source))
+        step = 1 + F.pmod(_number(_hash(key, kind, F.lit("step"), F.length(target).cast("string"))), F.pow(F.lit(10.0), F.length(target)).cast("long") - 1)
+        to = moved(target, F.when(middle, step).when(i < ROUNDS, drawn_).otherwise(-drawn_))
+        return F.struct(F.when(left, to).otherwise(s["l"]).alias("l"), F.when(left, s["r"]).otherwise(to).alias("r"))
 
-    state = let(digits, cut)
-    for r in range(ROUNDS):
-        state = let(state, turn(r))
-    return let(state, lambda s: F.concat(s["l"], s["r"]))
+    def run(d: Column) -> Column:
+        moved_ = F.aggregate(F.sequence(F.lit(0), F.lit(2 * ROUNDS)), cut(d), turn, lambda s: F.concat(s["l"], s["r"]))
+        return F.when(F.length(d) < 2, d).otherwise(moved_)
+
+    return let(digits, run)
 
 
 def _luhn(digits: Column) -> Column:
@@ -161,21 +174,55 @@ def _ip(key: str, m: Column) -> Column:
 
         return run
 
+    def step(s: Column) -> Column:
+        shift = (1 + F.pmod(_number(_hash(key, F.lit("ip"), F.lit("step"))), F.lit(4095))).cast("int")
+        return F.struct(s["o"].alias("o"), s["l"].alias("l"), s["r"].bitwiseXOR(shift).alias("r"))
+
     state = let(F.split(m, r"\."), cut)
-    for r in range(ROUNDS):
-        state = let(state, turn(r))
+    for f in (*map(turn, range(ROUNDS)), step, *map(turn, reversed(range(ROUNDS)))):
+        state = let(state, f)
     octets = lambda v: F.concat_ws(".", F.shiftright(v, 16).cast("string"), F.shiftright(v, 8).bitwiseAND(F.lit(255)).cast("string"), v.bitwiseAND(F.lit(255)).cast("string"))
     return let(state, lambda s: F.concat_ws(".", s["o"], let(s["l"] * 4096 + s["r"], octets)))
 
 
-def _dressed(m: Column, digits: Column) -> Column:
-    """``digits`` in the places of the match's digits."""
+def _mod97(alnum: Column) -> Column:
+    """Remainder modulo 97 of the number that digits and letters (A: 10, ..., Z: 35) make."""
+    code = lambda c: F.when(c.rlike("^[A-Z]$"), F.ascii(c) - 55).otherwise(F.coalesce(c.cast("int"), F.lit(0)))
+    return F.aggregate(F.split(alnum, ""), F.lit(0), lambda r, c: F.when(c == "", r).otherwise(F.pmod(r * F.when(c.rlike("^[A-Z]$"), 100).otherwise(10) + code(c), F.lit(97))))
+
+
+def _iban(key: str, canon: Column) -> Column:
+    """The country stays; letters move by a keyed step a place, digits are permuted, and the check digits give the remainder
+    modulo 97 that they gave before."""
+    def shifted(rest: Column, country: Column) -> Column:
+        def one(c: Column, i: Column) -> Column:
+            by = 1 + F.pmod(_number(_hash(key, F.lit("iban"), country, i.cast("string"))), F.lit(25)).cast("int")
+            return F.when(c.rlike("^[A-Z]$"), F.chr(F.lit(65) + F.pmod(F.ascii(c) - 65 + by, F.lit(26)))).otherwise(c)
+
+        return F.array_join(F.transform(F.split(rest, ""), one), "")
+
+    def run(s: Column) -> Column:
+        country, rest = F.left(s, F.lit(2)), F.substr(s, F.lit(5))
+        digits = _permuted(key, F.concat(F.lit("iban"), F.regexp_replace(rest, r"\d", "0")), F.regexp_replace(rest, r"\D", ""))
+
+        def checked(new: Column) -> Column:
+            was = _mod97(F.concat(rest, country, F.substr(s, F.lit(3), F.lit(2))))
+            check = 2 + F.pmod(was - 2 - _mod97(F.concat(new, country, F.lit("00"))), F.lit(97))
+            return F.concat(country, F.lpad(check.cast("string"), 2, "0"), new)
+
+        return let(_dressed(shifted(rest, country), digits), checked)
+
+    return let(canon, run)
+
+
+def _dressed(m: Column, digits: Column, places: str = r"^\d$") -> Column:
+    """``digits`` in the places of the match's digits, or of its signs that ``places`` matches."""
 
     def run(s: Column) -> Column:
-        at = F.transform(s["cs"], lambda c: c.rlike(r"^\d$").cast("int"))
+        at = F.transform(s["cs"], lambda c: c.rlike(places).cast("int"))
 
         def put(a: Column) -> Column:
-            one = lambda c, i: F.when(c.rlike(r"^\d$"), F.substr(s["ds"], F.aggregate(F.slice(a, 1, i + 1), F.lit(0), lambda t, x: t + x), F.lit(1))).otherwise(c)
+            one = lambda c, i: F.when(c.rlike(places), F.substr(s["ds"], F.aggregate(F.slice(a, 1, i + 1), F.lit(0), lambda t, x: t + x), F.lit(1))).otherwise(c)
             return F.array_join(F.transform(s["cs"], one), "")
 
         return let(at, put)
@@ -239,24 +286,31 @@ def surrogate(key: str, m: Column, kind: Column, canon: Column, chosen: Column |
     digits = F.regexp_replace(m, r"\D", "")
 
     def phone_digits(d: Column) -> Column:
-        # a phone's last ten digits vary but for a reserved exchange; a country code before them stays
+        # a phone's last ten digits vary but for a reserved exchange, which no other comes into; a country code before them stays
+        reserved = lambda v: F.substr(v, F.lit(4), F.lit(3)) == "555"
+        whole = lambda v: _permuted(key, F.lit("phone10"), v)
+        again = lambda v: F.when(reserved(v), whole(v)).otherwise(v)
+
+        def inside(local: Column) -> Column:
+            moved = _permuted(key, F.lit("phone7"), F.concat(F.left(local, F.lit(3)), F.right(local, F.lit(4))))
+            return let(moved, lambda v: F.concat(F.left(v, F.lit(3)), F.lit("555"), F.right(v, F.lit(4))))
+
         def run(local: Column) -> Column:
-            kept = F.substr(local, F.lit(4), F.lit(3)) == "555"
-            free = F.when(kept, F.concat(F.left(local, F.lit(3)), F.right(local, F.lit(4)))).otherwise(local)
-            moved = let(free, lambda f: _permuted(key, F.concat(F.lit("phone"), F.length(f)), f))
-            return let(moved, lambda v: F.when(kept, F.concat(F.left(v, F.lit(3)), F.lit("555"), F.right(v, F.lit(4)))).otherwise(v))
+            outside = whole(local)
+            for _ in range(WALKS):
+                outside = let(outside, again)
+            return F.when(reserved(local), inside(local)).otherwise(outside)
 
         return F.concat(F.left(d, F.length(d) - 10), let(F.right(d, F.lit(10)), run))
 
     phone = let(digits, phone_digits)
-    iban = F.concat(F.left(canon, F.lit(2)), _permuted(key, F.lit("iban"), F.regexp_replace(F.substr(canon, F.lit(3)), r"\D", "")))
     return (
         F.when(kind == "email", value)
         .when(kind == "name", F.concat(F.regexp_extract(m, r"^([^ ]+ )", 1), value))
         .when(kind == "card", _dressed(m, _card(key, digits)))
         .when(kind == "ip", _ip(key, m))
         .when(kind == "phone", _dressed(m, phone))
-        .when(kind == "iban", F.concat(F.left(m, F.lit(2)), _dressed(F.substr(m, F.lit(3)), F.substr(iban, F.lit(3)))))
+        .when(kind == "iban", _dressed(m, _iban(key, canon), "^[A-Z0-9]$"))
         .otherwise(_dressed(m, _permuted(key, kind, digits)))
     )
 
@@ -317,20 +371,34 @@ def replace_entities(docs: DataFrame, key: str = "surrogates-1") -> DataFrame:
     checkpoint_dir(docs.sparkSession)
     columns = [c for c in docs.columns if c != "n_entities"]
     hit = found(docs.select(*columns))
-    mentions = hit.filter(F.size("_hits") > 0).select(F.inline("_hits")).filter(F.col("kind").isin(*DRAWN)).distinct()
-    changed = choose(mentions, key).checkpoint()
-    chosen = None
-    if not changed.isEmpty():
-        # what replaces a text depends on the text alone, so conflicts are looked up once for each text that has any
-        told = hit.filter(F.size("_hits") > 0).select("text", F.inline("_hits")).select("text", "kind", "canon").distinct().join(changed, ["kind", "canon"])
-        told = told.groupBy("text").agg(F.map_from_entries(F.collect_list(F.struct(F.concat_ws(":", "kind", "canon"), "chosen"))).alias("_chosen"))
-        hit = hit.join(told, "text", "left")
-        chosen = F.col("_chosen")
-    pick = (lambda s: F.element_at(chosen, F.concat_ws(":", s["kind"], s["canon"]))) if chosen is not None else (lambda s: None)
-    new = F.transform("_hits", lambda s: surrogate(key, s["m"], s["kind"], s["canon"], pick(s)))
-    pieces = F.split("text", ANY, -1)
-    text = F.when(F.size("_hits") == 0, F.col("text")).otherwise(F.array_join(F.zip_with(pieces, new, lambda p, s: F.concat(p, F.coalesce(s, F.lit("")))), ""))
-    return hit.select(*[text.alias("text") if c == "text" else F.col(c) for c in columns], F.size("_hits").cast("long").alias("n_entities"))
+    drawable = lambda hits: F.array_sort(F.array_distinct(F.filter(hits, lambda s: s["kind"].isin(*DRAWN))))
+    # the different lists of drawn entities, by which conflicts are told to the texts: repeated texts share theirs
+    named = lambda hits: F.transform(drawable(hits), lambda s: F.concat_ws(":", s["kind"], s["canon"]))
+    listed = lambda hits: F.when(F.exists(hits, lambda s: s["kind"].isin(*DRAWN)), F.xxhash64(named(hits)))
+    lists = hit.select(listed(F.col("_hits")).alias("_list"), drawable(F.col("_hits")).alias("hits")).filter("_list is not null").distinct().select("_list", F.inline("hits")).checkpoint()
+    changed = choose(lists.select("m", "kind", "canon").distinct(), key).checkpoint()
+
+    def replaced(df: DataFrame, chosen: Column | None) -> DataFrame:
+        pick = (lambda s: F.element_at(chosen, F.concat_ws(":", s["kind"], s["canon"]))) if chosen is not None else (lambda s: None)
+        new = F.transform("_hits", lambda s: surrogate(key, s["m"], s["kind"], s["canon"], pick(s)))
+        text = F.when(F.size("_hits") == 0, F.col("text")).otherwise(F.array_join(F.zip_with(F.split("text", ANY, -1), new, lambda p, s: F.concat(p, F.coalesce(s, F.lit("")))), ""))
+        return df.select(*[text.alias("text") if c == "text" else F.col(c) for c in columns], F.size("_hits").cast("long").alias("n_entities"))
+
+    if changed.isEmpty():
+        return replaced(hit, None)
+    told = lists.select("_list", "kind", "canon").distinct().join(changed, ["kind", "canon"]).groupBy("_list").agg(F.map_from_entries(F.collect_list(F.struct(F.concat_ws(":", "kind", "canon"), "chosen"))).alias("_chosen")).checkpoint()
+    # a bounded bitmap of the lists with conflicts parts the rows; only those it has meet their conflicts by an exchange
+    spot = F.pmod("_list", F.lit(BITS))
+    bits = told.groupBy(F.shiftright(spot, 6).alias("_word")).agg(F.bit_or(F.expr(f"shiftleft(1L, cast(pmod(_list, {BITS}) & 63 as int))")).alias("_bits"))
+    hit = once(hit, "_list", listed(F.col("_hits")))
+    marked = hit.join(F.broadcast(bits), F.shiftright(spot, 6) == F.col("_word"), "left").withColumn("_open", F.coalesce(F.expr(f"getbit(_bits, cast(pmod(_list, {BITS}) & 63 as int)) = 1"), F.lit(False)))
+    salted = told.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    open_ = marked.filter("_open").withColumn("_salt", F.pmod(F.xxhash64(*[c for c in columns if docs.schema[c].dataType.simpleString() in HASHED]), F.lit(SALTS)).cast("int"))
+    return replaced(marked.filter("not _open"), None).unionByName(replaced(open_.join(salted, ["_list", "_salt"], "left"), F.col("_chosen")))
+
+
+#: Types of columns by which rows of one list of entities are dealt into parts.
+HASHED = ("bigint", "int", "string", "double")
 
 
 def op2_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
