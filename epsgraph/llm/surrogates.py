@@ -31,7 +31,7 @@ from .common import table
 #: What is detected, in order of preference at one position.
 PATTERNS = (
     ("email", r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+@(?:[A-Za-z0-9-]{1,63}\.){1,5}[A-Za-z]{2,24}"),
-    ("iban", r"(?<![A-Za-z0-9])[A-Z]{2}(?:0[2-9]|[1-8]\d|9[0-8])(?: ?[A-Z0-9]{4}){3,7}(?![A-Za-z0-9])"),
+    ("iban", r"(?<![A-Za-z0-9])[A-Z]{2}(?:0[2-9]|[1-8]\d|9[0-8])(?: ?[A-Z0-9]{4}){2}(?: ?[A-Z0-9]{3}|(?: ?[A-Z0-9]{4}){1,5}(?: ?[A-Z0-9]{1,3})?)(?![A-Za-z0-9])"),
     ("card", r"(?<![\w.])\d{4}([ -]?)\d{4}\1\d{4}\1\d{1,4}(?!\d)"),
     ("ssn", r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])"),
     ("phone", r"(?<![\w+])(?:\+\d{1,3}[ .-]?)?(?:\(\d{3}\)[ .-]?|\d{3}[ .-])\d{3}[ .-]\d{4}(?!\d)"),
