@@ -18,8 +18,8 @@ Sets travel as sorted 64-bit hashes. Only classes that share a key with another
 fetched. Components come from star contractions on DataFrames; nothing of documents reaches the driver.
 
 Defined results: texts are lower-cased in A-Z only; fewer than ``words`` words are one shingle, the whole sequence; a
-null or wordless text has no set, size 0, and is its own component; a null doc_id never names a component unless all
-its members' ids are null; repeated rows are members like any others; other columns are ignored.
+null or wordless text has no set, size 0, and is its own component; a null doc_id never names a component and is kept only
+where all its members' ids are null; repeated rows are members like any others; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -135,7 +135,7 @@ def index_keys(sig: np.ndarray) -> np.ndarray:
 
 
 def sketch_documents(docs: DataFrame, words: int, n: int) -> DataFrame:
-    """doc_id, n_shingles, cid (class), sketch, sig; the last three are null for an empty set."""
+    """doc_id, text_id (hash of the text), n_shingles, cid (class), sketch, sig; the last three are null for an empty set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(words)
@@ -148,9 +148,9 @@ def sketch_documents(docs: DataFrame, words: int, n: int) -> DataFrame:
                     sig, sketch = signatures([sets[i] for i in some], n)
                     for j, i in enumerate(some):
                         cid[i], sk[i], sg[i] = class_id(sets[i]), int(sketch[j]), sig[j].tobytes()
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(map(len, sets), pa.int64()), pa.array(cid, pa.int64()), pa.array(sk, pa.int64()), pa.array(sg, pa.binary())], ["doc_id", "n_shingles", "cid", "sketch", "sig"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(map(len, sets), pa.int64()), pa.array(cid, pa.int64()), pa.array(sk, pa.int64()), pa.array(sg, pa.binary())], ["doc_id", "text_id", "n_shingles", "cid", "sketch", "sig"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_shingles long, cid long, sketch long, sig binary")
+    return docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text")).mapInArrow(run, "doc_id long, text_id long, n_shingles long, cid long, sketch long, sig binary")
 
 
 def class_keys(classes: DataFrame, n: int) -> DataFrame:
@@ -286,7 +286,9 @@ def component_links(rows: DataFrame, sets: DataFrame, percent: int, most: int =
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept: a row for each row of ``docs``."""
+    """doc_id, text_id, n_shingles, component_id, class_id, kept: a row for each row of ``docs``.
+
+    ``text_id`` is ``xxhash64(text)``; ``class_id`` names the component whatever the ids are, and is null for an empty set."""
     checkpoint_dir(docs.sparkSession)  # checkpoints keep plans short, so that the driver holds little of them
     similarity = percent / 100
     n, near = positions_for(similarity), sketch_bound(similarity)
@@ -323,13 +325,14 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataF
     meet = with_partner(open_, percent, near).checkpoint()
     more = connected_components(component_links(meet, sets, percent)).select(c("id").alias("component"), c("component").alias("joined"))
 
-    whole = sketched.select("doc_id", "n_shingles", "cid").join(parts, "cid", "left").withColumn("component", F.coalesce("component", "cid"))
+    whole = sketched.select("doc_id", "text_id", "n_shingles", "cid").join(parts, "cid", "left").withColumn("component", F.coalesce("component", "cid"))
     whole = whole.join(more, "component", "left").withColumn("component", F.coalesce("joined", "component")).drop("joined")
     named = whole.filter(c("component").isNotNull()).groupBy("component").agg(F.min("doc_id").alias("component_id"))
     out = whole.join(named, "component", "left")
     component_id = F.coalesce("component_id", "doc_id")
-    return out.select("doc_id", "n_shingles", component_id.alias("component_id"), F.coalesce(c("doc_id") == component_id, F.lit(True)).alias("kept"))
+    kept = F.coalesce(c("doc_id") == component_id, component_id.isNull())
+    return out.select("doc_id", "text_id", "n_shingles", component_id.alias("component_id"), c("component").alias("class_id"), kept.alias("kept"))
 
 
 def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"), words=3, percent=85)
+    return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"), words=3, percent=85).select("doc_id", "n_shingles", "component_id", "kept")
