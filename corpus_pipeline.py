@@ -1,4 +1,7 @@
-"""The corpus pipeline: quality rules, near-duplicates, personal data, source mixing, packing."""
+"""The corpus pipeline: quality rules, near-duplicates, personal data, source mixing, packing.
+
+Every stage takes empty tables, repeated rows, texts of any length, nulls in any column and columns beyond those of documents (which go).
+"""
 
 from __future__ import annotations
 
@@ -16,33 +19,44 @@ from epsgraph.llm.surrogates import replace_entities
 from epsgraph.operators.components import checkpoint_dir
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+#: Fixed value: what a word holds.
+WORD = r"[^\x20\x09-\x0D]"
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the rules reject go."""
+    """Documents that the rules reject go: each row is judged by its own text, whatever its id; null and empty texts go. The
+    model is fitted on this stage's input and the labels of its ids; labels without a document do not matter."""
     model = fit_quality(docs, table(spark, sf_dir, "labels", "doc_id", "quality"))
     return score_quality(docs.select(*COLUMNS), model).filter("quality.kept").select(*COLUMNS)
 
 
 def near_duplicate_removal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays: that of the smallest id, one row of it. Five words, similarity 0.8."""
-    kept = near_duplicates(docs, words=5, percent=80).filter("kept").select(F.col("doc_id").alias("_kept")).distinct()
-    stay = docs.select(*COLUMNS).join(kept, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi")
-    return stay.withColumn("_text", F.xxhash64("text")).dropDuplicates(["doc_id", "_text"]).select(*COLUMNS)
+    """One document of each group stays: five words, similarity 0.8.
+
+    It is the one of the smallest id, then of the smallest text hash; of equal rows of it, one. Null ids come last and are told
+    apart by their texts. Texts without words belong to no group and all stay; columns beyond those of documents go."""
+    rows = near_duplicates(docs, words=5, percent=80)
+    named = F.struct(F.col("doc_id").isNull().alias("later"), "doc_id", "text_id")
+    first = rows.filter("class_id is not null").groupBy("class_id").agg(F.min(named).alias("one")).select(F.col("one.doc_id").alias("_id"), F.col("one.text_id").alias("_text"))
+    docs = docs.select(*COLUMNS).withColumn("_text", F.xxhash64("text")).withColumn("_words", F.coalesce(F.col("text").rlike(WORD), F.lit(False)))
+    stay = docs.filter("_words").join(first.withColumnRenamed("_text", "_of"), F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (F.col("_text") == F.col("_of")), "left_semi")
+    return stay.dropDuplicates(["doc_id", "_text"]).unionByName(docs.filter("not _words")).select(*COLUMNS)
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Entities are replaced by surrogates."""
+    """Entities are replaced by surrogates; n_chars is counted anew (null for a null text). Every row stays."""
     return replace_entities(docs.select(*COLUMNS)).withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sources as flat as repeating none more than 1.25 times allows, in as many tokens as there are."""
+    """Sources as flat as repeating none more than 1.25 times allows, in as many tokens as there are. A null source is one of
+    its own, repeated rows are dealt like others, a source without any words gives no rows."""
     return mix(docs.select(*COLUMNS), max_repeats=1.25).select(*COLUMNS)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Windows of 2048 tokens, a row a piece, with its token ids."""
+    """Windows of 2048 tokens, a row a piece, with its token ids. A null text is its end id alone; null and repeated ids are
+    packed like any others."""
     return pack(docs)
 
 
