@@ -34,25 +34,6 @@ def objects(values) -> np.ndarray:
     return out
 
 
-def levenshtein(a: str, b: str, most: int) -> int:
-    """Edit distance in code points, or most + 1 where it is larger; only the band of ``most`` is filled."""
-    if abs(len(a) - len(b)) > most:
-        return most + 1
-    far = most + 1
-    row = [j if j <= most else far for j in range(len(b) + 1)]
-    for i, x in enumerate(a, 1):
-        lo, hi = max(1, i - most), min(len(b), i + most)
-        new = [far] * (len(b) + 1)
-        if i <= most:
-            new[0] = i
-        for j in range(lo, hi + 1):
-            new[j] = min(row[j - 1] + (x != b[j - 1]), row[j] + 1, new[j - 1] + 1, far)
-        row = new
-        if min(row[max(0, lo - 1) : hi + 1]) > most:
-            return far
-    return row[len(b)]
-
-
 @dataclass
 class Metric:
     """``to(block, x)`` are the distances from one point to a block. ``evaluations`` counts them."""
@@ -112,12 +93,40 @@ def unit(col: pa.Array) -> np.ndarray:
     return np.divide(x, n, out=np.zeros_like(x), where=n > 0)
 
 
-def _jaccard(block: np.ndarray, x: np.ndarray) -> np.ndarray:
+def jaccard_to(block: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """Over sorted sets; two empty sets are at distance 0."""
+    sizes = np.fromiter(map(len, block), np.int64, len(block))
+    if not len(x) or not sizes.any():
+        return np.where(sizes + len(x) > 0, 1.0, 0.0)
+    flat = np.concatenate([y for y in block if len(y)])
+    hit = x[np.minimum(np.searchsorted(x, flat), len(x) - 1)] == flat
+    ends = np.cumsum(sizes)
+    total = np.concatenate(([0], np.cumsum(hit)))
+    both = total[ends] - total[ends - sizes]
+    return 1 - both / (sizes + len(x) - both)
+
+
+def edit_to(block: np.ndarray, x: str, cells: int = 1 << 20) -> np.ndarray:
+    """Edit distances in code points, a row of the table for all strings at once."""
     out = np.empty(len(block))
-    for i, y in enumerate(block):
-        both = len(np.intersect1d(x, y, assume_unique=True))
-        whole = len(x) + len(y) - both
-        out[i] = 1 - both / whole if whole else 0.0
+    sizes = np.fromiter(map(len, block), np.int64, len(block))
+    width = int(sizes.max(initial=0))
+    step = max(1, cells // (width + 1))
+    at = np.arange(width + 1, dtype=np.int32)
+    for lo in range(0, len(block), step):
+        part = block[lo : lo + step]
+        signs = np.array(list(part), f"U{max(width, 1)}").view(np.uint32).reshape(len(part), -1)[:, :width]
+        row = np.tile(at, (len(part), 1))
+        for i, c in enumerate(map(ord, x), 1):
+            new = np.empty_like(row)
+            new[:, 0] = i
+            np.minimum(row[:, :-1] + (signs != c), row[:, 1:] + 1, out=new[:, 1:])
+            # an insertion adds one for each place to the right: a running minimum without that slope
+            new -= at
+            np.minimum.accumulate(new, axis=1, out=new)
+            new += at
+            row = new
+        out[lo : lo + step] = row[np.arange(len(part)), sizes[lo : lo + step]]
     return out
 
 
@@ -150,9 +159,9 @@ def metric(name: str, bin_width: float = 1.0) -> Metric:
     if name == "cosine":
         return Metric(name, unit, lambda y, x: 1 - (y * x).sum(-1), is_metric=False)
     if name == "edit":
-        return Metric(name, lambda c: objects(c.to_pylist()), lambda y, x: np.array([levenshtein(x, s, max(len(x), len(s))) for s in y], float), lambda a, b: F.levenshtein(a, b).cast("double"), integer=True)
+        return Metric(name, lambda c: objects(c.to_pylist()), edit_to, lambda a, b: F.levenshtein(a, b).cast("double"), integer=True)
     if name == "jaccard":
-        return Metric(name, lambda c: objects([np.array(v) for v in c.to_pylist()]), _jaccard, lambda a, b: 1 - F.size(F.array_intersect(a, b)) / F.size(F.array_union(a, b)))
+        return Metric(name, lambda c: objects([np.unique(np.array(v)) for v in c.to_pylist()]), jaccard_to, lambda a, b: 1 - F.size(F.array_intersect(a, b)) / F.size(F.array_union(a, b)))
     raise ValueError(f"no metric {name!r}")
 
 

@@ -11,9 +11,14 @@ from pyspark.sql import functions as F
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder that the session names; one is set only where none is (local runs)."""
+    """The shared folder that the session names. Where none is, a local run gets one; on a cluster that is an error, as no
+    machine's own folder is seen by the others."""
     sc = spark.sparkContext
-    found = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir") or os.path.join(tempfile.gettempdir(), f"epsgraph-{uuid.uuid4().hex}")
+    found = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir")
+    if not found:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        found = os.path.join(tempfile.gettempdir(), f"epsgraph-{uuid.uuid4().hex}")
     if not sc.getCheckpointDir():
         sc.setCheckpointDir(found)
     return found

@@ -19,7 +19,6 @@ from pyspark.sql import types as T
 
 from ..functions.metrics import Metric, resolve, slack
 from ..functions.trees import INDEXES
-from .components import checkpoint_dir
 from .points import EDGE, edge_batches
 
 MOST_CENTRE_BYTES = 512 << 20
@@ -60,9 +59,11 @@ def decoded_centres(vecs: list, m: Metric, kind: T.DataType) -> np.ndarray:
     return m.decode(pa.array(vecs, to_arrow_type(kind)))
 
 
-def assign(p: DataFrame, cs: list[tuple[int, object]], m: Metric, eps: float | None = None) -> DataFrame:
-    """pid, vec, home (cell), dmin, and with ``eps`` the candidate cells of the bisector test with their distances. Map only.
+def assign(p: DataFrame, cs: list[tuple[int, object]], m: Metric, eps: float | None = None, radii: dict[int, float] | None = None) -> DataFrame:
+    """pid, vec, home (cell), dmin, and with ``eps`` the candidate cells with their distances: those of the bisector test, or
+    with ``radii`` those whose ball grown by eps holds the point. Map only.
     A point that is equally near to several centres belongs to the first."""
+    reach = None if radii is None else np.array([slack(radii[c] + eps) if c in radii else -1.0 for c in range(len(cs))])
     kind = p.schema["vec"].dataType
     if sum(len(str(v)) for _, v in cs[:100]) / max(1, min(len(cs), 100)) * len(cs) > MOST_CENTRE_BYTES:
         raise ValueError("too many centres to share")
@@ -80,7 +81,7 @@ def assign(p: DataFrame, cs: list[tuple[int, object]], m: Metric, eps: float | N
                 dmin = d[np.arange(len(d)), home]
                 cols = [b.column(0), b.column(1), pa.array(home), pa.array(dmin)]
                 if eps is not None:
-                    near = d <= slack(dmin + 2 * eps)[:, None]
+                    near = d <= (slack(dmin + 2 * eps)[:, None] if reach is None else reach[None, :])
                     near[np.arange(len(d)), home] = False
                     at = np.concatenate(([0], np.cumsum(near.sum(1)))).astype(np.int32)
                     _, cell = np.nonzero(near)
@@ -110,13 +111,26 @@ def assign_cells(loads: list[float], n: int, how: str = "lpt") -> list[int]:
     return out
 
 
+def with_candidates(p: DataFrame, cs: list[tuple[int, object]], m: Metric, eps: float, bound: str = "both") -> tuple[DataFrame, dict]:
+    """The assignment with the candidates that ``bound`` asks for, and the statistics of cells. The ball's test needs the radii
+    first, so it goes over the points twice."""
+    if bound not in ("both", "bisector", "ball"):
+        raise ValueError(f"no bound {bound!r}")
+    stats = lambda a: {r.cell: r for r in cell_stats(a).collect()}
+    if bound == "ball":
+        cells = stats(assign(p, cs, m))
+        return assign(p, cs, m, eps, {c: r.radius for c, r in cells.items()}), cells
+    assigned = assign(p, cs, m, eps).persist(StorageLevel.DISK_ONLY)
+    return assigned, stats(assigned)
+
+
 def ghosts(assigned: DataFrame, eps: float, radii: dict[int, float], bound: str = "both", half: bool = True) -> DataFrame:
-    """(pid, vec, home, cell): a row for each cell that a point is a ghost of. ``assigned`` comes from ``assign`` with eps, so
-    it holds the bisector test; "ball" needs cells that this test excludes and is for measuring only."""
+    """(pid, vec, home, cell): a row for each cell that a point is a ghost of. ``assigned`` holds the candidates of the bisector
+    test, or for "ball" those of that test alone; "both" adds the ball's test to the bisector's."""
     t = assigned.select("pid", "vec", "home", F.explode(F.arrays_zip("cells", "far")).alias("g")).select("pid", "vec", "home", F.col("g.cells").alias("cell"), F.col("g.far").alias("far"))
     if half:
         t = t.filter("cell < home")
-    if bound in ("both", "ball"):
+    if bound == "both":
         reach = F.create_map(*[F.lit(v) for c, r in radii.items() for v in (c, float(slack(r + eps)))]) if radii else F.create_map(F.lit(0), F.lit(0.0))
         t = t.filter(F.col("far") <= reach[F.col("cell")])
     return t.drop("far")
@@ -176,19 +190,19 @@ def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, in
 
 
 def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int = 16, how: str = "random", seed: int = 0, bound: str = "both", half_ghosts: bool = True, ghost: str = "collective", rounds: int = 4, balance: str = "lpt", weight: str = "size", tasks: int | None = None, index: str = "cover", ids: list[int] | None = None, max_cell: int = 50_000, measures: dict | None = None, **options) -> DataFrame:
-    """Edges by cells. ``ghost``: "collective" ships all ghosts with the cells' rows in one exchange, "ring" in ``rounds``
-    exchanges, each of one block's ghosts, so that only a part of them is under way at a time. A cell of more than ``max_cell``
+    """Edges by cells. Cells stay where they are and are built once; their ghosts stream past in batches: in order of id
+    (``ghost="collective"``), or (``"ring"``) as ``rounds`` blocks of points going round one after another. A cell of more than ``max_cell``
     points is dealt into blocks, every pair of blocks being a part of its own, so no part holds more at home."""
     met = resolve(metric)
     cs = centers(p, m, how, seed, met, ids)
     spark = p.sparkSession
     if not cs:
         return spark.createDataFrame([], EDGE)
-    assigned = assign(p, cs, met, eps).persist(StorageLevel.DISK_ONLY)
-    cells = {r.cell: r for r in cell_stats(assigned).collect()}
+    assigned, cells = with_candidates(p, cs, met, eps, bound)
     radii = {c: r.radius for c, r in cells.items()}
     n = tasks or max(1, min(len(cs), int(spark.conf.get("spark.sql.shuffle.partitions"))))
-    loads = [float(WEIGHTS[weight](cells[c].size if c in cells else 0, 0)) for c in range(len(cs))]
+    guests = {r.cell: r["count"] for r in ghosts(assigned, eps, radii, bound, half_ghosts).groupBy("cell").count().collect()} if weight == "with_ghosts" else {}
+    loads = [float(WEIGHTS[weight](cells[c].size if c in cells else 0, guests.get(c, 0))) for c in range(len(cs))]
     place = assign_cells(loads, n, balance)
     if measures is not None:
         measures |= {"centres": [c for c, _ in cs], "sizes": {c: r.size for c, r in cells.items()}, "radii": radii, "place": place, "loads": loads}
@@ -213,18 +227,10 @@ def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int
     if blocks:
         task = F.when(F.col("cell").isin(*blocks), F.pmod(F.xxhash64("part"), F.lit(n)).cast("int")).otherwise(task)
 
-    def meet(rows: DataFrame, intra: bool) -> DataFrame:
-        dealt = rows.withColumn("task", task).repartitionById(n, "task").sortWithinPartitions("part", "role", "pid")
-        return dealt.mapInArrow(cell_kernel(met, eps, index, options, half_ghosts, intra), EDGE)
-
-    if ghost == "collective":
-        return meet(home.unionByName(come), True)
-    checkpoint_dir(spark)
-    out = meet(home, True).checkpoint()
-    for r in range(rounds):
-        block = come.filter(F.pmod(F.xxhash64("pid", F.lit(seed)), F.lit(rounds)) == r)
-        out = out.unionByName(meet(home.filter("whole").unionByName(block), False).checkpoint())
-    return out
+    if ghost == "ring":
+        come = come.withColumn("role", F.pmod(F.xxhash64("pid", F.lit(seed)), F.lit(rounds)).cast("int") + 1)
+    dealt = home.unionByName(come).withColumn("task", task).repartitionById(n, "task").sortWithinPartitions("part", "role", "pid")
+    return dealt.mapInArrow(cell_kernel(met, eps, index, options, half_ghosts), EDGE)
 
 
 def near_join(a: DataFrame, b: DataFrame, eps: float, metric: str | Metric = "l2", m: int = 16, seed: int = 0, index: str = "cover", **options) -> DataFrame:

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric, resolve
-from .landmark import assign, assign_cells, cell_stats, ghosts
+from .landmark import assign, assign_cells, cell_stats, ghosts, with_candidates
 from .points import symmetric
 
 
@@ -41,8 +41,8 @@ def compare_graphs(a: DataFrame, b: DataFrame) -> DataFrame:
 
 def ghost_stats(p: DataFrame, cs: list[tuple[int, object]], eps: float, metric: str | Metric = "l2", bound: str = "both", half: bool = False) -> DataFrame:
     """(cell, home, ghosts): how many points of each home cell are ghosts of each cell."""
-    assigned = assign(p, cs, resolve(metric), eps)
-    radii = {r.cell: r.radius for r in cell_stats(assigned).collect()}
+    assigned, cells = with_candidates(p, cs, resolve(metric), eps, bound)
+    radii = {c: r.radius for c, r in cells.items()}
     return ghosts(assigned, eps, radii, bound, half).groupBy("cell", "home").agg(F.count("*").alias("ghosts"))
 
 

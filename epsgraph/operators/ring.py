@@ -1,7 +1,8 @@
 """Graphs over blocks of points: the halved ring, the full ring, the triangular grid, and brute force.
 
-A block meets another in one task. On the ring, block j's structure is built once for each job, and the blocks at the job's
-offsets come to it; offsets stop half way round, and an even ring's last offset is done by the lower half only.
+On the ring, block j's structure is built once, and the blocks at the job's offsets come to it one after another, in batches:
+a task holds its own block, its structure and one batch. Offsets stop half way round, and an even ring's last offset is done
+by the lower half only. Blocks are as many as keep each to ``MOST_ROWS`` points, if their number is not given.
 """
 
 from __future__ import annotations
@@ -9,27 +10,36 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric, resolve
 from ..functions.trees import INDEXES
 from .components import checkpoint_dir
+from .landmark import cell_kernel
 from .points import EDGE, block_of, edge_table
 
+MOST_ROWS, LEAST_BLOCKS = 50_000, 8
+#: Hash ranges within which ``blocks(exact=True)`` numbers points, a task each.
+RANGES = 4096
 
-def _schema_of(p: DataFrame) -> str:
-    return p.schema["vec"].dataType.simpleString()
+
+def block_count(p: DataFrame, n: int | None) -> int:
+    return n or max(LEAST_BLOCKS, -(-p.count() // MOST_ROWS))
 
 
 def blocks(p: DataFrame, n: int, seed: int = 0, exact: bool = False) -> DataFrame:
-    """``p`` with ``block``. ``exact`` deals round-robin in hash order, so that sizes differ by one at most."""
+    """``p`` with ``block``. ``exact`` deals round-robin in hash order, so that sizes differ by one at most: points are numbered
+    within ranges of the hash, and the ranges' sizes (a bounded table) give the numbers before them."""
     if not exact:
         return p.withColumn("block", block_of(n, seed))
-    from pyspark.sql import Window
-
-    order = Window.orderBy(F.xxhash64("pid", F.lit(seed)), "pid")
-    return p.withColumn("block", F.pmod(F.row_number().over(order), F.lit(n)).cast("int"))
+    h = F.xxhash64("pid", F.lit(seed))
+    dealt = p.withColumn("_h", h).withColumn("_range", F.shiftrightunsigned("_h", 64 - (RANGES - 1).bit_length()).cast("int"))
+    before = dealt.groupBy("_range").agg(F.count("*").alias("_n")).agg(F.array_sort(F.collect_list(F.struct("_range", "_n"))).alias("a"))
+    before = before.select(F.explode(F.transform("a", lambda s: F.struct(s["_range"].alias("_range"), F.aggregate(F.filter("a", lambda t: t["_range"] < s["_range"]), F.lit(0).cast("long"), lambda x, t: x + t["_n"]).alias("_before")))).alias("s")).select("s.*")
+    order = Window.partitionBy("_range").orderBy("_h", "pid")
+    numbered = dealt.withColumn("_at", F.row_number().over(order)).join(F.broadcast(before), "_range")
+    return numbered.withColumn("block", F.pmod(F.col("_at") + F.col("_before"), F.lit(n)).cast("int")).select(*p.columns, "block")
 
 
 def _meet(m: Metric, index: str, options: dict, eps: float):
@@ -48,47 +58,37 @@ def _meet(m: Metric, index: str, options: dict, eps: float):
     return run
 
 
-def ring_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int = 8, halve: bool = True, rounds_per_job: int | None = None, index: str = "cover", seed: int = 0, exact: bool = False, **options) -> DataFrame:
-    """Edges by passing blocks around a ring of ``n``; each job does ``rounds_per_job`` offsets (all by default)."""
-    m = resolve(metric)
-    dealt = blocks(p, n, seed, exact)
+def ring_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int | None = None, halve: bool = True, rounds_per_job: int | None = None, index: str = "cover", seed: int = 0, exact: bool = False, **options) -> DataFrame:
+    """Edges by passing blocks around a ring of ``n``; each job does ``rounds_per_job`` offsets (all by default: visiting blocks
+    stream past, so more offsets in a job need no more memory, and structures are built once a job)."""
+    m, n = resolve(metric), block_count(p, n)
+    dealt = blocks(p, n, seed, exact).select("pid", "vec", F.col("block").alias("home"))
     offsets = list(range(n // 2 + 1 if halve else n))
     step = rounds_per_job or len(offsets)
-    meet = _meet(m, index, options, eps)
-    parts = []
+    out = None
     for at in range(0, len(offsets), step):
-        now = offsets[at : at + step]
-
-        def run(own: pa.Table, come: pa.Table) -> pa.Table:
-            if not own.num_rows or not come.num_rows:
-                return edge_table(*[np.empty(0)] * 3)
-            s, d, dist = meet(own, come.rename_columns(["pid", "vec", "block"]))
-            mine = set(own.column("pid").to_pylist())
-            # inside a block each pair comes up twice; on a full ring every pair does
-            twice = np.fromiter((v in mine for v in s.tolist()), bool, len(s)) if halve else np.ones(len(s), bool)
-            keep = ~twice | (s < d)
-            return edge_table(s[keep], d[keep], dist[keep])
-
-        come = dealt.withColumn("offset", F.explode(F.array(*map(F.lit, now))))
-        come = come.withColumn("block", F.pmod(F.col("block") - F.col("offset"), F.lit(n)).cast("int"))
-        if halve and n % 2 == 0 and n // 2 in now and n > 1:
-            come = come.filter((F.col("offset") < n // 2) | (F.col("block") < n // 2))
-        # names of its own keep the two sides' columns apart in the plan
-        come = come.select(F.col("pid").alias("pid_"), F.col("vec").alias("vec_"), F.col("block").alias("block_"))
-        out = dealt.groupBy("block").cogroup(come.groupBy("block_")).applyInArrow(run, EDGE)
+        now = [o for o in offsets[at : at + step] if o]
+        stay = dealt.select("pid", "vec", "home", F.col("home").alias("part"), F.lit(0).alias("role"))
+        rows = stay
+        if now:
+            come = dealt.withColumn("role", F.explode(F.array(*map(F.lit, now))))
+            come = come.withColumn("part", F.pmod(F.col("home") - F.col("role"), F.lit(n)).cast("int"))
+            if halve and n % 2 == 0 and n // 2 in now:
+                come = come.filter((F.col("role") < n // 2) | (F.col("part") < n // 2))
+            rows = stay.unionByName(come.select(*stay.columns))
+        rows = rows.select("pid", "vec", "home", F.col("part").alias("cell"), "role", "part", F.lit(True).alias("whole"))
+        # on a full ring each pair of blocks meets twice, and the one with the visitor of the larger number counts
+        part = rows.repartitionById(n, "part").sortWithinPartitions("part", "role", "pid").mapInArrow(cell_kernel(m, eps, index, options, halve, intra=at == 0), EDGE)
         if step < len(offsets):
             checkpoint_dir(p.sparkSession)
-            out = out.checkpoint()
-        parts.append(out)
-    out = parts[0]
-    for more in parts[1:]:
-        out = out.unionByName(more)
+            part = part.checkpoint()
+        out = part if out is None else out.unionByName(part)
     return out
 
 
-def grid_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int = 8, index: str = "cover", seed: int = 0, **options) -> DataFrame:
+def grid_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int | None = None, index: str = "cover", seed: int = 0, **options) -> DataFrame:
     """The ring's schedule in one job: every pair of ``n`` blocks is a task, each point being in n tasks."""
-    m = resolve(metric)
+    m, n = resolve(metric), block_count(p, n)
     meet = _meet(m, index, options, eps)
     other = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
     cells = blocks(p, n, seed).withColumn("with", other).select("pid", "vec", "block", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"))
@@ -106,7 +106,7 @@ def grid_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int = 8
     return cells.groupBy("i", "j").applyInArrow(run, EDGE)
 
 
-def brute_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", how: str = "grid", n: int = 8) -> DataFrame:
+def brute_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", how: str = "grid", n: int | None = None) -> DataFrame:
     """All pairs: in a grid of blocks, or (``how="join"``) as a non-equi self join on the native distance."""
     m = resolve(metric)
     if how == "grid":
@@ -118,13 +118,13 @@ def brute_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", how: str
     return pairs.filter(F.col("dist") <= eps)
 
 
-def kdtree_graph(p: DataFrame, eps: float, n: int = 8, **options) -> DataFrame:
+def kdtree_graph(p: DataFrame, eps: float, n: int | None = None, **options) -> DataFrame:
     return grid_graph(p, eps, "l2", n, index="kd", **options)
 
 
-def balltree_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int = 8, **options) -> DataFrame:
+def balltree_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int | None = None, **options) -> DataFrame:
     return grid_graph(p, eps, metric, n, index="ball", **options)
 
 
-def vptree_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int = 8, **options) -> DataFrame:
+def vptree_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int | None = None, **options) -> DataFrame:
     return grid_graph(p, eps, metric, n, index="vp", **options)

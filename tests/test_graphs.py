@@ -5,7 +5,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from epsgraph.functions.metrics import levenshtein, metric
+from epsgraph.functions.metrics import custom, edit_to, jaccard_to, metric, objects
 from epsgraph.functions.trees import INDEXES, CoverTree
 from epsgraph.operators import baselines, definitions, downstream, landmark, measures, ring
 from epsgraph.operators.points import collapse, expand, points
@@ -127,8 +127,26 @@ def test_cosine_is_no_metric(spark):
         planner.near_graph(p, 0.3, "cosine", method="ring")
 
 
-def test_levenshtein_band():
-    assert levenshtein("kitten", "sitting", 9) == 3 and levenshtein("kitten", "sitting", 2) == 3 and levenshtein("", "abc", 5) == 3
+def plain_edit(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        new = [i]
+        for j, y in enumerate(b, 1):
+            new.append(min(row[j - 1] + (x != y), row[j] + 1, new[j - 1] + 1))
+        row = new
+    return row[-1]
+
+
+def test_edit_and_jaccard_kernels_equal_plain_ones():
+    rng = np.random.default_rng(2)
+    words = ["", "a", "kitten", "sitting", "漢字", *("".join(rng.choice(list("abcé"), rng.integers(0, 30))) for _ in range(60))]
+    for x in words[:20]:
+        assert edit_to(objects(words), x).tolist() == edit_to(objects(words), x, 64).tolist() == [plain_edit(x, y) for y in words]
+    assert edit_to(objects([]), "a").tolist() == []
+    sets = [np.unique(rng.integers(0, 20, rng.integers(0, 12))) for _ in range(40)] + [np.empty(0, int)]
+    for x in sets:
+        want = [1 - len(set(x) & set(y)) / len(set(x) | set(y)) if len(x) or len(y) else 0.0 for y in sets]
+        assert jaccard_to(objects(sets), x) == pytest.approx(want)
 
 
 def test_strings(spark):
