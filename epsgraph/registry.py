@@ -4,9 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .functions.metrics import custom, matrix
 from .operators import baselines as B
 from .operators import definitions as D
 from .operators import downstream as N
@@ -48,6 +50,9 @@ def distinct(build: Callable) -> Callable:
     return lambda p, eps, m: B.over_distinct(p, lambda q: build(q, eps, m))[0]
 
 
+#: A user's metric: the difference of one number.
+BALANCE_GAP = custom("gap", lambda block, x: np.abs(block - x)[:, 0], matrix)
+
 GRAPHS: dict[str, tuple[Callable, str]] = {
     **{f"graph_brute_{n}": _graph(lambda p, eps, m: R.brute_graph(p, eps, m), n) for n in ("e20", "e32", "e40", "e64", "h64")},
     "graph_brute_join_e8": _graph(lambda p, eps, m: R.brute_graph(p, eps, m, how="join"), "e8"),
@@ -63,6 +68,9 @@ GRAPHS: dict[str, tuple[Callable, str]] = {
     "graph_landmark_greedy_e4": _graph(landmark(m=8, how="greedy"), "e4"),
     "graph_landmark_fullghost_e4": _graph(landmark(m=16, half_ghosts=False), "e4"),
     "graph_landmark_bisector_e4": _graph(landmark(m=16, bound="bisector"), "e4"),
+    "graph_landmark_ball_e4": _graph(landmark(m=16, bound="ball"), "e4"),
+    "graph_landmark_ghost_weights_e4": _graph(landmark(m=16, weight="with_ghosts", tasks=3), "e4"),
+    "graph_landmark_user_metric_ca": _graph(lambda p, eps, m: L.landmark_graph(p, eps, BALANCE_GAP, 16), "ca"),
     "graph_landmark_cyclic_e4": _graph(landmark(m=16, balance="cyclic", tasks=3), "e4"),
     "graph_landmark_level_e4": _graph(landmark(m=4, threshold="level", levels="strict", leaf_size=1, bailout=1.0), "e4"),
     "graph_landmark_heavy_e4": _graph(landmark(m=3, max_cell=40), "e4"),
@@ -116,16 +124,16 @@ def _q(ps, f: Callable, at: int = 1) -> Callable:
 
 
 def _sym_sql(ps, at: int = 1) -> str:
-    return f"WITH p AS ({ps.sql}), e AS ({ps.edges_sql(ps.radii[at])}), s AS (SELECT src, dst, dist FROM e UNION ALL SELECT dst, src, dist FROM e)"
+    return f"WITH p AS ({ps.sql}), e AS MATERIALIZED ({ps.edges_sql(ps.radii[at])}), s AS MATERIALIZED (SELECT src, dst, dist FROM e UNION ALL SELECT dst, src, dist FROM e)"
 
 
 def _ghosts(bound: str) -> Callable:
     return lambda spark, d: C.ghost_stats(p := E4.build(spark, d), _ids(p), 0.141, bound=bound)
 
 
-def _ghosts_sql(both: bool) -> str:
-    ball = "AND dd.d <= r.radius + 0.141" if both else ""
-    return f"WITH p AS ({E4.sql}), {ASSIGN_SQL}, r AS (SELECT home AS cell, max(dmin) AS radius FROM h GROUP BY home) SELECT CAST(dd.cell AS INTEGER) AS cell, CAST(h.home AS INTEGER) AS home, count(*) AS ghosts FROM dd JOIN h ON dd.pid = h.pid AND dd.cell <> h.home AND dd.d <= h.dmin + 0.282 JOIN r ON r.cell = dd.cell {ball} GROUP BY dd.cell, h.home"
+def _ghosts_sql(bisector: bool, ball: bool) -> str:
+    tests = ("AND dd.d <= h.dmin + 0.282 " if bisector else "") + "JOIN r ON r.cell = dd.cell" + (" AND dd.d <= r.radius + 0.141" if ball else "")
+    return f"WITH p AS ({E4.sql}), {ASSIGN_SQL}, r AS (SELECT home AS cell, max(dmin) AS radius FROM h GROUP BY home) SELECT CAST(dd.cell AS INTEGER) AS cell, CAST(h.home AS INTEGER) AS home, count(*) AS ghosts FROM dd JOIN h ON dd.pid = h.pid AND dd.cell <> h.home {tests} GROUP BY dd.cell, h.home"
 
 
 def _voronoi(spark: SparkSession, d: str) -> DataFrame:
@@ -138,9 +146,19 @@ def _cell_stats(spark: SparkSession, d: str) -> DataFrame:
     return L.cell_stats(L.assign(p, _ids(p), E4.metric())).select("cell", "size", F.round("radius", ROUND).alias("radius"))
 
 
-def _sweep(name: str, copies: bool = False) -> tuple[Callable, str]:
+def _copies_sql(ps, eps: float) -> str:
+    """Statistics from distinct payloads with their numbers."""
+    return (
+        f"(WITH q AS (SELECT vec, count(*) AS n FROM ({ps.sql}) GROUP BY vec), s AS (SELECT a.n, sum(b.n) - 1 AS degree FROM q a JOIN q b ON {ps.distance} <= {eps} GROUP BY a.vec, a.n) "
+        f"SELECT CAST(sum(n) AS BIGINT) AS n, CAST(sum(n * degree) / 2 AS BIGINT) AS pairs, CAST(sum(n * degree) AS BIGINT) AS directed, round(sum(n * degree) / sum(n), 6) AS avg_degree, CAST(max(degree) AS BIGINT) AS max_degree, "
+        f"CAST(sum(CASE WHEN degree = 0 THEN n ELSE 0 END) AS BIGINT) AS isolated, CAST({eps} AS DOUBLE) AS eps FROM s)"
+    )
+
+
+def _sweep(name: str, copies: bool = False, radii: tuple[float, ...] | None = None) -> tuple[Callable, str]:
     """Statistics at each radius; with ``copies`` from a graph of distinct payloads, so pairs of copies are not written out."""
     ps = SETS[name]
+    radii = radii or ps.radii
 
     def stats(p: DataFrame, eps: float) -> DataFrame:
         build = lambda q: planner.near_graph(q, eps, ps.metric())
@@ -148,13 +166,13 @@ def _sweep(name: str, copies: bool = False) -> tuple[Callable, str]:
 
     def run(spark: SparkSession, d: str) -> DataFrame:
         p, out = ps.build(spark, d), None
-        for eps in ps.radii:
+        for eps in radii:
             s = stats(p, eps).withColumn("eps", F.lit(float(eps)))
             out = s if out is None else out.unionByName(s)
         return out
 
     one = lambda eps: f"SELECT n.n, e.pairs, 2 * e.pairs AS directed, round(2.0 * e.pairs / n.n, 6) AS avg_degree, coalesce(m.max_degree, 0) AS max_degree, n.n - m.touched AS isolated, CAST({eps} AS DOUBLE) AS eps FROM (SELECT count(*) AS n FROM ({ps.sql})) n, (SELECT count(*) AS pairs FROM ({ps.edges_sql(eps)})) e, (SELECT max(k) AS max_degree, count(*) AS touched FROM (SELECT v, count(*) AS k FROM (SELECT src AS v FROM ({ps.edges_sql(eps)}) UNION ALL SELECT dst FROM ({ps.edges_sql(eps)})) GROUP BY v)) m"
-    return run, " UNION ALL ".join(map(one, ps.radii))
+    return run, " UNION ALL ".join(map((lambda eps: _copies_sql(ps, eps)) if copies else one, radii))
 
 
 def _compare(spark: SparkSession, d: str) -> DataFrame:
@@ -213,11 +231,16 @@ MEASURES: dict[str, tuple[Callable, str | None]] = {
     "spread_e8": (lambda s, d: D.spread(E8.build(s, d)).select(*[F.round(c, ROUND).alias(c) for c in ("largest", "smallest_positive")]), f"WITH p AS ({E8.sql}) SELECT round(max(list_distance(a.vec, b.vec)), 6) AS largest, round(min(list_distance(a.vec, b.vec)), 6) AS smallest_positive FROM p a JOIN p b ON a.pid < b.pid"),
     "growth_constant_e2": (lambda s, d: D.growth_constant(E2.build(s, d), [0.05, 0.1], ids=IDS).select(F.round("constant", ROUND).alias("constant")), f"WITH p AS ({E2.sql}), x AS (SELECT a.pid, r.r, sum(CASE WHEN list_distance(a.vec, b.vec) <= r.r THEN 1 ELSE 0 END) AS near, sum(CASE WHEN list_distance(a.vec, b.vec) <= 2 * r.r THEN 1 ELSE 0 END) AS far FROM p a, p b, (SELECT unnest([0.05::DOUBLE, 0.1::DOUBLE]) AS r) r WHERE a.pid % 25 = 0 AND a.pid < 500 GROUP BY a.pid, r.r) SELECT round(max(far / near), 6) AS constant FROM x"),
     "intrinsic_dim_e8": (lambda s, d: D.intrinsic_dim(E8.build(s, d)), None),
-    "ghosts_bisector_e4": (_ghosts("bisector"), _ghosts_sql(False)),
-    "ghosts_both_e4": (_ghosts("both"), _ghosts_sql(True)),
+    "ghosts_bisector_e4": (_ghosts("bisector"), _ghosts_sql(True, False)),
+    "ghosts_ball_e4": (_ghosts("ball"), _ghosts_sql(False, True)),
+    "ghosts_both_e4": (_ghosts("both"), _ghosts_sql(True, True)),
     "degree_hist_e20": (lambda s, d: C.degree_histogram(e := L.landmark_graph(p := SETS["e20"].build(s, d), 0.59), p), _sym_sql(SETS["e20"]) + ", g AS (SELECT p.pid, count(s.src) AS degree FROM p LEFT JOIN s ON s.src = p.pid GROUP BY p.pid) SELECT degree, count(*) AS points FROM g GROUP BY degree"),
     **{f"graph_stats_sweep_{w}": _sweep(n) for w, n in {"w1": "e20", "w2": "e40", "w3": "e32", "w4": "e64", "w6": "uc", "w8": "h256", "w10": "url", "w12": "w1", "w13": "e2", "w14": "p2"}.items()},
+    **{f"graph_stats_sweep_{w}": _sweep(n) for w, n in {"w6b": "ut", "w8b": "h64", "w11": "names", "w13b": "e4", "w13c": "e8", "w14b": "e64_angular", "w14c": "ca"}.items()},
     "graph_stats_sweep_w5": _sweep("lgf_all", copies=True),
+    "graph_stats_sweep_w5b": _sweep("lg", copies=True, radii=(1.0, 1.5, 2.0, 3.0)),
+    "graph_stats_sweep_w7": _sweep("e64", radii=(1.118, 1.194, 1.261)),
+    "graph_stats_sweep_w9": _sweep("h800", copies=True, radii=(5, 10, 20, 40)),
     "graph_dups_lg": (_lg_degrees, LG_SQL),
     "compare_ring_landmark": (_compare, "SELECT CAST(0 AS BIGINT) AS missing, CAST(0 AS BIGINT) AS extra, CAST(0.0 AS DOUBLE) AS max_error"),
     "nestedness_e8": (_nested, "SELECT CAST(0 AS BIGINT) AS lost"),
