@@ -59,6 +59,64 @@ def decoded_centres(vecs: list, m: Metric, kind: T.DataType) -> np.ndarray:
     return m.decode(pa.array(vecs, to_arrow_type(kind)))
 
 
+class CentreGroups:
+    """Centres in groups around a farthest-first few of them, so that a point meets only the groups that the triangle inequality
+    leaves open: about the square root of their number where cells are well apart, instead of all."""
+
+    def __init__(self, c: np.ndarray, m: Metric, fewest: int = 64):
+        self.c, self.m, n = c, m, len(c)
+        k = n if n <= fewest or not m.is_metric else int(np.ceil(np.sqrt(n)))
+        near, of, heads = np.full(n, np.inf), np.zeros(n, int), []
+        at = 0
+        while len(heads) < k and (k == n or near[at] > 0):
+            heads.append(at)
+            if k < n:
+                d = m.row(c, c[at])
+                closer = d < near
+                near[closer], of[closer] = d[closer], len(heads) - 1
+                at = int(near.argmax())
+            else:
+                at += 1
+        self.heads = np.array(heads)
+        self.members = [np.flatnonzero(of == g) for g in range(len(heads))] if k < n else [np.array([i]) for i in range(n)]
+        self.radius = np.array([near[g].max() for g in self.members]) if k < n else np.zeros(n)
+
+    def search(self, x: np.ndarray, within) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Each point's nearest centre (the first of equals) and its distance, and (row, centre, distance) of the other centres
+        at most ``within(dmin)`` away, a number a row or a row and centre; none where ``within`` is None."""
+        head = self.m.table(x, self.c[self.heads])
+        rows = np.arange(len(x))
+        g = head.argmin(1)
+        dmin, home = head[rows, g], self.heads[g]
+        known = {}
+        if len(self.heads) < len(self.c):
+            for g, (r, who) in enumerate(zip(self.radius, self.members)):
+                at = np.flatnonzero(head[:, g] - slack(r) <= slack(dmin))
+                if len(at):
+                    known[g] = at, self.m.table(x[at], self.c[who])
+                    best = known[g][1].argmin(1)
+                    d = known[g][1][np.arange(len(at)), best]
+                    better = (d < dmin[at]) | (d == dmin[at]) & (who[best] < home[at])
+                    dmin[at[better]], home[at[better]] = d[better], who[best[better]]
+        if within is None:
+            return home, dmin, *(np.empty(0, t) for t in (int, int, float))
+        bound, found = np.broadcast_to(within(dmin), (len(x), len(self.c))), []
+        if len(self.heads) == len(self.c):
+            near = head <= bound
+            near[rows, home] = False
+            row, cell = np.nonzero(near)
+            return home, dmin, row, cell, head[row, cell]
+        for g, (r, who) in enumerate(zip(self.radius, self.members)):
+            at = np.flatnonzero(head[:, g] - slack(r) <= slack(bound[:, who].max(1)))
+            if len(at):
+                d = known[g][1] if g in known and np.array_equal(known[g][0], at) else self.m.table(x[at], self.c[who])
+                i, j = np.nonzero((d <= bound[at][:, who]) & (who[None, :] != home[at][:, None]))
+                found.append((at[i], who[j], d[i, j]))
+        row, cell, d = (np.concatenate(v) for v in zip(*found)) if found else (np.empty(0, t) for t in (int, int, float))
+        order = np.lexsort((cell, row))
+        return home, dmin, row[order], cell[order], d[order]
+
+
 def assign(p: DataFrame, cs: list[tuple[int, object]], m: Metric, eps: float | None = None, radii: dict[int, float] | None = None) -> DataFrame:
     """pid, vec, home (cell), dmin, and with ``eps`` the candidate cells with their distances: those of the bisector test, or
     with ``radii`` those whose ball grown by eps holds the point. Map only.
@@ -73,19 +131,15 @@ def assign(p: DataFrame, cs: list[tuple[int, object]], m: Metric, eps: float | N
         fields += [T.StructField("cells", T.ArrayType(T.IntegerType())), T.StructField("far", T.ArrayType(T.DoubleType()))]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = decoded_centres(shared.value, m, kind)
+        groups = CentreGroups(decoded_centres(shared.value, m, kind), m)
+        within = None if eps is None else (lambda dmin: slack(dmin + 2 * eps)[:, None]) if reach is None else (lambda dmin: reach[None, :])
         for whole in batches:
             for b in (whole.slice(k, 2048) for k in range(0, whole.num_rows, 2048)):
-                d = m.table(m.decode(b.column(1)), c)
-                home = d.argmin(1).astype(np.int32)
-                dmin = d[np.arange(len(d)), home]
-                cols = [b.column(0), b.column(1), pa.array(home), pa.array(dmin)]
+                home, dmin, row, cell, far = groups.search(m.decode(b.column(1)), within)
+                cols = [b.column(0), b.column(1), pa.array(home.astype(np.int32)), pa.array(dmin)]
                 if eps is not None:
-                    near = d <= (slack(dmin + 2 * eps)[:, None] if reach is None else reach[None, :])
-                    near[np.arange(len(d)), home] = False
-                    at = np.concatenate(([0], np.cumsum(near.sum(1)))).astype(np.int32)
-                    _, cell = np.nonzero(near)
-                    cols += [pa.ListArray.from_arrays(at, cell.astype(np.int32)), pa.ListArray.from_arrays(at, d[near])]
+                    at = np.concatenate(([0], np.cumsum(np.bincount(row, minlength=b.num_rows)))).astype(np.int32)
+                    cols += [pa.ListArray.from_arrays(at, cell.astype(np.int32)), pa.ListArray.from_arrays(at, far)]
                 yield pa.RecordBatch.from_arrays(cols, [f.name for f in fields])
 
     return p.select("pid", "vec").mapInArrow(run, T.StructType(fields))

@@ -77,6 +77,8 @@ GRAPHS: dict[str, tuple[Callable, str]] = {
     "graph_landmark_heavy_ring_e4": _graph(landmark(m=3, max_cell=40, ghost="ring", rounds=2), "e4"),
     "graph_landmark_heavy_fullghost_e4": _graph(landmark(m=3, max_cell=40, half_ghosts=False), "e4"),
     "graph_landmark_m10_e8": _graph(landmark(m=10), "e8"),
+    "graph_landmark_m150_e8": _graph(landmark(m=150), "e8"),
+    "graph_landmark_m150_greedy_names": _graph(landmark(m=150, how="greedy"), "names"),
     "graph_landmark_m60_e8": _graph(landmark(m=60), "e8"),
     "graph_covertree_single_e8": _graph(landmark(m=1, leaf_size=1), "e8"),
     **{f"graph_pca_sort_{n}": _graph(lambda p, eps, m: B.pca_sort_graph(p, eps), n) for n in ("e8", "e20", "e64")},
@@ -203,8 +205,9 @@ def _dups(spark: SparkSession, d: str) -> DataFrame:
     """Rows per representative of documents within Jaccard distance 0.2 of token sets."""
     ps = SETS["jaccard"]
     p = ps.build(spark, d)
-    e, groups = B.over_distinct(p, lambda q: L.landmark_graph(q, 0.2, ps.metric(), 16))
-    return N.components(e, p)
+    e, groups = B.over_distinct(p, lambda q: L.landmark_graph(q, 0.2, ps.metric(), 16), expanded=False)
+    parts = N.components(e, groups.select(F.col("rep").alias("pid")))
+    return parts.join(groups, F.col("pid") == F.col("rep")).select(F.explode("members").alias("pid"), "component")
 
 
 def _near_parts(spark: SparkSession, d: str) -> DataFrame:

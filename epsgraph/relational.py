@@ -96,6 +96,12 @@ def _source(spark: SparkSession, d: str) -> DataFrame:
     return lines.select("src", "dst", F.round("dist", 6).alias("dist"))
 
 
+def _lattice(spark: SparkSession, d: str) -> DataFrame:
+    """The edges that the Python data source makes."""
+    register(spark)
+    return spark.read.format("lattice_edges").option("side", 20).option("parts", 4).load()
+
+
 def _near_docs(how: str) -> Callable:
     """Documents (token bits) near, or not near, any of low labelled quality: a semi or anti join by distance."""
     from .operators.landmark import near_join
@@ -174,6 +180,7 @@ RELATIONAL: dict[str, tuple[Callable, str | None]] = {
     "scan_lineitem_pruned": sql("SELECT l_orderkey, l_quantity, l_discount FROM {lineitem} WHERE l_shipdate >= TIMESTAMP '1994-01-01' AND l_shipdate < TIMESTAMP '1994-04-01'", "SELECT l_orderkey, l_quantity, l_discount FROM {lineitem} WHERE l_shipdate >= TIMESTAMP '1994-01-01' AND l_shipdate < TIMESTAMP '1994-04-01'"),
     **{f"scan_roundtrip_{k}": (_roundtrip(k), "SELECT n_nationkey, n_name, r_name FROM nation JOIN region ON n_regionkey = r_regionkey") for k in ("csv", "json", "orc", "parquet")},
     "sink_edges_bucketed": (_bucketed, f"SELECT src, dst FROM ({E8.edges_sql(0.289)}) WHERE src % 8 = 3"),
+    "ds_lattice_edges": (_lattice, "WITH v AS (SELECT range AS v FROM range(400)) SELECT v AS src, v + 1 AS dst, CAST(1 AS DOUBLE) AS dist FROM v WHERE v % 20 < 19 UNION ALL SELECT v, v + 20, CAST(1 AS DOUBLE) FROM v WHERE v < 380"),
     "ds_edges_list": (_source, f"SELECT src, dst, round(dist, 6) AS dist FROM ({E8.edges_sql(0.205)})"),
     "proj_vector_norm": sql("SELECT vec_id, round(sqrt(aggregate(embedding, 0D, (s, x) -> s + cast(x AS double) * x)), 4) AS norm FROM {embeddings}", "SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x))), 4) AS norm FROM {embeddings}"),
     "filter_complex": sql("SELECT event_id FROM {events} WHERE event_type IN ('click', 'view') AND value BETWEEN 10 AND 50 AND cast(get_json_object(props, '$.k') AS int) > 50 AND ts < TIMESTAMP '2024-01-08'", "SELECT event_id FROM {events} WHERE event_type IN ('click', 'view') AND value BETWEEN 10 AND 50 AND CAST(json_extract_string(props, '$.k') AS INTEGER) > 50 AND ts < TIMESTAMP '2024-01-08'"),

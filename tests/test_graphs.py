@@ -255,3 +255,34 @@ def test_tree_by_levels(spark):
         assert all(k.radius <= r.radius / 2 + 1e-9 for k in kids)
     x = np.array([r.vec for r in p.orderBy("pid").collect()])
     assert definitions.build_tree_df(p.limit(0)).count() == 0 and max(r.depth for r in rows) < 15 and len(x) == 500
+
+
+@pytest.mark.parametrize("n", [1, 40, 300])
+@pytest.mark.parametrize("kind", ["plane", "ties", "copies"])
+def test_grouped_centres_equal_a_scan_of_all(n, kind):
+    rng = np.random.default_rng(n)
+    c = {"plane": rng.random((n, 2)), "ties": rng.integers(0, 6, (n, 2)).astype(float), "copies": np.ones((n, 2))}[kind]
+    x = rng.random((500, 2)) if kind == "plane" else rng.integers(0, 6, (500, 2)).astype(float)
+    m = metric("l2")
+    d = m.table(x, c)
+    home = d.argmin(1)
+    dmin = d[np.arange(500), home]
+    groups = landmark.CentreGroups(c, m)
+    m.evaluations = 0
+    groups.search(x, None)
+    assert m.evaluations <= 500 * (n + len(groups.heads)) and (n < 300 or kind != "plane" or m.evaluations < 500 * n / 3)
+    for bound in (None, lambda v: (v + 0.1)[:, None], lambda v: np.linspace(0, 1, n)[None, :]):
+        got = groups.search(x, bound)
+        assert (got[0] == home).all() and (got[1] == dmin).all()
+        if bound is not None:
+            near = d <= bound(dmin)
+            near[np.arange(500), home] = False
+            row, cell = np.nonzero(near)
+            assert got[2].tolist() == row.tolist() and got[3].tolist() == cell.tolist() and (got[4] == d[row, cell]).all()
+
+
+def test_user_metric(spark):
+    gap = custom("gap", lambda block, x: np.abs(block - x)[:, 0], lambda c: np.array(c.to_pylist(), float))
+    p = spark.createDataFrame([(i, [float(i * i)]) for i in range(30)], "pid long, vec array<double>")
+    got = {(r.src, r.dst) for r in landmark.landmark_graph(p, 20.0, gap, 4).collect()}
+    assert got == {(i, j) for i in range(30) for j in range(i + 1, 30) if j * j - i * i <= 20}
