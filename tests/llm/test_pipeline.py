@@ -81,3 +81,47 @@ def test_run_gives_what_the_stages_give(spark, stages):
         return got
 
     assert tokens(cp.run(spark, TINY)) == tokens(stages[-1][1])
+
+
+GOOD = " ".join(f"word{i} and other" for i in range(40))
+ODD = [
+    (1, GOOD, "en", "a", 5),
+    (1, GOOD, "en", "a", 5),
+    (None, GOOD + " more", None, None, None),
+    (3, GOOD, "en", "b", 5),
+    (3, " ".join(f"thing{i} or else" for i in range(60)), "en", "b", 5),
+    (3, " ".join(f"thing{i} or else" for i in range(60)) + " x", "en", "b", 5),
+    (None, " ".join(f"long{i} text of" for i in range(30_000)), "fr", "c", 5),
+    (7, None, "en", "a", None),
+    (8, "", "en", "a", 0),
+    (9, " \t\n", None, "a", 3),
+]
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    df = spark.createDataFrame(ODD, "doc_id long, text string, lang string, source string, n_chars long")
+    return df.withColumn("kept", F.lit(1)).withColumn("quality", F.lit("q")).withColumn("epoch", F.lit("e"))
+
+
+def test_near_duplicate_stage_keeps_one_row_of_each_group(spark, odd):
+    got = sorted((str(r.doc_id), len(r.text or "")) for r in cp.near_duplicate_removal(spark, odd, TINY).collect())
+    sizes = [len(t or "") for _, t, *_ in ODD]
+    short = min(sizes[4:6], key=lambda n: n)
+    assert ("1", sizes[0]) in got and len([g for g in got if g[0] == "3"]) == 1 and [g for g in got if g[0] == "3"][0][1] in (short, short + 2)
+    assert ("None", sizes[6]) in got and ("None", sizes[2]) not in got
+    assert [g for g in got if g[0] in "789"] == [("7", 0), ("8", 0), ("9", 3)] and len(got) == 6
+
+
+@pytest.mark.parametrize("name, stage", cp.STAGES)
+def test_stages_take_odd_rows_and_empty_tables(spark, odd, name, stage):
+    rows = stage(spark, odd, TINY).collect()
+    assert stage(spark, odd.limit(0), TINY).count() == 0
+    if name == "quality_rules":
+        assert not {r.doc_id for r in rows} & {7, 8, 9}
+    if name == "personal_data":
+        assert sorted(map(str, rows)) == sorted(map(str, odd.select(*cp.COLUMNS).withColumn("n_chars", F.length("text").cast("long")).collect()))
+    if name == "source_mixing":
+        assert {r.source for r in rows} <= {"a", "b", "c", None} and all(r.text for r in rows if r.source != "a")
+    if name == "packing":
+        assert sum(r.length for r in rows) == sum(len(packing.byte_bpe()(t or "")) + 1 for _, t, *_ in ODD)
