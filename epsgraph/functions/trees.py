@@ -5,6 +5,8 @@ All have ``query(q, eps)`` -> (query position, point position, distance) of the
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
+
 import numpy as np
 
 from .metrics import Metric, slack
@@ -22,11 +24,14 @@ class CoverTree:
     ``threshold``: "radius" splits to half the hub's radius, "level" to 2**(level - 1) with level = ceil(log2(radius)).
     ``levels``: "compact" derives a child's level from its radius, "strict" goes one level down a step, keeping self-children.
     ``leaf_size``: hubs of at most so many points become bucket leaves, as do hubs of equal points and hubs that
-    ``bailout`` stops: those with more centres than that part of their points.
+    ``bailout`` stops: those with more centres than that part of their points. ``node_bound``: by which bound queries enter a
+    vertex if they name none.
     """
 
-    def __init__(self, x: np.ndarray, metric: Metric, leaf_size: int = 32, threshold: str = "radius", levels: str = COMPACT, bailout: float = 0.25, triangle_skip: bool = True):
-        self.x, self.metric, self.leaf_size, self.threshold, self.levels, self.bailout, self.skip = x, metric, leaf_size, threshold, levels, bailout, triangle_skip
+    def __init__(self, x: np.ndarray, metric: Metric, leaf_size: int = 32, threshold: str = "radius", levels: str = COMPACT, bailout: float = 0.25, triangle_skip: bool = True, node_bound: str = "radius"):
+        if node_bound == "level" and levels == STRICT:
+            raise ValueError("strict levels do not bound radii")
+        self.x, self.metric, self.leaf_size, self.threshold, self.levels, self.bailout, self.skip, self.node_bound = x, metric, leaf_size, threshold, levels, bailout, triangle_skip, node_bound
         self.centre: list[int] = []
         self.radius: list[float] = []
         self.level: list[int] = []
@@ -99,7 +104,8 @@ class CoverTree:
     def bound(self, node: int, by: str) -> float:
         return self.radius[node] if by == "radius" else (2.0 ** self.level[node] if self.radius[node] > 0 else 0.0)
 
-    def query(self, q: np.ndarray, eps: float, bound: str = "radius") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def query(self, q: np.ndarray, eps: float, bound: str | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        bound = bound or self.node_bound
         found: list[tuple] = []
         work = [(0, np.arange(len(q)))] if len(self.centre) and len(q) else []
         while work:
@@ -115,6 +121,44 @@ class CoverTree:
                 work += [(c, active) for c in self.children[node]]
         return _joined(found)
 
+    def self_query(self, eps: float, rows: int = 4096) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """Each pair of the tree's own points once, in blocks of ``rows`` queries. Leaves are numbered from left to right, and a
+        point enters only vertices with leaves from its own on: about half of what ``query`` measures."""
+        if not len(self.centre):
+            return
+        rank, last, leaf = np.empty(len(self.x), int), np.empty(len(self.centre), int), 0
+        stack = [(0, False)]
+        while stack:
+            node, done = stack.pop()
+            if self.members[node] is not None:
+                rank[self.members[node]] = last[node] = leaf
+                leaf += 1
+            elif done:
+                last[node] = leaf - 1
+            else:
+                stack += [(node, True), *((c, False) for c in reversed(self.children[node]))]
+        order = np.argsort(rank, kind="stable")  # so that a block's queries lie close together
+        for at in range(0, len(order), rows):
+            found, work = [], [(0, order[at : at + rows])]
+            while work:
+                node, active = work.pop()
+                active = active[rank[active] <= last[node]]
+                if not len(active):
+                    continue
+                d = self.metric.row(self.x[active], self.x[self.centre[node]])
+                active = active[d <= slack(self.bound(node, self.node_bound) + eps)]
+                if not len(active):
+                    continue
+                if self.members[node] is not None:
+                    own = self.members[node]
+                    i, j, dist = self.metric.within(self.x[active], self.x[own], eps)
+                    i, j = active[i], own[j]
+                    keep = (rank[i] < rank[j]) | (i < j)
+                    found.append((i[keep], j[keep], dist[keep]))
+                else:
+                    work += [(c, active) for c in self.children[node]]
+            yield _joined(found)
+
     def counts(self, q: np.ndarray, eps: float) -> np.ndarray:
         """How many points lie within eps of each query; whole vertices inside the ball are not opened."""
         out, size = np.zeros(len(q), np.int64), self.sizes()
@@ -150,9 +194,38 @@ class CoverTree:
         return np.concatenate(found)
 
     def rows(self, pids: np.ndarray) -> list[tuple]:
-        """(node, parent, level, pid, radius, size, is_leaf)."""
+        """(node, parent, level, pid, radius, size, is_leaf, members), the members being the pids of a leaf."""
         size = self.sizes()
-        return [(n, self.parent[n], self.level[n], int(pids[self.centre[n]]), self.radius[n], int(size[n]), self.members[n] is not None) for n in range(len(self.centre))]
+        return [
+            (n, self.parent[n], self.level[n], int(pids[self.centre[n]]), self.radius[n], int(size[n]), m is not None, None if m is None else [int(v) for v in pids[m]])
+            for n, m in enumerate(self.members)
+        ]
+
+    @classmethod
+    def of_rows(cls, rows: Iterable[tuple], pids: np.ndarray, x: np.ndarray, metric: Metric, **options) -> CoverTree:
+        """The tree that ``rows`` tell of, over the points it was built on, in any order; no distance is measured."""
+        tree = cls(x[:0], metric, **options)
+        tree.x = x
+        order = np.argsort(pids, kind="stable")
+        ranked = pids[order]
+
+        def places(of) -> np.ndarray:
+            at = np.minimum(np.searchsorted(ranked, of), max(len(ranked) - 1, 0))
+            if not len(ranked) or (ranked[at] != of).any():
+                raise ValueError("the tree has points that are not given")
+            return order[at]
+
+        held = 0
+        for n, (node, parent, level, pid, radius, _, is_leaf, members) in enumerate(sorted(rows, key=lambda r: r[0])):
+            if node != n:
+                raise ValueError("the tree lacks vertices")
+            tree._node(int(places(np.array([pid]))[0]), radius, level, parent)
+            if is_leaf:
+                tree.members[n] = places(np.array(members, np.int64))
+                held += len(members)
+        if held != len(x):
+            raise ValueError("the tree lacks points")
+        return tree
 
     def depth(self) -> int:
         deep = [0] * len(self.centre)
@@ -160,11 +233,21 @@ class CoverTree:
             deep[n] = deep[self.parent[n]] + 1
         return max(deep, default=-1) + 1
 
-    def violations(self) -> dict[str, int]:
-        """Breaches of the invariants, by checking all of them: partition, covering, sibling separation, halving."""
-        bad = dict.fromkeys(("partition", "covering", "separating", "shrinking"), 0)
+    def violations(self, sibling_only: bool = True) -> dict[str, int]:
+        """Breaches of the invariants, by checking all of them: partition, nesting, covering, sibling separation, halving. Otherwise
+        also ``level_separating``: pairs of points of one level l at most 2**l apart, which this construction does not rule out."""
+        bad = dict.fromkeys(("partition", "nesting", "covering", "separating", "shrinking"), 0)
+        if not sibling_only:
+            bad["level_separating"] = 0
         if not len(self.centre):
             return bad
+        if not sibling_only:
+            level, centre = np.array(self.level), np.array(self.centre)
+            for at in np.unique(level[np.array(self.radius) > 0]):
+                x = self.x[np.unique(centre[level == at])]
+                for k in range(len(x) - 1):
+                    bad["level_separating"] += int((self.metric.to(x[k + 1 :], x[k]) <= 2.0**at).sum())
+        bad["nesting"] = sum(bool(kids) and self.centre[n] not in [self.centre[k] for k in kids] for n, kids in enumerate(self.children))
         leaves = np.concatenate([m for m in self.members if m is not None])
         bad["partition"] = int(len(leaves) != len(self.x)) + int(len(np.unique(leaves)) != len(leaves))
         for n in range(len(self.centre)):
@@ -184,17 +267,34 @@ def _joined(found: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return tuple(np.concatenate(c) for c in zip(*found))
 
 
-class Scan:
+class _Plain:
+    """Self queries of structures that save nothing there."""
+
+    def self_query(self, eps: float, rows: int = 4096) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        for at in range(0, len(self.x), rows):
+            i, j, d = self.query(self.x[at : at + rows], eps)
+            keep = i + at < j
+            yield i[keep] + at, j[keep], d[keep]
+
+
+class Scan(_Plain):
     """No structure: every query meets every point."""
 
     def __init__(self, x: np.ndarray, metric: Metric, **_):
         self.x, self.metric = x, metric
 
+    def self_query(self, eps: float, rows: int = 2048) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """Each block of rows meets itself and what follows."""
+        for at in range(0, len(self.x), rows):
+            i, j, d = self.metric.within(self.x[at : at + rows], self.x[at:], eps)
+            keep = i < j
+            yield i[keep] + at, j[keep] + at, d[keep]
+
     def query(self, q: np.ndarray, eps: float):
         return _joined([(i + k, j, d) for k in range(0, len(q), 2048) for i, j, d in [self.metric.within(q[k : k + 2048], self.x, eps)]])
 
 
-class _Binary:
+class _Binary(_Plain):
     """A binary tree of index arrays; subclasses say how to split and which queries may enter a side."""
 
     def __init__(self, x: np.ndarray, metric: Metric, leaf_size: int = 32, **_):

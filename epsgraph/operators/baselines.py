@@ -100,3 +100,22 @@ def check_metric(p: DataFrame, metric: str | Metric, samples: int = 40, seed: in
         return pa.table({"axiom": list(same), "violations": list(same.values())})
 
     return some.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(run, "axiom string, violations long")
+
+
+def lsh_pairs(p: DataFrame, eps: float, tables: int = 4, width: float | None = None, seed: int = 0) -> DataFrame:
+    """Pairs at most eps apart (l2) that share a bucket of a random projection in one of ``tables``: a contrast to the exact methods,
+    which loses pairs but reports none too many."""
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    v = p.select("pid", array_to_vector(F.col("vec").cast("array<double>")).alias("vec"))
+    model = BucketedRandomProjectionLSH(inputCol="vec", outputCol="buckets", bucketLength=width or 4 * eps, numHashTables=tables, seed=seed).fit(v)
+    pairs = model.approxSimilarityJoin(v, v, slack(eps), "dist")
+    return pairs.select(F.col("datasetA.pid").alias("src"), F.col("datasetB.pid").alias("dst"), "dist").filter((F.col("src") < F.col("dst")) & (F.col("dist") <= eps))
+
+
+def recall(found: DataFrame, exact: DataFrame) -> DataFrame:
+    """(exact, found, extra, recall): how many of the exact pairs were found, and how many pairs are none."""
+    a, b = found.select("src", "dst", F.lit(1).alias("f")), exact.select("src", "dst", F.lit(1).alias("e"))
+    n = a.join(b, ["src", "dst"], "full").agg(F.count("e").alias("exact"), F.count_if(F.col("f").isNotNull() & F.col("e").isNotNull()).alias("found"), F.count_if(F.col("e").isNull()).alias("extra"))
+    return n.withColumn("recall", F.when(F.col("exact") > 0, F.col("found") / F.col("exact")).otherwise(1.0))

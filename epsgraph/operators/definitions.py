@@ -13,6 +13,9 @@ from ..functions.metrics import Metric, resolve
 from ..functions.trees import CoverTree
 from .components import checkpoint_dir
 from .landmark import assign, centers, decoded_centres
+from .points import EDGE, edge_table
+
+EDGE_NONE = edge_table(*[np.empty(0)] * 3)
 
 
 def distances_to(p: DataFrame, vec, metric: str | Metric = "l2") -> DataFrame:
@@ -113,34 +116,59 @@ def intrinsic_dim(p: DataFrame, samples: int = 200, metric: str | Metric = "l2",
     return two.agg(F.count("*").alias("samples"), (F.count("*") / F.sum("r")).alias("dimension"))
 
 
-def tree_rows(p: DataFrame, metric: str | Metric = "l2", **options) -> DataFrame:
-    """One cover tree over all points as rows (node, parent, level, pid, radius, size, is_leaf). For sets that fit a task."""
+TREE = "part int, node int, parent int, level int, pid long, radius double, size long, is_leaf boolean, members array<long>"
+
+
+def _by(p: DataFrame, part: str | None) -> DataFrame:
+    return p.select("pid", "vec", (F.lit(0) if part is None else F.col(part)).cast("int").alias("part"))
+
+
+def tree_rows(p: DataFrame, metric: str | Metric = "l2", part: str | None = None, **options) -> DataFrame:
+    """Cover trees as rows (``TREE``), one over all points or one for each value of the column ``part``; a part must fit a task.
+    Write them to a table to keep them; ``stored_tree_graph`` takes them up again."""
     m = resolve(metric)
 
     def run(t: pa.Table) -> pa.Table:
         t = t.sort_by("pid")
         rows = CoverTree(m.decode(t.column("vec")), m, **options).rows(t.column("pid").to_numpy())
-        names = ("node", "parent", "level", "pid", "radius", "size", "is_leaf")
-        kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.bool_())
-        return pa.table({n: pa.array(c, k) for n, k, c in zip(names, kinds, zip(*rows))})
+        names = ("node", "parent", "level", "pid", "radius", "size", "is_leaf", "members")
+        kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.bool_(), pa.list_(pa.int64()))
+        return pa.table({"part": pa.array([t.column("part")[0].as_py()] * len(rows), pa.int32())} | {n: pa.array(c, k) for n, k, c in zip(names, kinds, zip(*rows))})
+
+    return _by(p, part).groupBy("part").applyInArrow(run, TREE)
+
+
+def stored_tree_graph(trees: DataFrame, p: DataFrame, eps: float, metric: str | Metric = "l2", part: str | None = None, **options) -> DataFrame:
+    """Edges within each part by its stored tree, which is not built again; points and tree rows meet by part. A tree that lacks
+    points of its part, or has others, is an error."""
+    m = resolve(metric)
+    columns = ("node", "parent", "level", "pid", "radius", "size", "is_leaf", "members")
+
+    def run(rows: pa.Table, own: pa.Table) -> pa.Table:
+        if not own.num_rows and not rows.num_rows:
+            return EDGE_NONE
+        ids = own.column("pid").to_numpy()
+        tree = CoverTree.of_rows(zip(*(rows.column(c).to_pylist() for c in columns)), ids, m.decode(own.column("vec")), m, **options)
+        found = [edge_table(ids[i], ids[j], d) for i, j, d in tree.self_query(eps)]
+        return pa.concat_tables(found) if found else EDGE_NONE
 
-    return p.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(run, "node int, parent int, level int, pid long, radius double, size long, is_leaf boolean")
+    return trees.groupBy("part").cogroup(_by(p, part).groupBy("part")).applyInArrow(run, EDGE)
 
 
-def tree_check(p: DataFrame, metric: str | Metric = "l2", **options) -> DataFrame:
+def tree_check(p: DataFrame, metric: str | Metric = "l2", sibling_only: bool = True, **options) -> DataFrame:
     """(invariant, violations) of one cover tree over all points."""
     m = resolve(metric)
 
     def run(t: pa.Table) -> pa.Table:
         t = t.sort_by("pid")
-        bad = CoverTree(m.decode(t.column("vec")), m, **options).violations()
+        bad = CoverTree(m.decode(t.column("vec")), m, **options).violations(sibling_only)
         return pa.table({"invariant": list(bad), "violations": pa.array(list(bad.values()), pa.int64())})
 
     return p.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(run, "invariant string, violations long")
 
 
 def tree_stats(p: DataFrame, eps: float, metric: str | Metric = "l2", **options) -> DataFrame:
-    """(vertices, leaves, depth, bailed, build_distances, query_distances, brute_distances) of a tree and its self query."""
+    """(vertices, leaves, depth, bailed, build_distances, query_distances, self_query_distances, brute_distances) of a tree and its self query."""
     m = resolve(metric)
 
     def run(t: pa.Table) -> pa.Table:
@@ -150,10 +178,13 @@ def tree_stats(p: DataFrame, eps: float, metric: str | Metric = "l2", **options)
         tree = CoverTree(x, m, **options)
         built, m.evaluations = m.evaluations, 0
         tree.query(x, eps)
-        one = {"vertices": len(tree.centre), "leaves": sum(v is not None for v in tree.members), "depth": tree.depth(), "bailed": tree.bailed, "build_distances": built, "query_distances": m.evaluations, "brute_distances": len(x) * len(x)}
+        asked, m.evaluations = m.evaluations, 0
+        for _ in tree.self_query(eps):
+            pass
+        one = {"vertices": len(tree.centre), "leaves": sum(v is not None for v in tree.members), "depth": tree.depth(), "bailed": tree.bailed, "build_distances": built, "query_distances": asked, "self_query_distances": m.evaluations, "brute_distances": len(x) * len(x)}
         return pa.table({k: pa.array([v], pa.int64()) for k, v in one.items()})
 
-    return p.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(run, "vertices long, leaves long, depth long, bailed long, build_distances long, query_distances long, brute_distances long")
+    return p.withColumn("one", F.lit(0)).groupBy("one").applyInArrow(run, "vertices long, leaves long, depth long, bailed long, build_distances long, query_distances long, self_query_distances long, brute_distances long")
 
 
 def build_tree_df(p: DataFrame, metric: str | Metric = "l2", leaf_size: int = 32, threshold: str = "radius", bailout: float = 0.25) -> DataFrame:

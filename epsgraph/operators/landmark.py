@@ -8,7 +8,9 @@ finds each cross pair once. The centres are the only broadcast; their number is
 from __future__ import annotations
 
 import heapq
-from collections.abc import Iterator
+from collections import Counter
+from collections.abc import Iterable, Iterator
+from time import perf_counter
 
 import numpy as np
 import pyarrow as pa
@@ -193,26 +195,56 @@ def ghosts(assigned: DataFrame, eps: float, radii: dict[int, float], bound: str
 WEIGHTS = {"size": lambda h, g: h, "size_log": lambda h, g: h * np.log2(h + 1), "with_ghosts": lambda h, g: h + g, "square": lambda h, g: h * h}
 
 
-def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, intra: bool = True):
+#: What a kernel tells of a part, instead of its edges. Waiting is for rows: for the exchange and its sort, mostly.
+WORK = "part long, cell int, home_rows long, guest_rows long, pairs long, build_distances long, home_distances long, guest_distances long, build_seconds double, home_seconds double, guest_seconds double, wait_seconds double"
+
+
+def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, intra: bool = True, report: bool = False, directed: bool = False):
     """Arrow kernel over rows sorted by (part, role): a part's home rows, then what comes to it, streamed. A part is a cell, or
-    of a heavy cell a pair of blocks (i <= j): the first block's rows are at home, the second's come to it."""
+    of a heavy cell a pair of blocks (i <= j): the first block's rows are at home, the second's come to it. Edges are (smaller, larger),
+    or with ``directed`` (guest, home); ``report`` gives a row of ``WORK`` a part instead."""
+    names = [c.split()[0] for c in WORK.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part_id, held, tree, pids, own, whole = None, [], None, None, None, True
-
-        def built():
+        spent: Counter = Counter()
+
+        def clocked(phase: str, steps: Iterable) -> Iterator:
+            steps = iter(steps)
+            while True:
+                at, known = perf_counter(), m.evaluations
+                step = next(steps, None)
+                spent[f"{phase}_seconds"] += perf_counter() - at
+                spent[f"{phase}_distances"] += m.evaluations - known
+                if step is None:
+                    return
+                yield step
+
+        def structure() -> Iterator[tuple]:
             t = pa.Table.from_batches(held)
-            x, ids = m.decode(t.column("vec")), t.column("pid").to_numpy()
-            return INDEXES[index](x, m, **options), ids, x
+            yield INDEXES[index](m.decode(t.column("vec")), m, **options), t.column("pid").to_numpy()
 
-        def inside(tree, pids, x):
-            if intra and whole:
-                for k in range(0, len(x), 4096):
-                    i, j, d = tree.query(x[k : k + 4096], eps)
-                    keep = pids[i + k] < pids[j]
-                    yield from edge_batches(pids[i + k][keep], pids[j][keep], d[keep])
+        def told(src: np.ndarray, dst: np.ndarray, d: np.ndarray) -> Iterable[pa.RecordBatch]:
+            spent["pairs"] += len(d)
+            if report:
+                return ()
+            return pa.table({"src": src, "dst": dst, "dist": d}).to_batches(max_chunksize=1 << 16) if directed else edge_batches(src, dst, d)
 
-        for b in batches:
+        def inside(tree, pids: np.ndarray) -> Iterator[pa.RecordBatch]:
+            if intra and whole:
+                for i, j, d in clocked("home", tree.self_query(eps)):
+                    yield from told(pids[i], pids[j], d)
+
+        def closed() -> Iterator[pa.RecordBatch]:
+            if held:
+                yield from inside(*next(clocked("build", structure())))
+            if report and part_id is not None:
+                row = {"part": part_id, "cell": own} | {k: spent[k] for k in names[2:]}
+                yield pa.table({k: pa.array([v], kind) for (k, v), kind in zip(row.items(), [pa.int64(), pa.int32(), *[pa.int64()] * 6, *[pa.float64()] * 4])}).to_batches()[0]
+            spent.clear()
+
+        for b in clocked("wait", batches):
+            waited = spent.pop("wait_seconds")
             if not b.num_rows:
                 continue
             parts, roles = b.column("part").to_numpy(), b.column("role").to_numpy()
@@ -220,38 +252,40 @@ def cell_kernel(m: Metric, eps: float, index: str, options: dict, half: bool, in
             for lo, hi in zip([0, *cuts], [*cuts, b.num_rows]):
                 part = b.slice(lo, hi - lo)
                 if parts[lo] != part_id:
-                    if held:
-                        yield from inside(*built())
+                    yield from closed()
                     part_id, held, tree = parts[lo], [], None
                     own, whole = part.column("cell")[0].as_py(), part.column("whole")[0].as_py()
+                spent["wait_seconds"] += waited
+                waited = 0.0
+                spent["guest_rows" if roles[lo] else "home_rows"] += hi - lo
                 if roles[lo] == 0:
                     held.append(part)
                     continue
                 if held:
-                    tree, pids, x = built()
+                    tree, pids = next(clocked("build", structure()))
                     held = []
-                    yield from inside(tree, pids, x)
+                    yield from inside(tree, pids)
                 if tree is None:
                     continue  # a part without home rows has nothing to find
-                i, j, d = tree.query(m.decode(part.column("vec")), eps)
                 come = part.column("pid").to_numpy()
-                keep = np.ones(len(i), bool) if half else part.column("home").to_numpy()[i] >= own
-                yield from edge_batches(come[i][keep], pids[j][keep], d[keep])
-        if held:
-            yield from inside(*built())
+                for i, j, d in clocked("guest", (tree.query(x, eps) for x in [m.decode(part.column("vec"))])):
+                    keep = np.ones(len(i), bool) if half else part.column("home").to_numpy()[i] >= own
+                    yield from told(come[i][keep], pids[j][keep], d[keep])
+        yield from closed()
 
     return run
 
 
-def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int = 16, how: str = "random", seed: int = 0, bound: str = "both", half_ghosts: bool = True, ghost: str = "collective", rounds: int = 4, balance: str = "lpt", weight: str = "size", tasks: int | None = None, index: str = "cover", ids: list[int] | None = None, max_cell: int = 50_000, measures: dict | None = None, **options) -> DataFrame:
+def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int = 16, how: str = "random", seed: int = 0, bound: str = "both", half_ghosts: bool = True, ghost: str = "collective", rounds: int = 4, balance: str = "lpt", weight: str = "size", tasks: int | None = None, index: str = "cover", ids: list[int] | None = None, max_cell: int = 50_000, measures: dict | None = None, report: bool = False, **options) -> DataFrame:
     """Edges by cells. Cells stay where they are and are built once; their ghosts stream past in batches: in order of id
     (``ghost="collective"``), or (``"ring"``) as ``rounds`` blocks of points going round one after another. A cell of more than ``max_cell``
-    points is dealt into blocks, every pair of blocks being a part of its own, so no part holds more at home."""
+    points is dealt into blocks, every pair of blocks being a part of its own, so no part holds more at home. ``report`` gives
+    the rows, distances and seconds of each part (``WORK``) instead of edges."""
     met = resolve(metric)
     cs = centers(p, m, how, seed, met, ids)
     spark = p.sparkSession
     if not cs:
-        return spark.createDataFrame([], EDGE)
+        return spark.createDataFrame([], WORK if report else EDGE)
     assigned, cells = with_candidates(p, cs, met, eps, bound)
     radii = {c: r.radius for c, r in cells.items()}
     n = tasks or max(1, min(len(cs), int(spark.conf.get("spark.sql.shuffle.partitions"))))
@@ -284,29 +318,27 @@ def landmark_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", m: int
     if ghost == "ring":
         come = come.withColumn("role", F.pmod(F.xxhash64("pid", F.lit(seed)), F.lit(rounds)).cast("int") + 1)
     dealt = home.unionByName(come).withColumn("task", task).repartitionById(n, "task").sortWithinPartitions("part", "role", "pid")
-    return dealt.mapInArrow(cell_kernel(met, eps, index, options, half_ghosts), EDGE)
+    return dealt.mapInArrow(cell_kernel(met, eps, index, options, half_ghosts, report=report), WORK if report else EDGE)
 
 
-def near_join(a: DataFrame, b: DataFrame, eps: float, metric: str | Metric = "l2", m: int = 16, seed: int = 0, index: str = "cover", **options) -> DataFrame:
+def near_join(a: DataFrame, b: DataFrame, eps: float, metric: str | Metric = "l2", m: int = 16, seed: int = 0, index: str = "cover", max_cell: int = 50_000, **options) -> DataFrame:
     """(left, right, dist) of all pairs across two sets: cells hold ``b``; each point of ``a`` looks up every cell that may hold
-    a partner, its own nearest among them."""
+    a partner, its own nearest among them, and streams past. A cell of more than ``max_cell`` points is dealt into blocks, each
+    a part of its own to which the cell's lookups come."""
     met = resolve(metric)
     cs = centers(b, m, "random", seed, met)
     if not cs:
         return a.sparkSession.createDataFrame([], "left long, right long, dist double")
     home = assign(b, cs, met)
-    radii = {r.cell: r.radius for r in cell_stats(home).collect()}
-    guests = assign(a, cs, met, eps)
-    looked = guests.select("pid", "vec", F.explode(F.concat(F.array("home"), F.col("cells"))).alias("cell"))
-    looked = looked.filter(F.col("cell").isin(*radii))
-
-    def run(own: pa.Table, come: pa.Table) -> pa.Table:
-        if not own.num_rows or not come.num_rows:
-            return pa.table({"left": pa.array([], pa.int64()), "right": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})
-        tree = INDEXES[index](met.decode(own.column("vec")), met, **options)
-        i, j, d = tree.query(met.decode(come.column("vec_")), eps)
-        return pa.table({"left": come.column("pid_").to_numpy()[i], "right": own.column("pid").to_numpy()[j], "dist": d})
-
-    rows = home.select("pid", "vec", F.col("home").alias("cell"))
-    looked = looked.select(F.col("pid").alias("pid_"), F.col("vec").alias("vec_"), F.col("cell").alias("cell_"))
-    return rows.groupBy("cell").cogroup(looked.groupBy("cell_")).applyInArrow(run, "left long, right long, dist double")
+    size = {r.cell: r.size for r in cell_stats(home).collect()}
+    looked = assign(a, cs, met, eps).select("pid", "vec", "home", F.explode(F.concat(F.array("home"), F.col("cells"))).alias("cell")).filter(F.col("cell").isin(*size))
+    blocks = {c: -(-n // max_cell) for c, n in size.items()}
+    most = max(blocks.values())
+    k = F.create_map(*[F.lit(int(v)) for c in blocks.items() for v in c])[F.col("cell")]
+    row = lambda role: ("pid", "vec", "home", "cell", F.lit(role).alias("role"), (F.col("cell").cast("long") * most + F.col("b")).alias("part"), F.lit(False).alias("whole"))
+    stay = home.withColumn("cell", F.col("home")).withColumn("b", F.pmod(F.xxhash64("pid", F.lit(seed + 1)), k)).select(*row(0))
+    come = looked.withColumn("b", F.explode(F.sequence(F.lit(0), k - 1))).select(*row(1))
+    n = int(a.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = stay.unionByName(come).repartition(n, "part").sortWithinPartitions("part", "role", "pid")
+    pairs = dealt.mapInArrow(cell_kernel(met, eps, index, options, True, intra=False, directed=True), EDGE)
+    return pairs.select(F.col("src").alias("left"), F.col("dst").alias("right"), "dist")

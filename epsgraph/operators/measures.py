@@ -55,3 +55,16 @@ def balance_stats(p: DataFrame, cs: list[tuple[int, object]], tasks: int, how: s
         by_task[t] += load
     row = (how, len(loads), tasks, max(loads), sum(loads) / len(loads), max(by_task), max(by_task) - min(by_task))
     return p.sparkSession.createDataFrame([row], "how string, cells int, tasks int, largest_cell double, mean_cell double, largest_load double, max_min double")
+
+
+def work_stats(work: DataFrame) -> DataFrame:
+    """One row of a graph's report (``landmark.WORK``): rows moved through the exchange and how many of them are guests, the most
+    rows that a part holds at home, pairs, distances of each phase, their seconds, the seconds that kernels wait for rows, and the
+    largest over the mean part by seconds at work."""
+    busy = F.col("build_seconds") + F.col("home_seconds") + F.col("guest_seconds")
+    total = lambda c: F.coalesce(F.sum(c), F.lit(0))
+    return work.agg(
+        F.countDistinct("part").alias("parts"), total(F.col("home_rows") + F.col("guest_rows")).alias("rows_moved"), total("guest_rows").alias("guest_rows"), F.max("home_rows").alias("most_home_rows"),
+        total("pairs").alias("pairs"), *[total(f"{c}_distances").alias(f"{c}_distances") for c in ("build", "home", "guest")],
+        *[total(f"{c}_seconds").alias(f"{c}_seconds") for c in ("build", "home", "guest", "wait")], (F.max(busy) / F.avg(busy)).alias("largest_over_mean"),
+    )

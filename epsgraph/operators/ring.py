@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from ..functions.metrics import Metric, resolve
 from ..functions.trees import INDEXES
 from .components import checkpoint_dir
-from .landmark import cell_kernel
+from .landmark import WORK, cell_kernel
 from .points import EDGE, block_of, edge_table
 
 MOST_ROWS, LEAST_BLOCKS = 50_000, 8
@@ -49,18 +49,18 @@ def _meet(m: Metric, index: str, options: dict, eps: float):
         x, pid = m.decode(own.column("vec")), own.column("pid").to_numpy()
         tree = INDEXES[index](x, m, **options)
         if other is None:
-            i, j, d = tree.query(x, eps)
-            keep = pid[i] < pid[j]
-            return pid[i][keep], pid[j][keep], d[keep]
+            i, j, d = (np.concatenate(v) for v in zip(*tree.self_query(eps)))
+            return pid[i], pid[j], d
         i, j, d = tree.query(m.decode(other.column("vec")), eps)
         return other.column("pid").to_numpy()[i], pid[j], d
 
     return run
 
 
-def ring_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int | None = None, halve: bool = True, rounds_per_job: int | None = None, index: str = "cover", seed: int = 0, exact: bool = False, **options) -> DataFrame:
+def ring_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int | None = None, halve: bool = True, rounds_per_job: int | None = None, index: str = "cover", seed: int = 0, exact: bool = False, report: bool = False, **options) -> DataFrame:
     """Edges by passing blocks around a ring of ``n``; each job does ``rounds_per_job`` offsets (all by default: visiting blocks
-    stream past, so more offsets in a job need no more memory, and structures are built once a job)."""
+    stream past, so more offsets in a job need no more memory, and structures are built once a job). ``report`` gives ``WORK``, a
+    row a block and job, instead."""
     m, n = resolve(metric), block_count(p, n)
     dealt = blocks(p, n, seed, exact).select("pid", "vec", F.col("block").alias("home"))
     offsets = list(range(n // 2 + 1 if halve else n))
@@ -78,7 +78,7 @@ def ring_graph(p: DataFrame, eps: float, metric: str | Metric = "l2", n: int | N
             rows = stay.unionByName(come.select(*stay.columns))
         rows = rows.select("pid", "vec", "home", F.col("part").alias("cell"), "role", "part", F.lit(True).alias("whole"))
         # on a full ring each pair of blocks meets twice, and the one with the visitor of the larger number counts
-        part = rows.repartitionById(n, "part").sortWithinPartitions("part", "role", "pid").mapInArrow(cell_kernel(m, eps, index, options, halve, intra=at == 0), EDGE)
+        part = rows.repartitionById(n, "part").sortWithinPartitions("part", "role", "pid").mapInArrow(cell_kernel(m, eps, index, options, halve, intra=at == 0, report=report), WORK if report else EDGE)
         if step < len(offsets):
             checkpoint_dir(p.sparkSession)
             part = part.checkpoint()

@@ -73,6 +73,9 @@ GRAPHS: dict[str, tuple[Callable, str]] = {
     "graph_landmark_user_metric_ca": _graph(lambda p, eps, m: L.landmark_graph(p, eps, BALANCE_GAP, 16), "ca"),
     "graph_landmark_cyclic_e4": _graph(landmark(m=16, balance="cyclic", tasks=3), "e4"),
     "graph_landmark_level_e4": _graph(landmark(m=4, threshold="level", levels="strict", leaf_size=1, bailout=1.0), "e4"),
+    "graph_landmark_node_level_e4": _graph(landmark(m=4, threshold="level", node_bound="level", leaf_size=1, bailout=1.0), "e4"),
+    "graph_landmark_coll_lgd": _graph(landmark(m=60), "lgd", 0),
+    "graph_stored_tree_e4": _graph(lambda p, eps, m: D.stored_tree_graph(D.tree_rows(p, m), p, eps, m), "e4"),
     "graph_landmark_heavy_e4": _graph(landmark(m=3, max_cell=40), "e4"),
     "graph_landmark_heavy_ring_e4": _graph(landmark(m=3, max_cell=40, ghost="ring", rounds=2), "e4"),
     "graph_landmark_heavy_fullghost_e4": _graph(landmark(m=3, max_cell=40, half_ghosts=False), "e4"),
@@ -219,6 +222,41 @@ def _near_parts(spark: SparkSession, d: str) -> DataFrame:
     return L.near_join(side("Brand#1"), side("Brand#2"), 5.005).select(F.col("left").alias("src"), F.col("right").alias("dst"), F.round("dist", ROUND).alias("dist"))
 
 
+def _separation(spark: SparkSession, d: str) -> DataFrame:
+    """The centres' least distance, the covering radius, and whether the centres are a net at the first."""
+    p = E4.build(spark, d)
+    cs = _ids(p)
+    apart = D.separation(cs, "l2", p.schema["vec"].dataType)
+    return spark.createDataFrame([(round(apart, ROUND), D.is_r_net(p, cs, apart))], "separation double, net boolean")
+
+
+def _work(spark: SparkSession, d: str) -> DataFrame:
+    """By method: points at home, pairs, and whether fewer distances than all pairs were measured."""
+    p, m = E8.build(spark, d), E8.metric()
+    runs = {"landmark_collective": L.landmark_graph(p, 0.205, m, 16, report=True), "landmark_ring": L.landmark_graph(p, 0.205, m, 16, ghost="ring", rounds=3, report=True), "ring": R.ring_graph(p, 0.205, m, 8, report=True)}
+    out = None
+    for method, work in runs.items():
+        one = work.agg(F.sum("home_rows").alias("home_rows"), F.sum("pairs").alias("pairs")).select(F.lit(method).alias("method"), "home_rows", "pairs")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _lsh(spark: SparkSession, d: str) -> DataFrame:
+    p, m = E8.build(spark, d), E8.metric()
+    return B.recall(B.lsh_pairs(p, 0.289), L.landmark_graph(p, 0.289, m))
+
+
+def _experiment(name: str, **kw) -> Callable:
+    """The published experiment ``name``; seconds differ from run to run."""
+
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        from .plans import experiments
+
+        return experiments.run(spark, d, name, **kw)
+
+    return query
+
+
 P2 = SETS["p2"].sql
 
 
@@ -248,9 +286,16 @@ MEASURES: dict[str, tuple[Callable, str | None]] = {
     "compare_ring_landmark": (_compare, "SELECT CAST(0 AS BIGINT) AS missing, CAST(0 AS BIGINT) AS extra, CAST(0.0 AS DOUBLE) AS max_error"),
     "nestedness_e8": (_nested, "SELECT CAST(0 AS BIGINT) AS lost"),
     **{f"balance_{how}": ((lambda s, d, how=how: C.balance_stats(p := SETS["lgf_all"].build(s, d), L.centers(p, 32), 5, how)), None) for how in ("cyclic", "lpt")},
-    "tree_invariants_e8": (lambda s, d: D.tree_check(E8.build(s, d), leaf_size=1, bailout=1.0), "SELECT unnest(['partition', 'covering', 'separating', 'shrinking']) AS invariant, CAST(0 AS BIGINT) AS violations"),
+    "separation_e4": (_separation, f"WITH p AS ({E4.sql}), {ASSIGN_SQL}, s AS (SELECT min(list_distance(a.cv, b.cv)) AS separation FROM c a JOIN c b ON a.cell < b.cell) SELECT round(s.separation, 6) AS separation, (SELECT max(dmin) FROM h) <= s.separation AS net FROM s"),
+    "work_e8": (_work, f"WITH n AS (SELECT count(*) AS home_rows FROM ({E8.sql})), e AS (SELECT count(*) AS pairs FROM ({E8.edges_sql(0.205)})) SELECT unnest(['landmark_collective', 'landmark_ring', 'ring']) AS method, home_rows, pairs FROM n, e"),
+    "lsh_contrast_e8": (_lsh, None),
+    "tree_levels_e4": (lambda s, d: D.build_tree_df(E4.build(s, d)).filter("is_leaf").agg(F.sum("size").alias("points")), f"SELECT count(*) AS points FROM ({E4.sql})"),
+    "tree_strict_separation_e4": (lambda s, d: D.tree_check(E4.build(s, d), sibling_only=False, leaf_size=1, bailout=1.0), None),
+    **{f"experiment_{n}": (_experiment(n, radii=(1,)), None) for n in ("one_process", "speedups", "strong_scaling", "phases", "work")},
+    **{f"experiment_{n}": (_experiment(n), None) for n in ("ghost_saturation", "centre_selection", "assignment", "tree_costs")},
+    "tree_invariants_e8": (lambda s, d: D.tree_check(E8.build(s, d), leaf_size=1, bailout=1.0), "SELECT unnest(['partition', 'nesting', 'covering', 'separating', 'shrinking']) AS invariant, CAST(0 AS BIGINT) AS violations"),
     "tree_stats_e4": (lambda s, d: D.tree_stats(E4.build(s, d), 0.141), None),
-    "tree_rows_e4": (lambda s, d: D.tree_rows(E4.build(s, d)), None),
+    "tree_rows_e4": (lambda s, d: D.tree_rows(E4.build(s, d)).drop("part", "members"), None),
     "check_metric_l2": (lambda s, d: B.check_metric(E8.build(s, d), "l2"), "SELECT unnest(['non_negative', 'identity', 'symmetry', 'triangle']) AS axiom, CAST(0 AS BIGINT) AS violations"),
     "check_metric_cosine": (lambda s, d: B.check_metric(E8.build(s, d), "cosine").filter("violations > 0").select("axiom"), "SELECT 'triangle' AS axiom"),
     "near_join_part": (_near_parts, "WITH p AS (SELECT p_partkey AS pid, p_brand, [CAST(p_size AS DOUBLE), p_retailprice] AS vec FROM part) SELECT a.pid AS src, b.pid AS dst, round(list_distance(a.vec, b.vec), 6) AS dist FROM p a JOIN p b ON a.p_brand LIKE 'Brand#1%' AND b.p_brand LIKE 'Brand#2%' WHERE list_distance(a.vec, b.vec) <= 5.005"),
@@ -267,7 +312,7 @@ DOWNSTREAM: dict[str, tuple[Callable, str | None]] = {
     "components_e4": (_q(E4, lambda p, e: N.components(e, p), 0), _components_sql(E4, 0)),
     "dbscan_e4": (_q(E4, _dbscan), CLUSTER_SQL),
     "density_e8": (_q(E8, lambda p, e: N.density(e, p, 0.289, "tri").select("pid", F.round("density", 5).alias("density"))), _sym_sql(E8) + " SELECT p.pid, round(1 + coalesce(sum(1 - s.dist / 0.289), 0), 5) AS density FROM p LEFT JOIN s ON s.src = p.pid GROUP BY p.pid"),
-    "triangles_e8": (_q(E8, lambda p, e: N.triangles(e)), _sym_sql(E8) + " SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON y.src = x.dst JOIN e z ON z.src = x.src AND z.dst = y.dst"),
+    "triangles_e8": (_q(E8, lambda p, e: N.triangles(e)), _sym_sql(E8) + " , w AS MATERIALIZED (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON y.src = x.dst) SELECT w.a, w.b, w.c FROM w SEMI JOIN e z ON z.src = w.a AND z.dst = w.c"),
     "rips_e8": (_q(E8, lambda p, e: N.rips(e, p)), _sym_sql(E8) + ", t AS (SELECT x.src FROM e x JOIN e y ON y.src = x.dst JOIN e z ON z.src = x.src AND z.dst = y.dst) SELECT a.vertices, b.edges, c.triangles, a.vertices - b.edges + c.triangles AS euler FROM (SELECT count(*) AS vertices FROM p) a, (SELECT count(*) AS edges FROM e) b, (SELECT count(*) AS triangles FROM t) c"),
     "clustering_e8": (_q(E8, lambda p, e: N.local_clustering(e, p).select("pid", "triangles", F.round("clustering", ROUND).alias("clustering"))), _sym_sql(E8) + ", k AS (SELECT src AS pid, count(*) AS k FROM s GROUP BY src), t AS (SELECT x.src AS pid, count(*) / 2 AS t FROM s x JOIN s y ON y.src = x.src AND y.dst <> x.dst JOIN s z ON z.src = x.dst AND z.dst = y.dst GROUP BY x.src) SELECT p.pid, CAST(coalesce(t.t, 0) AS BIGINT) AS triangles, round(CASE WHEN k.k > 1 THEN 2.0 * coalesce(t.t, 0) / (k.k * (k.k - 1)) ELSE 0.0 END, 6) AS clustering FROM p LEFT JOIN k ON k.pid = p.pid LEFT JOIN t ON t.pid = p.pid"),
     "geodesics_e4": (_q(E4, lambda p, e: N.geodesics(e, [0, 1]).select("source", "pid", F.round("dist", 5).alias("dist"))), None),

@@ -92,6 +92,11 @@ def line_flags_all(spark: SparkSession, d: str) -> DataFrame:
     return _with_flags(read(spark, d, "lineitem"))
 
 
+def line_kinds(spark: SparkSession, d: str) -> DataFrame:
+    """The distinct payloads of all lines, each under the smallest rank of its copies."""
+    return line_flags_all(spark, d).groupBy("vec").agg(F.min("pid").alias("pid")).select("pid", "vec")
+
+
 def line_flags(spark: SparkSession, d: str) -> DataFrame:
     """The LGF of FIXTURES.md, a twentieth of the orders: for the bench and the published tables only."""
     return _with_flags(read(spark, d, "lineitem").filter(F.col("l_orderkey") % 20 == 0))
@@ -181,6 +186,7 @@ SETS: dict[str, PointSet] = {
     "lg": PointSet(line_grid, LINE_GRID_SQL, L2_SQL, lambda: metric("l2"), (1.0, 1.5, 2.0)),
     "lgf": PointSet(line_flags, LINE_FLAGS_SQL, L2_SQL, lambda: metric("l2"), (1.5, 3.2, 6.1)),
     "lgf_all": PointSet(line_flags_all, LINE_FLAGS_ALL_SQL, L2_SQL, lambda: metric("l2"), (1.5, 3.2, 6.1)),
+    "lgd": PointSet(line_kinds, f"SELECT min(pid) AS pid, vec FROM ({LINE_FLAGS_ALL_SQL}) GROUP BY vec", L2_SQL, lambda: metric("l2"), (1.5, 3.2, 6.1)),
     "uc": PointSet(user_hours, _users_sql(120, f"({TYPE_RANK_SQL}) * 24 + hour(ts)"), L2_SQL, lambda: metric("l2"), (9.49, 10.44, 11.79)),
     "ut": PointSet(user_types, _users_sql(5, TYPE_RANK_SQL), L2_SQL, lambda: metric("l2"), (2.9, 4.1, 5.9)),
     "w1": PointSet(

@@ -93,7 +93,7 @@ def test_cover_tree_invariants_and_queries(options):
         i, j, _ = t.query(x, 0.1, bound)
         assert set(zip(i, j)) == set(zip(*np.nonzero(m.table(x, x) <= 0.1)))
     assert (t.counts(x, 0.3) == (m.table(x, x) <= 0.3).sum(1)).all()
-    assert t.sizes()[0] == 150 and sum(r[-1] for r in t.rows(np.arange(150))) == sum(v is not None for v in t.members)
+    assert t.sizes()[0] == 150 and sum(r[6] for r in t.rows(np.arange(150))) == sum(v is not None for v in t.members)
 
 
 def test_triangle_skip_saves_distances():
@@ -286,3 +286,96 @@ def test_user_metric(spark):
     p = spark.createDataFrame([(i, [float(i * i)]) for i in range(30)], "pid long, vec array<double>")
     got = {(r.src, r.dst) for r in landmark.landmark_graph(p, 20.0, gap, 4).collect()}
     assert got == {(i, j) for i in range(30) for j in range(i + 1, 30) if j * j - i * i <= 20}
+
+
+@pytest.mark.parametrize("index", INDEXES)
+def test_self_queries_find_each_pair_once(index):
+    x, m = np.random.default_rng(3).random((700, 2)), metric("l2")
+    x[10:40] = x[5]
+    got = [(min(a, b), max(a, b)) for i, j, _ in INDEXES[index](x, m).self_query(0.07, 100) for a, b in zip(i, j)]
+    assert len(got) == len(set(got)) and set(got) == {(i, j) for i, j in zip(*np.nonzero(m.table(x, x) <= 0.07)) if i < j}
+
+
+def test_self_query_measures_about_half():
+    x, m = np.random.default_rng(4).random((1000, 3)), metric("l2")
+    t = CoverTree(x, m)
+    m.evaluations = 0
+    t.query(x, 0.1)
+    asked, m.evaluations = m.evaluations, 0
+    list(t.self_query(0.1))
+    assert m.evaluations < 0.65 * asked
+
+
+def test_stored_trees(spark):
+    p = SETS["e4"].build(spark, SF)
+    got = found(definitions.stored_tree_graph(definitions.tree_rows(p), p.orderBy(F.desc("pid")), 0.141))
+    assert got == found(ring.brute_graph(p, 0.141))
+    parts = p.withColumn("part", (F.col("pid") % 3).cast("int"))
+    got = found(definitions.stored_tree_graph(definitions.tree_rows(parts, part="part", leaf_size=2), parts, 0.141, part="part"))
+    assert got == {(a, b) for a, b in found(ring.brute_graph(p, 0.141)) if a % 3 == b % 3}
+    rows = CoverTree(x := np.arange(9.0).reshape(9, 1), metric("l2"), leaf_size=2).rows(np.arange(9))
+    for bad in (rows[1:], [r for r in rows if r[0] != len(rows) - 1]):
+        with pytest.raises(ValueError):
+            CoverTree.of_rows(bad, np.arange(9), x, metric("l2"))
+    with pytest.raises(ValueError):
+        CoverTree.of_rows(rows, np.arange(1, 10), x, metric("l2"))
+    assert definitions.stored_tree_graph(definitions.tree_rows(p.limit(0)), p.limit(0), 0.1).count() == 0
+
+
+def test_strict_separation_is_reported():
+    t = CoverTree(np.random.default_rng(0).random((300, 2)), metric("l2"), leaf_size=1, bailout=1.0)
+    assert "level_separating" not in t.violations() and t.violations(False)["level_separating"] > 0
+    line = CoverTree(np.array([[0.0], [100.0]]), metric("l2"), leaf_size=1, bailout=1.0)
+    assert line.violations(False)["level_separating"] == 0
+
+
+@pytest.mark.parametrize("kw", [dict(max_cell=2), dict(max_cell=5, m=1), dict(m=200)])
+def test_two_sets_with_heavy_cells(spark, kw):
+    a, b = frame(spark, LATTICE * 3), frame(spark, [[x + 0.5, y] for x, y in LATTICE] * 2)
+    rows = [(r.left, r.right) for r in landmark.near_join(a, b, 0.6, **kw).collect()]
+    assert len(rows) == len(set(rows))
+    assert set(rows) == {(i, j) for i, x in enumerate(LATTICE * 3) for j, (u, v) in enumerate(LATTICE * 2) if l2(x, [u + 0.5, v]) <= 0.6}
+
+
+@pytest.mark.parametrize("build", [lambda p, **k: landmark.landmark_graph(p, 0.289, m=16, **k), lambda p, **k: landmark.landmark_graph(p, 0.289, m=16, ghost="ring", rounds=3, **k), lambda p, **k: landmark.landmark_graph(p, 0.289, m=3, max_cell=50, **k), lambda p, **k: ring.ring_graph(p, 0.289, n=5, **k), lambda p, **k: ring.ring_graph(p, 0.289, n=4, rounds_per_job=1, **k)])
+def test_reports_tell_of_the_same_work(spark, build):
+    p = SETS["e8"].build(spark, SF)
+    r = measures.work_stats(build(p, report=True)).first()
+    assert r.pairs == build(p).count() and r.rows_moved > r.guest_rows > 0 and 0 < r.most_home_rows <= 500
+    assert r.build_distances > 0 and r.home_distances > 0 and r.guest_distances > 0 and r.largest_over_mean >= 1
+    again = measures.work_stats(build(p, report=True)).first()
+    assert all(r[c] == again[c] for c in ("pairs", "rows_moved", "build_distances", "home_distances", "guest_distances"))
+
+
+def test_a_ring_task_holds_its_block_and_no_more(spark):
+    p = SETS["e8"].build(spark, SF)
+    r = measures.work_stats(ring.ring_graph(p, 0.289, n=10, exact=True, report=True)).first()
+    assert r.most_home_rows == 50
+
+
+def test_lsh_reports_no_false_pairs(spark):
+    p = SETS["e8"].build(spark, SF)
+    r = baselines.recall(baselines.lsh_pairs(p, 0.289), ring.brute_graph(p, 0.289)).first()
+    assert r.extra == 0 and r.exact == 4986 and 0.5 < r.recall <= 1
+
+
+@pytest.mark.parametrize("files", [1, 7])
+def test_metric_stream_in_many_batches(spark, tmp_path, files):
+    """Files come in any order of ids; every pair once, whichever point is later."""
+    from epsgraph.streaming import streams
+
+    p = SETS["e4"].build(spark, SF)
+    cs = landmark.centers(p, 8)
+    p.repartition(files, F.xxhash64("pid", F.lit(9))).write.parquet(str(tmp_path / "in"))
+    come = spark.readStream.schema(p.schema).option("maxFilesPerTrigger", 2).parquet(str(tmp_path / "in"))
+    assert found(streams.drained(streams.metric_graph(come, cs, 0.141))) == found(ring.brute_graph(p, 0.141))
+
+
+def test_metric_stream_of_strings(spark, tmp_path):
+    from epsgraph.streaming import streams
+
+    p = SETS["names"].build(spark, SF)
+    p.repartition(3, "pid").write.parquet(str(tmp_path / "in"))
+    come = spark.readStream.schema(p.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    got = streams.drained(streams.metric_graph(come, landmark.centers(p, 4, metric="edit"), 3, "edit"))
+    assert found(got) == found(ring.brute_graph(p, 3, "edit"))
