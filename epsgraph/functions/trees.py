@@ -122,41 +122,46 @@ class CoverTree:
         return _joined(found)
 
     def self_query(self, eps: float, rows: int = 4096) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-        """Each pair of the tree's own points once, in blocks of ``rows`` queries. Leaves are numbered from left to right, and a
-        point enters only vertices with leaves from its own on: about half of what ``query`` measures."""
+        """Each pair of the tree's own points once, in blocks of ``rows`` queries. Points are numbered through the leaves from left to
+        right, and a point enters only vertices with numbers beyond its own: about half of what ``query`` measures."""
         if not len(self.centre):
             return
-        rank, last, leaf = np.empty(len(self.x), int), np.empty(len(self.centre), int), 0
+        leaves, last, held = [], np.empty(len(self.centre), int), 0
         stack = [(0, False)]
         while stack:
             node, done = stack.pop()
             if self.members[node] is not None:
-                rank[self.members[node]] = last[node] = leaf
-                leaf += 1
+                leaves.append(self.members[node])
+                held += len(leaves[-1])
+                last[node] = held - 1
             elif done:
-                last[node] = leaf - 1
+                last[node] = held - 1
             else:
                 stack += [(node, True), *((c, False) for c in reversed(self.children[node]))]
-        order = np.argsort(rank, kind="stable")  # so that a block's queries lie close together
+        order = np.concatenate(leaves)
+        place = np.empty(len(order), int)
+        place[order] = np.arange(len(order))
         for at in range(0, len(order), rows):
             found, work = [], [(0, order[at : at + rows])]
             while work:
                 node, active = work.pop()
-                active = active[rank[active] <= last[node]]
+                active = active[place[active] < last[node]]
                 if not len(active):
                     continue
                 d = self.metric.row(self.x[active], self.x[self.centre[node]])
                 active = active[d <= slack(self.bound(node, self.node_bound) + eps)]
                 if not len(active):
                     continue
-                if self.members[node] is not None:
-                    own = self.members[node]
-                    i, j, dist = self.metric.within(self.x[active], self.x[own], eps)
-                    i, j = active[i], own[j]
-                    keep = (rank[i] < rank[j]) | (i < j)
-                    found.append((i[keep], j[keep], dist[keep]))
-                else:
+                if self.members[node] is None:
                     work += [(c, active) for c in self.children[node]]
+                    continue
+                own, first = self.members[node], last[node] + 1 - len(self.members[node])
+                guests = int(np.searchsorted(place[active], first))  # those of earlier leaves, then the leaf's own, each with what follows
+                for block, of in ((active[:guests], own), *((active[k : k + 256], own[place[active[k]] - first :]) for k in range(guests, len(active), 256))):
+                    i, j, dist = self.metric.within(self.x[block], self.x[of], eps)
+                    i, j = block[i], of[j]
+                    keep = place[i] < place[j]
+                    found.append((i[keep], j[keep], dist[keep]))
             yield _joined(found)
 
     def counts(self, q: np.ndarray, eps: float) -> np.ndarray:
