@@ -44,7 +44,7 @@ class Metric:
     native: Callable[[Column, Column], Column] | None = None
     is_metric: bool = True
     integer: bool = False
-    prefilter: Callable[[np.ndarray, np.ndarray, float], np.ndarray] | None = None
+    prefilter: Callable[[np.ndarray, np.ndarray, float], tuple[np.ndarray, np.ndarray]] | None = None
     evaluations: int = field(default=0, compare=False)
 
     def row(self, block: np.ndarray, x) -> np.ndarray:
@@ -62,7 +62,7 @@ class Metric:
         if not len(a) or not len(b):
             return np.empty(0, int), np.empty(0, int), np.empty(0)
         if self.prefilter is not None and len(a) * len(b) > 256:
-            i, j = np.nonzero(self.prefilter(a, b, eps))
+            i, j = self.prefilter(a, b, eps)
             self.evaluations += len(a) * len(b)
             d = np.concatenate([self.to(b[j[k : k + 65536]], a[i[k : k + 65536]]) for k in range(0, len(i), 65536)]) if len(i) else np.empty(0)
             ok = d <= eps
@@ -72,11 +72,16 @@ class Metric:
         return i, j, d[i, j]
 
 
-def _l2_prefilter(a: np.ndarray, b: np.ndarray, eps: float) -> np.ndarray:
-    """By matrix product, with room for its rounding: what passes is measured again."""
+def _l2_prefilter(a: np.ndarray, b: np.ndarray, eps: float, cells: int = 1 << 18) -> tuple[np.ndarray, np.ndarray]:
+    """Squared distances by one matrix product of the points lengthened by their squared norms, in strips that stay in cache, with
+    room for rounding: what passes is measured again."""
     na, nb = (a * a).sum(1), (b * b).sum(1)
-    sq = na[:, None] + nb[None, :] - 2 * (a @ b.T)
-    return sq <= eps * eps + 1e-9 * (na.max() + nb.max() + eps * eps)
+    left = np.column_stack([a, na, np.ones(len(a))])
+    right = np.column_stack([-2 * b, np.ones(len(b)), nb]).T
+    limit = eps * eps + 1e-9 * (na.max() + nb.max() + eps * eps)
+    step = max(1, cells // len(b))
+    at = [np.flatnonzero(left[k : k + step] @ right <= limit) + k * len(b) for k in range(0, len(a), step)]
+    return np.divmod(np.concatenate(at), len(b))
 
 
 def l2_to(block: np.ndarray, x: np.ndarray) -> np.ndarray:
