@@ -2,7 +2,7 @@
 
 Each returns rows (run_stats): method, dataset, eps, blocks, m, phase, seconds, value. Seconds are wall clock to a noop sink, but for the
 phases inside kernels, which are sums over tasks. ``radii`` chooses among a set's three radii: all by default, the middle one in the
-registered queries.
+registered queries, which also run fewer ``sets`` where times are taken.
 """
 
 from __future__ import annotations
@@ -36,9 +36,9 @@ def _points(spark: SparkSession, d: str, name: str) -> DataFrame:
     return p
 
 
-def one_process(spark: SparkSession, d: str, radii: tuple[int, ...] = ALL_RADII) -> Iterator[tuple]:
+def one_process(spark: SparkSession, d: str, radii: tuple[int, ...] = ALL_RADII, sets: tuple[str, ...] = TABLE_SETS) -> Iterator[tuple]:
     """Sequential sorted search against landmarks with 10 and 60 cells in one task."""
-    for name in TABLE_SETS:
+    for name in sets:
         p, m = _points(spark, d, name), SETS[name].metric()
         for eps in (SETS[name].radii[r] for r in radii):
             yield "pca_sort", name, eps, 1, 0, "all", seconds(baselines.pca_sort_graph(p, eps, how="local")), None
@@ -55,9 +55,9 @@ def _methods(p: DataFrame, eps: float, m: Metric, n: int, **kw) -> dict[str, Cal
     }
 
 
-def speedups(spark: SparkSession, d: str, radii: tuple[int, ...] = ALL_RADII) -> Iterator[tuple]:
+def speedups(spark: SparkSession, d: str, radii: tuple[int, ...] = ALL_RADII, sets: tuple[str, ...] = ("e64", "lgd", "uc")) -> Iterator[tuple]:
     """Three methods at several block counts; value is the speed-up over the sequential baseline."""
-    for name in ("e64", "lgd", "uc"):
+    for name in sets:
         p, m = _points(spark, d, name), SETS[name].metric()
         for eps in (SETS[name].radii[r] for r in radii):
             base = seconds(baselines.pca_sort_graph(p, eps, how="local"))
@@ -67,10 +67,10 @@ def speedups(spark: SparkSession, d: str, radii: tuple[int, ...] = ALL_RADII) ->
                     yield method, name, eps, n, max(n, 4), "all", s, round(base / s, 3)
 
 
-def strong_scaling(spark: SparkSession, d: str, radii: tuple[int, ...] = ALL_RADII) -> Iterator[tuple]:
+def strong_scaling(spark: SparkSession, d: str, radii: tuple[int, ...] = ALL_RADII, sets: tuple[str, ...] = ("e64", "lgd", "uc", "h256")) -> Iterator[tuple]:
     """The same graphs on 1 to 8 tasks; value is the efficiency, of the seconds on one task over those on n, a task. Tasks stand
     for workers: more than the session has cores gain nothing."""
-    for name in ("e64", "lgd", "uc", "h256"):
+    for name in sets:
         p, m = _points(spark, d, name), SETS[name].metric()
         for eps in (SETS[name].radii[r] for r in radii):
             one: dict[str, float] = {}

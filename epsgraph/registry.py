@@ -291,7 +291,8 @@ MEASURES: dict[str, tuple[Callable, str | None]] = {
     "lsh_contrast_e8": (_lsh, None),
     "tree_levels_e4": (lambda s, d: D.build_tree_df(E4.build(s, d)).filter("is_leaf").agg(F.sum("size").alias("points")), f"SELECT count(*) AS points FROM ({E4.sql})"),
     "tree_strict_separation_e4": (lambda s, d: D.tree_check(E4.build(s, d), sibling_only=False, leaf_size=1, bailout=1.0), None),
-    **{f"experiment_{n}": (_experiment(n, radii=(1,)), None) for n in ("one_process", "speedups", "strong_scaling", "phases", "work")},
+    **{f"experiment_{n}": (_experiment(n, radii=(1,)), None) for n in ("phases", "work")},
+    "experiment_one_process": (_experiment("one_process", radii=(1,), sets=("e64", "lgd")), None),
     **{f"experiment_{n}": (_experiment(n), None) for n in ("ghost_saturation", "centre_selection", "assignment", "tree_costs")},
     "tree_invariants_e8": (lambda s, d: D.tree_check(E8.build(s, d), leaf_size=1, bailout=1.0), "SELECT unnest(['partition', 'nesting', 'covering', 'separating', 'shrinking']) AS invariant, CAST(0 AS BIGINT) AS violations"),
     "tree_stats_e4": (lambda s, d: D.tree_stats(E4.build(s, d), 0.141), None),
