@@ -98,10 +98,10 @@ def growth_constant(p: DataFrame, radii: list[float], samples: int = 20, metric:
     return sums.agg(F.max(F.col("far") / F.col("near")).alias("constant"))
 
 
-def intrinsic_dim(p: DataFrame, samples: int = 200, metric: str | Metric = "l2", seed: int = 0) -> DataFrame:
-    """(samples, dimension) by the ratio of the second to the first neighbour distance of sampled points."""
+def intrinsic_dim(p: DataFrame, samples: int = 200, metric: str | Metric = "l2", seed: int = 0, ids: list[int] | None = None) -> DataFrame:
+    """(samples, dimension) by the ratio of the second to the first neighbour distance of sampled or given points."""
     m, kind = resolve(metric), p.schema["vec"].dataType
-    chosen = _sample(p, samples, seed)
+    chosen = centers(p, 0, "ids", ids=ids) if ids else _sample(p, samples, seed)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = decoded_centres([v for _, v in chosen], m, kind)

@@ -144,7 +144,7 @@ def mcl_step(m: DataFrame, inflation: float = 2.0, keep: int | None = None) -> D
     sq = m.alias("a").join(m.alias("b"), F.col("a.dst") == F.col("b.src")).groupBy(F.col("a.src").alias("src"), F.col("b.dst").alias("dst")).agg(F.sum(F.col("a.value") * F.col("b.value")).alias("value"))
     grown = sq.select("src", "dst", F.pow("value", F.lit(inflation)).alias("value"))
     if keep:
-        w = Window.partitionBy("dst").orderBy(F.desc("value"), "src")
+        w = Window.partitionBy("dst").orderBy(F.desc(F.round("value", 12)), "src")  # sums of any order rank alike
         grown = grown.withColumn("r", F.row_number().over(w)).filter(F.col("r") <= keep).drop("r")
     total = grown.groupBy("dst").agg(F.sum("value").alias("total"))
     return grown.join(total, "dst").select("src", "dst", (F.col("value") / F.col("total")).alias("value"))

@@ -271,7 +271,7 @@ MEASURES: dict[str, tuple[Callable, str | None]] = {
     "coverage_e4": (_coverage, f"WITH p AS ({E4.sql}), {ASSIGN_SQL} SELECT round(max(dmin), 6) AS radius FROM h"),
     "spread_e8": (lambda s, d: D.spread(E8.build(s, d)).select(*[F.round(c, ROUND).alias(c) for c in ("largest", "smallest_positive")]), f"WITH p AS ({E8.sql}) SELECT round(max(list_distance(a.vec, b.vec)), 6) AS largest, round(min(list_distance(a.vec, b.vec)), 6) AS smallest_positive FROM p a JOIN p b ON a.pid < b.pid"),
     "growth_constant_e2": (lambda s, d: D.growth_constant(E2.build(s, d), [0.05, 0.1], ids=IDS).select(F.round("constant", ROUND).alias("constant")), f"WITH p AS ({E2.sql}), x AS (SELECT a.pid, r.r, sum(CASE WHEN list_distance(a.vec, b.vec) <= r.r THEN 1 ELSE 0 END) AS near, sum(CASE WHEN list_distance(a.vec, b.vec) <= 2 * r.r THEN 1 ELSE 0 END) AS far FROM p a, p b, (SELECT unnest([0.05::DOUBLE, 0.1::DOUBLE]) AS r) r WHERE a.pid % 25 = 0 AND a.pid < 500 GROUP BY a.pid, r.r) SELECT round(max(far / near), 6) AS constant FROM x"),
-    "intrinsic_dim_e8": (lambda s, d: D.intrinsic_dim(E8.build(s, d)), None),
+    "intrinsic_dim_e8": (lambda s, d: D.intrinsic_dim(E8.build(s, d), ids=IDS).select("samples", F.round("dimension", 4).alias("dimension")), f"WITH p AS ({E8.sql}), {CENTRES_SQL}, d AS (SELECT c.cell, list_distance(p.vec, c.cv) AS d FROM p, c), r AS (SELECT cell, d, row_number() OVER (PARTITION BY cell ORDER BY d) AS k FROM d WHERE d > 0), x AS (SELECT cell, ln(max(d) / min(d)) AS r FROM r WHERE k <= 2 GROUP BY cell HAVING count(*) = 2) SELECT count(*) AS samples, round(count(*) / sum(r), 4) AS dimension FROM x"),
     "ghosts_bisector_e4": (_ghosts("bisector"), _ghosts_sql(True, False)),
     "ghosts_ball_e4": (_ghosts("ball"), _ghosts_sql(False, True)),
     "ghosts_both_e4": (_ghosts("both"), _ghosts_sql(True, True)),
@@ -293,6 +293,8 @@ MEASURES: dict[str, tuple[Callable, str | None]] = {
     "tree_strict_separation_e4": (lambda s, d: D.tree_check(E4.build(s, d), sibling_only=False, leaf_size=1, bailout=1.0), None),
     **{f"experiment_{n}": (_experiment(n, radii=(1,)), None) for n in ("phases", "work")},
     "experiment_one_process": (_experiment("one_process", radii=(1,), sets=("e64", "lgd")), None),
+    "experiment_strong_scaling": (_experiment("strong_scaling", radii=(1,), sets=("lgd", "e64")), None),
+    "experiment_speedups": (_experiment("speedups", radii=(1,), sets=("lgd", "e64")), None),
     **{f"experiment_{n}": (_experiment(n), None) for n in ("ghost_saturation", "centre_selection", "assignment", "tree_costs")},
     "tree_invariants_e8": (lambda s, d: D.tree_check(E8.build(s, d), leaf_size=1, bailout=1.0), "SELECT unnest(['partition', 'nesting', 'covering', 'separating', 'shrinking']) AS invariant, CAST(0 AS BIGINT) AS violations"),
     "tree_stats_e4": (lambda s, d: D.tree_stats(E4.build(s, d), 0.141), None),
@@ -309,6 +311,29 @@ w AS (SELECT pid, pid AS root FROM k UNION SELECT ks.dst, w.root FROM w JOIN ks
 c AS (SELECT pid, min(root) AS cluster FROM w GROUP BY pid), b AS (SELECT s.src AS pid, min(c.cluster) AS cluster FROM s JOIN c ON c.pid = s.dst GROUP BY s.src)
 SELECT p.pid, coalesce(c.cluster, b.cluster) AS cluster, CASE WHEN c.pid IS NOT NULL THEN 'core' WHEN b.pid IS NOT NULL THEN 'border' ELSE 'noise' END AS kind FROM p LEFT JOIN c ON c.pid = p.pid LEFT JOIN b ON b.pid = p.pid"""
 
+#: Every known length is kept beside the longer paths of each round, until a round shortens nothing.
+GEODESICS_SQL = _sym_sql(E4).replace("WITH p", "WITH RECURSIVE p", 1) + """, w AS (SELECT pid AS source, pid, 0.0::DOUBLE AS d, true AS running FROM p WHERE pid IN (0, 1)
+UNION ALL SELECT source, pid, d, bool_or(shorter) OVER () FROM (SELECT source, pid, min(d) AS d, min(d) + 1e-12 < coalesce(min(CASE WHEN known THEN d END), 1e300) AS shorter
+FROM (SELECT source, pid, d, true AS known FROM w WHERE running UNION ALL SELECT w.source, s.dst, w.d + s.dist, false FROM w JOIN s ON s.src = w.pid WHERE w.running) GROUP BY source, pid))
+SELECT source, pid, round(d, 5) AS dist FROM w WHERE NOT running"""
+
+FUZZY_SQL = _sym_sql(E8) + """, r AS (SELECT src, dst, dist, row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS rank FROM s), k AS (SELECT src, dst, dist, min(dist) OVER (PARTITION BY src) AS near, max(dist) OVER (PARTITION BY src) AS far FROM r WHERE rank <= 5),
+m AS (SELECT src, dst, exp((near - dist) / greatest(far - near, 1e-12)) AS m FROM k), t AS (SELECT coalesce(a.src, b.dst) AS src, coalesce(a.dst, b.src) AS dst, coalesce(a.m, 0) AS x, coalesce(b.m, 0) AS y FROM m a FULL JOIN m b ON a.src = b.dst AND a.dst = b.src)
+SELECT src, dst, round(x + y - x * y, 6) AS weight FROM t WHERE src < dst"""
+
+SPECTRAL_SQL = _sym_sql(E4) + ", k AS (SELECT src AS pid, count(*) AS k FROM s GROUP BY src), l AS MATERIALIZED (SELECT s.src, s.dst, 1 / sqrt(a.k * b.k) AS w FROM s JOIN k a ON a.pid = s.src JOIN k b ON b.pid = s.dst), v0 AS (SELECT pid, 1.0::DOUBLE AS value FROM p)"
+for _k in range(1, 6):
+    SPECTRAL_SQL += f", u{_k} AS MATERIALIZED (SELECT l.src AS pid, sum(l.w * v.value) AS value FROM l JOIN v{_k - 1} v ON v.pid = l.dst GROUP BY l.src), v{_k} AS MATERIALIZED (SELECT pid, value / (SELECT sqrt(sum(value * value)) FROM u{_k}) AS value FROM u{_k})"
+SPECTRAL_SQL += " SELECT pid, round(value, 6) AS value FROM v5"
+
+FLOW_SQL = _sym_sql(E2) + ", f AS (SELECT src, dst FROM s UNION ALL SELECT pid, pid FROM p), m0 AS MATERIALIZED (SELECT src, dst, 1.0::DOUBLE / count(*) OVER (PARTITION BY dst) AS v FROM f)"
+for _k in range(1, 5):
+    FLOW_SQL += (
+        f", g{_k} AS (SELECT a.src, b.dst, pow(sum(a.v * b.v), 2) AS v FROM m{_k - 1} a JOIN m{_k - 1} b ON a.dst = b.src GROUP BY a.src, b.dst), h{_k} AS (SELECT * FROM g{_k} QUALIFY row_number() OVER (PARTITION BY dst ORDER BY round(v, 12) DESC, src) <= 50)"
+        f", n{_k} AS (SELECT src, dst, v / sum(v) OVER (PARTITION BY dst) AS v FROM h{_k}), m{_k} AS MATERIALIZED (SELECT * FROM n{_k} WHERE v >= 1e-4)"
+    )
+FLOW_SQL += " SELECT dst AS pid, arg_min(src, {'v': -round(v, 6), 'src': src}) AS cluster FROM m4 GROUP BY dst"
+
 DOWNSTREAM: dict[str, tuple[Callable, str | None]] = {
     "components_e4": (_q(E4, lambda p, e: N.components(e, p), 0), _components_sql(E4, 0)),
     "dbscan_e4": (_q(E4, _dbscan), CLUSTER_SQL),
@@ -316,14 +341,14 @@ DOWNSTREAM: dict[str, tuple[Callable, str | None]] = {
     "triangles_e8": (_q(E8, lambda p, e: N.triangles(e)), _sym_sql(E8) + " , w AS MATERIALIZED (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON y.src = x.dst) SELECT w.a, w.b, w.c FROM w SEMI JOIN e z ON z.src = w.a AND z.dst = w.c"),
     "rips_e8": (_q(E8, lambda p, e: N.rips(e, p)), _sym_sql(E8) + ", t AS (SELECT x.src FROM e x JOIN e y ON y.src = x.dst JOIN e z ON z.src = x.src AND z.dst = y.dst) SELECT a.vertices, b.edges, c.triangles, a.vertices - b.edges + c.triangles AS euler FROM (SELECT count(*) AS vertices FROM p) a, (SELECT count(*) AS edges FROM e) b, (SELECT count(*) AS triangles FROM t) c"),
     "clustering_e8": (_q(E8, lambda p, e: N.local_clustering(e, p).select("pid", "triangles", F.round("clustering", ROUND).alias("clustering"))), _sym_sql(E8) + ", k AS (SELECT src AS pid, count(*) AS k FROM s GROUP BY src), t AS (SELECT x.src AS pid, count(*) / 2 AS t FROM s x JOIN s y ON y.src = x.src AND y.dst <> x.dst JOIN s z ON z.src = x.dst AND z.dst = y.dst GROUP BY x.src) SELECT p.pid, CAST(coalesce(t.t, 0) AS BIGINT) AS triangles, round(CASE WHEN k.k > 1 THEN 2.0 * coalesce(t.t, 0) / (k.k * (k.k - 1)) ELSE 0.0 END, 6) AS clustering FROM p LEFT JOIN k ON k.pid = p.pid LEFT JOIN t ON t.pid = p.pid"),
-    "geodesics_e4": (_q(E4, lambda p, e: N.geodesics(e, [0, 1]).select("source", "pid", F.round("dist", 5).alias("dist"))), None),
+    "geodesics_e4": (_q(E4, lambda p, e: N.geodesics(e, [0, 1]).select("source", "pid", F.round("dist", 5).alias("dist"))), GEODESICS_SQL),
     "knn_in_eps_e8": (_q(E8, _knn), _sym_sql(E8) + ", r AS (SELECT src, dst, dist, row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS rank FROM s) SELECT src, CAST(rank AS INTEGER) AS rank, dst, round(dist, 6) AS dist FROM r WHERE rank <= 5"),
     "mutual_knn_e8": (_q(E8, lambda p, e: _edges(N.mutual_knn(e, 5))), _sym_sql(E8) + ", r AS (SELECT src, dst, dist, row_number() OVER (PARTITION BY src ORDER BY dist, dst) AS rank FROM s), k AS (SELECT * FROM r WHERE rank <= 5) SELECT a.src, a.dst, round(a.dist, 6) AS dist FROM k a JOIN k b ON a.src = b.dst AND a.dst = b.src WHERE a.src < a.dst"),
-    "fuzzy_weights_e8": (_q(E8, lambda p, e: N.fuzzy_weights(e, 5)), None),
+    "fuzzy_weights_e8": (_q(E8, lambda p, e: N.fuzzy_weights(e, 5).select("src", "dst", F.round("weight", ROUND).alias("weight"))), FUZZY_SQL),
     "adjacency_e4": (_q(E4, lambda p, e: N.adjacency(e).select("pid", F.array_join(F.transform("neighbours", lambda x: x["dst"]), ",").alias("neighbours"))), _sym_sql(E4) + " SELECT src AS pid, string_agg(CAST(dst AS VARCHAR), ',' ORDER BY dst) AS neighbours FROM s GROUP BY src"),
     "laplacian_e4": (_q(E4, lambda p, e: N.laplacian(e, p).select("src", "dst", F.round("value", ROUND).alias("value"))), _sym_sql(E4) + ", k AS (SELECT src AS pid, count(*) AS k FROM s GROUP BY src) SELECT s.src, s.dst, round(1 / sqrt(a.k * b.k), 6) AS value FROM s JOIN k a ON a.pid = s.src JOIN k b ON b.pid = s.dst"),
-    "spectral_e4": (_q(E4, lambda p, e: N.power_iteration(N.laplacian(e, p), p, 5)), None),
-    "mcl_e2": (_q(E2, lambda p, e: N.mcl(e, p, steps=4)), None),
+    "spectral_e4": (_q(E4, lambda p, e: N.power_iteration(N.laplacian(e, p), p, 5).select("pid", F.round("value", ROUND).alias("value"))), SPECTRAL_SQL),
+    "mcl_e2": (_q(E2, lambda p, e: N.mcl(e, p, steps=4)), FLOW_SQL),
     "mcl_step_names": (_q(SETS["names"], lambda p, e: N.mcl_step(N.flow_matrix(e, p)).select("src", "dst", F.round("value", ROUND).alias("value"))), _sym_sql(SETS["names"]) + ", f AS (SELECT src, dst FROM s UNION ALL SELECT pid, pid FROM p), m AS (SELECT f.src, f.dst, 1.0::DOUBLE / n.n AS v FROM f JOIN (SELECT dst, count(*) AS n FROM f GROUP BY dst) n ON n.dst = f.dst), q AS (SELECT a.src, b.dst, pow(sum(a.v * b.v), 2) AS v FROM m a JOIN m b ON a.dst = b.src GROUP BY a.src, b.dst) SELECT q.src, q.dst, round(q.v / t.t, 6) AS value FROM q JOIN (SELECT dst, sum(v) AS t FROM q GROUP BY dst) t ON t.dst = q.dst"),
     "label_vote_embeddings": (lambda s, d: N.label_vote(_e(E8, s, d)[1], s.read.parquet(f"{d}/embeddings.parquet").select(F.col("vec_id").alias("pid"), "label")), _sym_sql(E8) + ", v AS (SELECT s.src, l.label, count(*) AS n FROM s JOIN embeddings l ON l.vec_id = s.dst GROUP BY s.src, l.label), r AS (SELECT src, label, row_number() OVER (PARTITION BY src ORDER BY n DESC, label) AS k FROM v) SELECT o.vec_id AS pid, o.label, r.label AS vote, o.label = r.label AS agree FROM r JOIN embeddings o ON o.vec_id = r.src WHERE r.k = 1"),
     "near_dups_documents": (_dups, _components_sql(SETS["jaccard"])),
