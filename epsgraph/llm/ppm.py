@@ -8,8 +8,8 @@ bytes not yet excluded are equally likely.
 
 On Spark the trie is a table of (ORDER + 1)-grams: a shorter gram's count is the number of different grams one byte
 longer that end in it. Symbols seen in a context are seen in its suffixes too, so a gram's code length needs only sums
-over grams that share its last bytes: one task codes all grams
-of one two-byte context, given the order-1 table (at most 65,536 counts). Texts are dealt into batches of bounded bytes;
+over grams that share its last bytes: grams are coded by three-byte context (at most 2^24 grams), many contexts at a time,
+given the order-2 table (at most 2^24 counts, 32 MB) that all tasks hold. Texts are dealt into batches of bounded bytes;
 each asks for the words it holds, the answers are joined by key and meet the batch again. Code lengths are broadcast while
 they are few (a checked size) and asked for by batch like words beyond it. Each text is read whole.
 
@@ -39,6 +39,8 @@ START, END = b"\xfe" * ORDER, b"\xff"
 ANSWER = "batch int, key long, value double"
 #: Bytes of text that are cut into grams at a time.
 PIECE = 2 << 20
+#: Grams that are coded at a time, about: contexts stay whole.
+CODED = 1 << 16
 SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
 
 
@@ -182,25 +184,44 @@ def word_requests(group: pa.Table) -> pa.Table:
     return pa.table({"batch": pa.array(np.full(len(keys), group.column("batch")[0].as_py(), np.int32)), "key": keys, "n": sums})
 
 
-def code_lengths(gram: np.ndarray, count: np.ndarray, pairs: np.ndarray) -> np.ndarray:
-    """log10 probability of each gram's last byte after the others. ``gram`` holds all grams of one two-byte context that
-    are seen or asked for, each once, ``count`` their training counts, ``pairs`` the order-1 counts (context byte, symbol)."""
-    symbol, last = gram & 255, int(gram[0] >> 8) & 255
-    zero = (pairs > 0).sum(0)
-    levels = []  # from order ORDER down: context's n and d, symbol's c, and the excluded part of the order below
+class Shorter:
+    """What orders 2 to 0 count, from the order-2 counts by (two context bytes, symbol): at most 2^24, none above 256."""
+
+    def __init__(self, keys: np.ndarray, counts: np.ndarray):
+        self.two = np.zeros(1 << 24, np.uint16)
+        self.two[keys] = counts
+        seen = self.two.reshape(256, 256, 256) > 0
+        self.one = seen.sum(0)
+        self.zero = (self.one > 0).sum(0)
+        self.n2, self.d2 = self.two.reshape(-1, 256).sum(1, dtype=np.int64), seen.sum(2).ravel()
+        self.e2 = np.stack([s @ one for s, one in zip(seen.transpose(1, 0, 2).astype(np.int32), self.one)], 1).ravel()
+        self.n1, self.d1, self.e1 = self.one.sum(1), (self.one > 0).sum(1), (self.one > 0) @ self.zero
+
+    def levels(self, gram: np.ndarray) -> list[tuple]:
+        """Of orders 2, 1 and 0: context's n and d, symbol's c, and the part of the order below that is excluded after it."""
+        low, last, symbol = gram & 0xFFFFFF, gram >> 8 & 255, gram & 255
+        flat = lambda v: np.full(len(gram), v)
+        return [
+            (self.n2[low >> 8], self.d2[low >> 8], self.two[low].astype(np.int64), self.e2[low >> 8]),
+            (self.n1[last], self.d1[last], self.one[last, symbol], self.e1[last]),
+            (flat(self.zero.sum()), flat((self.zero > 0).sum()), self.zero[symbol], flat(0)),
+        ]
+
+
+def code_lengths(gram: np.ndarray, count: np.ndarray, shorter: Shorter) -> np.ndarray:
+    """log10 probability of each gram's last byte after the others. ``gram`` holds, for some three-byte contexts, all grams
+    that are seen or asked for, each once, ``count`` their training counts."""
+    levels = []  # from order ORDER down, as in Shorter.levels
     u, c, at = gram, count, np.arange(len(gram))
-    for k in range(ORDER, 1, -1):
+    for k in range(ORDER, 2, -1):
         ctx, in_ctx = np.unique(u >> 8, return_inverse=True)
         n, d = np.bincount(in_ctx, c), np.bincount(in_ctx, c > 0)
         low, low_at = np.unique(u & ((1 << 8 * k) - 1), return_inverse=True)
-        c_low = np.bincount(low_at, c > 0, len(low)).astype(np.int64) if k > 2 else pairs[last][low & 255]
+        c_low = np.bincount(low_at, c > 0, len(low)).astype(np.int64) if k > 3 else shorter.two[low].astype(np.int64)
         e = np.bincount(in_ctx, np.where(c > 0, c_low[low_at], 0))
         levels.append((n[in_ctx][at], d[in_ctx][at], c[at], e[in_ctx][at]))
         u, c, at = low, c_low, low_at[at]
-    one = pairs[last]
-    flat = lambda v: np.full(len(gram), v)
-    levels.append((flat(one.sum()), flat((one > 0).sum()), one[symbol], flat(zero[one > 0].sum())))
-    levels.append((flat(zero.sum()), flat((zero > 0).sum()), zero[symbol], flat(0)))
+    levels += shorter.levels(gram)
     out, open_ = np.zeros(len(gram)), np.ones(len(gram), bool)
     was_d, was_e = np.zeros(len(gram)), np.zeros(len(gram))
     for n, d, c, e in levels:
@@ -232,17 +253,17 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_gram
 
     counts = rows.select("text", "held_out").mapInArrow(gram_requests, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).persist(StorageLevel.DISK_ONLY)
     n_grams = counts.count()
-    pairs = np.zeros((256, 256), np.int64)
-    three = counts.filter("n > 0").select(F.col("key").bitwiseAND(F.lit((1 << 24) - 1)).alias("key")).distinct()
-    for k, n in three.groupBy(F.col("key").bitwiseAND(F.lit(65535))).count().collect():
-        pairs[k >> 8, k & 255] = n
+    four = counts.filter("n > 0").select(F.col("key").bitwiseAND(F.lit((1 << 32) - 1)).alias("key")).distinct()
+    two = four.groupBy(F.col("key").bitwiseAND(F.lit((1 << 24) - 1)).alias("key")).count().toArrow()
+    shorter = docs.sparkSession.sparkContext.broadcast(Shorter(two.column("key").to_numpy(), two.column("count").to_numpy()))
 
     def code(group: pa.Table) -> pa.Table:
         key = group.column("key").to_numpy()
-        return pa.table({"key": key, "value": code_lengths(key, group.column("n").to_numpy(), pairs)})
+        return pa.table({"key": key, "value": code_lengths(key, group.column("n").to_numpy(), shorter.value)})
 
-    context = F.shiftright("key", 8).bitwiseAND(F.lit(65535))
-    coded = counts.groupBy(context.alias("context")).applyInArrow(code, "key long, value double")
+    context = F.shiftright("key", 8).bitwiseAND(F.lit((1 << 24) - 1))
+    part = F.pmod(F.xxhash64(context), F.lit(-(-n_grams // CODED) or 1))
+    coded = counts.groupBy(part.alias("part")).applyInArrow(code, "key long, value double")
     # a word whose training count lies in one batch needs no answer there
     answers = asked.filter(F.col("total") != F.col("n")).select("batch", "key", F.col("total").cast("double").alias("value"))
     if n_grams <= most_grams:

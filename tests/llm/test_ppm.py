@@ -79,3 +79,32 @@ def test_tiny_documents_equal_one_trie(spark):
     for w in plain(rows):
         r = got[w[0]]
         assert (r.n_tokens, r.n_known, r.train_tokens) == w[2:5] and (r.base_score, r.score) == pytest.approx(w[5:])
+
+
+def test_context_in_any_company(spark):
+    """A context's code lengths are the same, whichever contexts are coded with it."""
+    import numpy as np
+
+    texts = [(t or "").encode() for t, in table(spark, TINY, "documents", "text").limit(60).collect()]
+    gram, count = np.unique(ppm.grams(texts)[0], return_counts=True)
+    count[::7] = 0
+    four = np.unique(gram[count > 0] & 0xFFFFFFFF)
+    shorter = ppm.Shorter(*np.unique(four & 0xFFFFFF, return_counts=True))
+    whole = ppm.code_lengths(gram, count, shorter)
+    context = gram >> 8 & 0xFFFFFF
+    for c in np.unique(context)[::101]:
+        at = np.flatnonzero(context == c)
+        assert (ppm.code_lengths(gram[at], count[at], shorter) == whole[at]).all()
+    trie = ppm.Trie()
+    for g in gram[count > 0]:
+        raw = int(g).to_bytes(6, "big")
+        node = trie.at.setdefault(raw[:5], {})
+        node[raw[5]] = int(count[gram == g][0])
+        for k in range(1, 6):
+            below = trie.at.setdefault(raw[k:5], {})
+            below[raw[5]] = below.get(raw[5], 0) + 1
+            if below[raw[5]] > 1:
+                break
+    for i in range(0, len(gram), 997):
+        raw = int(gram[i]).to_bytes(6, "big")
+        assert whole[i] == pytest.approx(trie.log10(raw[:5], raw[5]))
