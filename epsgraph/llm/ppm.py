@@ -9,7 +9,7 @@ bytes not yet excluded are equally likely.
 On Spark the trie is a table of (ORDER + 1)-grams: a shorter gram's count is the number of different grams one byte
 longer that end in it. Symbols seen in a context are seen in its suffixes too, so a gram's code length needs only sums
 over grams that share its last bytes: grams are coded by three-byte context (at most 2^24 grams), many contexts at a time,
-given the order-2 table (at most 2^24 counts, 32 MB) that all tasks hold. Texts are dealt into batches of bounded bytes;
+given the order-2 counts (at most 2^24 of 6 bytes) that all tasks hold. Texts are dealt into batches of bounded bytes;
 each asks for the words it holds, the answers are joined by key and meet the batch again. Code lengths are broadcast while
 they are few (a checked size) and asked for by batch like words beyond it. Each text is read whole.
 
@@ -185,24 +185,30 @@ def word_requests(group: pa.Table) -> pa.Table:
 
 
 class Shorter:
-    """What orders 2 to 0 count, from the order-2 counts by (two context bytes, symbol): at most 2^24, none above 256."""
+    """What orders 2 to 0 count, from the sorted keys (two context bytes, symbol) of order 2 and their counts: at most 2^24, none
+    above 256."""
 
     def __init__(self, keys: np.ndarray, counts: np.ndarray):
-        self.two = np.zeros(1 << 24, np.uint16)
-        self.two[keys] = counts
-        seen = self.two.reshape(256, 256, 256) > 0
-        self.one = seen.sum(0)
+        self.keys, self.counts = keys.astype(np.int32), counts.astype(np.uint16)
+        self.one = np.bincount(keys & 65535, minlength=1 << 16).reshape(256, 256)
         self.zero = (self.one > 0).sum(0)
-        self.n2, self.d2 = self.two.reshape(-1, 256).sum(1, dtype=np.int64), seen.sum(2).ravel()
-        self.e2 = np.stack([s @ one for s, one in zip(seen.transpose(1, 0, 2).astype(np.int32), self.one)], 1).ravel()
+        context = keys >> 8
+        sums = lambda v: np.bincount(context, v, 1 << 16).astype(np.int32)
+        self.n2, self.d2, self.e2 = sums(counts), sums(None), sums(self.one[context & 255, keys & 255])
         self.n1, self.d1, self.e1 = self.one.sum(1), (self.one > 0).sum(1), (self.one > 0) @ self.zero
 
+    def two(self, low: np.ndarray) -> np.ndarray:
+        if not len(self.keys):
+            return np.zeros(len(low), np.int64)
+        at = np.minimum(np.searchsorted(self.keys, low.astype(np.int32)), len(self.keys) - 1)
+        return np.where(self.keys[at] == low, self.counts[at], 0).astype(np.int64)
+
     def levels(self, gram: np.ndarray) -> list[tuple]:
         """Of orders 2, 1 and 0: context's n and d, symbol's c, and the part of the order below that is excluded after it."""
         low, last, symbol = gram & 0xFFFFFF, gram >> 8 & 255, gram & 255
         flat = lambda v: np.full(len(gram), v)
         return [
-            (self.n2[low >> 8], self.d2[low >> 8], self.two[low].astype(np.int64), self.e2[low >> 8]),
+            (self.n2[low >> 8], self.d2[low >> 8], self.two(low), self.e2[low >> 8]),
             (self.n1[last], self.d1[last], self.one[last, symbol], self.e1[last]),
             (flat(self.zero.sum()), flat((self.zero > 0).sum()), self.zero[symbol], flat(0)),
         ]
@@ -217,7 +223,7 @@ def code_lengths(gram: np.ndarray, count: np.ndarray, shorter: Shorter) -> np.nd
         ctx, in_ctx = np.unique(u >> 8, return_inverse=True)
         n, d = np.bincount(in_ctx, c), np.bincount(in_ctx, c > 0)
         low, low_at = np.unique(u & ((1 << 8 * k) - 1), return_inverse=True)
-        c_low = np.bincount(low_at, c > 0, len(low)).astype(np.int64) if k > 3 else shorter.two[low].astype(np.int64)
+        c_low = np.bincount(low_at, c > 0, len(low)).astype(np.int64) if k > 3 else shorter.two(low)
         e = np.bincount(in_ctx, np.where(c > 0, c_low[low_at], 0))
         levels.append((n[in_ctx][at], d[in_ctx][at], c[at], e[in_ctx][at]))
         u, c, at = low, c_low, low_at[at]
@@ -254,7 +260,7 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_gram
     counts = rows.select("text", "held_out").mapInArrow(gram_requests, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).persist(StorageLevel.DISK_ONLY)
     n_grams = counts.count()
     four = counts.filter("n > 0").select(F.col("key").bitwiseAND(F.lit((1 << 32) - 1)).alias("key")).distinct()
-    two = four.groupBy(F.col("key").bitwiseAND(F.lit((1 << 24) - 1)).alias("key")).count().toArrow()
+    two = four.groupBy(F.col("key").bitwiseAND(F.lit((1 << 24) - 1)).alias("key")).count().toArrow().sort_by("key")
     shorter = docs.sparkSession.sparkContext.broadcast(Shorter(two.column("key").to_numpy(), two.column("count").to_numpy()))
 
     def code(group: pa.Table) -> pa.Table:
