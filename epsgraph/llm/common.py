@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+#: Bits of the bitmap of wanted ids: at most 131,072 rows of 64.
+BITS = 1 << 23
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -39,3 +44,42 @@ def slices(batch: pa.RecordBatch, at: int, limit: int = 1 << 20) -> Iterator[tup
         part = batch.slice(lo, hi - lo)
         yield part, [t or b"" for t in part.column(at).cast(pa.binary()).to_pylist()]
         lo = hi
+
+
+def maybe_among(rows: DataFrame, column: str, wanted: DataFrame) -> DataFrame:
+    """The rows whose id may be one of ``wanted`` (doc_id): a bitmap of the ids' hashes (a bounded table) thins them out
+    before they are shuffled for the join that decides."""
+    spot = lambda c: F.pmod(F.xxhash64(c), F.lit(BITS))
+    words = wanted.select(spot("doc_id").alias("at")).groupBy(F.shiftright("at", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(at & 63 as int))")).alias("bits"))
+    at = rows.withColumn("at", spot(column)).join(F.broadcast(words), F.shiftright("at", 6) == F.col("word"))
+    return at.filter(F.expr("getbit(bits, cast(at & 63 as int)) = 1")).select(*rows.columns)
+
+
+def release_memory() -> None:
+    """Gives freed memory back to the system, where its C library can: Spark keeps idle workers, which would hold it beside the JVM."""
+    pa.default_memory_pool().release_unused()
+    libc = ctypes.CDLL(None)
+    if hasattr(libc, "malloc_trim"):
+        libc.malloc_trim(0)
+
+
+def lean(run: Callable) -> Callable:
+    """``run`` over a partition's batches, whose freed memory goes back at its end."""
+
+    def released(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        release_memory()
+
+    return released
+
+
+def lean_group(run: Callable, large: int = 1 << 20) -> Callable:
+    """``run`` of a group's table, after which freed memory goes back if the group was a large one."""
+
+    def released(t: pa.Table) -> pa.Table:
+        out = run(t)
+        if t.nbytes > large:
+            release_memory()
+        return out
+
+    return released

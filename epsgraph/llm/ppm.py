@@ -32,7 +32,7 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import chunks, slices, table
+from .common import lean, lean_group, release_memory, slices, table
 
 ORDER = 5
 START, END = b"\xfe" * ORDER, b"\xff"
@@ -140,12 +140,23 @@ def words_of(texts: pa.Array) -> tuple[list[bytes], np.ndarray, np.ndarray]:
     return found.dictionary.cast(pa.binary()).to_pylist(), found.indices.to_numpy(), n
 
 
-def _texts(group: pa.Table) -> pa.Array:
-    return pa.concat_arrays(group.column("text").chunks) if group.num_rows else pa.array([], pa.string())
+def pieces(group: pa.Table, size: int = PIECE):
+    """A batch in slices (text, held_out) of about ``size`` bytes, with the bytes of their texts: only a slice's are held at a time."""
+    for b in group.select(["text", "held_out"]).to_batches():
+        yield from slices(b, 0, size)
 
 
-def _raw(texts: pa.Array) -> list[bytes]:
-    return texts.cast(pa.binary()).to_pylist()
+def words_by_piece(group: pa.Table) -> tuple[list[tuple[np.ndarray, np.ndarray, np.ndarray]], np.ndarray, np.ndarray]:
+    """Of each piece the keys of its words, each word's place among them and each text's number of words; and a batch's sorted
+    keys with their counts in training texts."""
+    found, parts = [], []
+    for part, _ in pieces(group, 3 * PIECE):
+        words, at, n = words_of(part.column(0))
+        keys = np.fromiter(map(word_key, words), np.int64, len(words))
+        held = part.column(1).to_numpy(zero_copy_only=False)
+        parts.append((keys, np.bincount(at[~np.repeat(held, n)], minlength=len(keys))))
+        found.append((keys, at, n))
+    return found, *counted(parts)
 
 
 def gram_requests(batches):
@@ -158,10 +169,10 @@ def gram_requests(batches):
                 k, c = np.unique(grams(texts)[0], return_counts=True)  # a sort beats a hash table here
                 parts.append((k, c * weight))
                 size += len(k)
-                if size > 3_000_000:
+                if size > 1_500_000:
                     parts = [counted(parts)]
                     size = len(parts[0][0])
-                    if size > 1_500_000:
+                    if size > 750_000:
                         yield pa.record_batch(dict(zip(("key", "n"), parts.pop())))
                         size = 0
     if parts:
@@ -170,17 +181,13 @@ def gram_requests(batches):
 
 def batch_grams(group: pa.Table) -> pa.Table:
     """(batch, key): every gram of a batch."""
-    texts = _raw(_texts(group))
-    keys = np.unique(np.concatenate([np.unique(grams(texts[lo:hi])[0]) for lo, hi in chunks(texts, PIECE)]))
+    keys = np.unique(np.concatenate([np.unique(grams(texts)[0]) for _, texts in pieces(group)]))
     return pa.table({"batch": pa.array(np.full(len(keys), group.column("batch")[0].as_py(), np.int32)), "key": keys})
 
 
 def word_requests(group: pa.Table) -> pa.Table:
     """(batch, key, n): every word of a batch, with its count in training texts."""
-    words, at, n = words_of(_texts(group))
-    held = group.column("held_out").to_numpy()
-    counts = np.bincount(at[~np.repeat(held, n)], minlength=len(words))
-    keys, sums = counted([(np.fromiter(map(word_key, words), np.int64, len(words)), counts)])
+    _, keys, sums = words_by_piece(group)
     return pa.table({"batch": pa.array(np.full(len(keys), group.column("batch")[0].as_py(), np.int32)), "key": keys, "n": sums})
 
 
@@ -250,14 +257,14 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_gram
     size, n_train = rows.agg(F.sum(F.octet_length("text")), F.count_if(~F.col("held_out"))).first()
     n_batches = max(1, -(-(size or 0) // batch_bytes))
     dealt = rows.withColumn("batch", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n_batches)).cast("int"))
-    asked = dealt.groupBy("batch").applyInArrow(word_requests, "batch int, key long, n long")
+    asked = dealt.groupBy("batch").applyInArrow(lean_group(word_requests), "batch int, key long, n long")
     # totals and answers read one exchange by word, so texts are asked once; a word has a row a batch at most
     same = Window.partitionBy("key")
     asked = asked.select("batch", "key", "n", F.sum("n").over(same).alias("total"), F.min("batch").over(same).alias("first"))
     kinds = F.count_if((F.col("total") > 0) & (F.col("batch") == F.col("first")))
     totals = asked.agg((F.coalesce(F.sum("n"), F.lit(0)) + n_train).alias("train_tokens"), (kinds + int(n_train > 0)).alias("kinds"))
 
-    counts = rows.select("text", "held_out").mapInArrow(gram_requests, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).persist(StorageLevel.DISK_ONLY)
+    counts = rows.select("text", "held_out").mapInArrow(lean(gram_requests), "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).persist(StorageLevel.DISK_ONLY)
     n_grams = counts.count()
     four = counts.filter("n > 0").select(F.col("key").bitwiseAND(F.lit((1 << 32) - 1)).alias("key")).distinct()
     two = four.groupBy(F.col("key").bitwiseAND(F.lit((1 << 24) - 1)).alias("key")).count().toArrow().sort_by("key")
@@ -269,7 +276,7 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_gram
 
     context = F.shiftright("key", 8).bitwiseAND(F.lit((1 << 24) - 1))
     part = F.pmod(F.xxhash64(context), F.lit(-(-n_grams // CODED) or 1))
-    coded = counts.groupBy(part.alias("part")).applyInArrow(code, "key long, value double")
+    coded = counts.groupBy(part.alias("part")).applyInArrow(lean_group(code, 32 << 20), "key long, value double")
     # a word whose training count lies in one batch needs no answer there
     answers = asked.filter(F.col("total") != F.col("n")).select("batch", "key", F.col("total").cast("double").alias("value"))
     if n_grams <= most_grams:
@@ -277,34 +284,34 @@ def ppm_scores(docs: DataFrame, held_out, batch_bytes: int = 24 << 20, most_gram
         shared = docs.sparkSession.sparkContext.broadcast((t.column("key").to_numpy(), t.column("value").to_numpy()))
     else:
         shared = None
-        wanted = dealt.groupBy("batch").applyInArrow(batch_grams, "batch int, key long")
+        wanted = dealt.groupBy("batch").applyInArrow(lean_group(batch_grams), "batch int, key long")
         answers = answers.unionByName(wanted.join(coded, "key"))
 
     def score(group: pa.Table, answer: pa.Table) -> pa.Table:
-        column, held = _texts(group), group.column("held_out").to_numpy()
         key, value = answer.column("key").to_numpy(), answer.column("value").to_numpy()
         order = np.argsort(key)
         key, value = key[order], value[order]
         del order
         gram, length = shared.value if shared else (key, value)
-        texts = _raw(column)
-        scores = np.empty(len(texts))
-        for lo, hi in chunks(texts, PIECE):
-            g, begin = grams(texts[lo:hi])
-            scores[lo:hi] = np.add.reduceat(looked_up(g, gram, length), begin)
-        del texts
-        words, at, n = words_of(column)
-        hashed = np.fromiter(map(word_key, words), np.int64, len(words))
-        count = np.bincount(at[~np.repeat(held, n)], minlength=len(words)).astype(float)
-        if len(key) and len(words):
-            found = np.minimum(np.searchsorted(key, hashed), len(key) - 1)
-            count = np.where(key[found] == hashed, value[found], count)
-        some = n > 0
-        begin = (np.cumsum(n) - n)[some]
-        base, known = np.full(len(n), log10(n_train + 0.5)), np.full(len(n), int(n_train > 0))
-        if len(begin):
-            base[some] += np.add.reduceat(np.log10(count + 0.5)[at], begin)
-            known[some] += np.add.reduceat((count > 0)[at].astype(np.int64), begin)
+        release_memory()
+        scores, base, known = [], [], []
+        for _, texts in pieces(group):
+            g, begin = grams(texts)
+            scores.append(np.add.reduceat(looked_up(g, gram, length), begin))
+        found, seen, counts = words_by_piece(group)
+        for words, at, n in found:
+            count = counts[np.searchsorted(seen, words)].astype(float)
+            if len(key):
+                there = np.minimum(np.searchsorted(key, words), len(key) - 1)
+                count = np.where(key[there] == words, value[there], count)
+            some, begin = n > 0, np.cumsum(n) - n
+            base.append(np.full(len(n), log10(n_train + 0.5)))
+            known.append(np.full(len(n), int(n_train > 0)))
+            if some.any():
+                base[-1][some] += np.add.reduceat(np.log10(count + 0.5)[at], begin[some])
+                known[-1][some] += np.add.reduceat((count > 0)[at].astype(np.int64), begin[some])
+        n = np.concatenate([n for _, _, n in found])
+        scores, base, known = map(np.concatenate, (scores, base, known))
         return pa.table({"doc_id": group.column("doc_id"), "held_out": group.column("held_out"), "n_tokens": pa.array(n + 1, pa.int64()), "n_known": pa.array(known, pa.int64()), "base_score": base, "score": scores})
 
     out = dealt.groupBy("batch").cogroup(answers.groupBy("batch")).applyInArrow(score, SCORES)

@@ -276,3 +276,31 @@ def test_index_keys_meet_within_the_guarantee():
         b[0, at] += 1
         assert set(neardup.index_keys(a)[0]) & set(neardup.index_keys(b)[0])
     assert neardup.positions_for(0.85) == 65 and neardup.positions_for(0.8) == 80
+
+
+def test_freed_memory_goes_back():
+    """What a kernel allocated and freed is not held by its idle worker."""
+    import re
+    import subprocess
+    import sys
+
+    run = """
+import re, sys
+import pyarrow as pa, pyarrow.compute as pc
+from epsgraph.llm import common
+held = lambda: int(re.search(r"RssAnon:\\s+(\\d+)", open("/proc/self/status").read())[1]) // 1024
+def kernel(t):
+    for _ in range(3):
+        words = pc.split_pattern(pc.ascii_lower(t.column("x")), " ").combine_chunks().flatten().to_pylist()
+        del words
+    return t.slice(0, 1)
+t = pa.table({"x": [" ".join(f"w{i * k % 99991}" for k in range(2000)) for i in range(900)]})
+common.release_memory()
+before = held()
+kernel(t)
+kept = held() - before
+common.lean_group(kernel)(t)
+print(kept, held() - before)
+"""
+    kept, left = map(int, subprocess.run([sys.executable, "-c", run], capture_output=True, text=True, check=True).stdout.split())
+    assert left < max(20, kept / 2), (kept, left)

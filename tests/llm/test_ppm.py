@@ -2,6 +2,8 @@ import math
 import zlib
 from collections import Counter
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -108,3 +110,20 @@ def test_context_in_any_company(spark):
     for i in range(0, len(gram), 997):
         raw = int(gram[i]).to_bytes(6, "big")
         assert whole[i] == pytest.approx(trie.log10(raw[:5], raw[5]))
+
+
+def test_words_are_held_by_piece(spark, monkeypatch):
+    """However long a batch is, its words are split a bounded piece at a time, and counted over the batch."""
+    rng = np.random.default_rng(4)
+    texts = [" ".join(f"w{k}" for k in rng.integers(0, 900, 200)) for _ in range(40)]
+    held = [i % 3 == 0 for i in range(40)]
+    group = pa.table({"batch": pa.array([7] * 40, pa.int32()), "text": texts, "held_out": held})
+    sizes, split = [], ppm.words_of
+    monkeypatch.setattr(ppm, "words_of", lambda t: sizes.append(sum(map(len, t.to_pylist()))) or split(t))
+    monkeypatch.setattr(ppm.pieces, "__defaults__", (2000,))
+    monkeypatch.setattr(ppm, "PIECE", 1000)
+    got = {r["key"]: r["n"] for r in ppm.word_requests(group).to_pylist()}
+    assert len(sizes) > 10 and max(sizes) <= 3000 and sum(sizes) == sum(map(len, texts))
+    want = Counter({w: 0 for t in texts for w in t.split()})
+    want.update(w for t, h in zip(texts, held) if not h for w in t.split())
+    assert got == {ppm.word_key(w.encode()): n for w, n in want.items()}
