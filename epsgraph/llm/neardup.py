@@ -34,11 +34,9 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.components import checkpoint_dir, connected_components
-from .common import slices, table
+from .common import lean, lean_group, maybe_among, slices, table
 
 CHUNK = 5
-#: Bits of the bitmap of wanted ids: at most 131,072 rows of 64.
-BITS = 1 << 23
 #: Odd 64-bit multipliers come from this rule, so no table is needed.
 GOLDEN = 0x9E3779B97F4A7C15
 MASK = (1 << 64) - 1
@@ -150,7 +148,7 @@ def sketch_documents(docs: DataFrame, words: int, n: int) -> DataFrame:
                         cid[i], sk[i], sg[i] = class_id(sets[i]), int(sketch[j]), sig[j].tobytes()
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(map(len, sets), pa.int64()), pa.array(cid, pa.int64()), pa.array(sk, pa.int64()), pa.array(sg, pa.binary())], ["doc_id", "text_id", "n_shingles", "cid", "sketch", "sig"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text")).mapInArrow(run, "doc_id long, text_id long, n_shingles long, cid long, sketch long, sig binary")
+    return docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text")).mapInArrow(lean(run), "doc_id long, text_id long, n_shingles long, cid long, sketch long, sig binary")
 
 
 def class_keys(classes: DataFrame, n: int) -> DataFrame:
@@ -163,7 +161,7 @@ def class_keys(classes: DataFrame, n: int) -> DataFrame:
                 keys = index_keys(sig)
                 yield pa.record_batch({"key": keys.ravel(), "cid": np.repeat(part.column(0).to_numpy(zero_copy_only=False), n)})
 
-    return classes.select("cid", "sig").mapInArrow(run, "key long, cid long")
+    return classes.select("cid", "sig").mapInArrow(lean(run), "key long, cid long")
 
 
 def fetch_sets(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
@@ -176,12 +174,8 @@ def fetch_sets(docs: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
                 rows = [(c, s.tobytes()) for c, s in zip(part.column(0).to_pylist(), shingler.sets(texts)) if len(s) and class_id(s) == c]
                 yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary())], ["cid", "set"])
 
-    # a bitmap of the wanted ids' hashes (a bounded table) thins the texts out before they are shuffled
-    spot = lambda c: F.pmod(F.xxhash64(c), F.lit(BITS))
-    words64 = wanted.select(spot(F.col("doc_id")).alias("at")).groupBy(F.shiftright("at", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(at & 63 as int))")).alias("bits"))
-    d = docs.select(F.col("doc_id").cast("long").alias("d"), "text").withColumn("at", spot(F.col("d")))
-    d = d.join(F.broadcast(words64), F.shiftright("at", 6) == F.col("word")).filter(F.expr("getbit(bits, cast(at & 63 as int)) = 1")).select("d", "text")
-    return wanted.join(d, F.col("d").eqNullSafe(F.col("doc_id"))).select("cid", "text").mapInArrow(run, "cid long, set binary").dropDuplicates(["cid"])
+    d = maybe_among(docs.select(F.col("doc_id").cast("long").alias("d"), "text"), "d", wanted)
+    return wanted.join(d, F.col("d").eqNullSafe(F.col("doc_id"))).select("cid", "text").mapInArrow(lean(run), "cid long, set binary").dropDuplicates(["cid"])
 
 
 def linked(ids: list[int], sets: list[np.ndarray], percent: int, root: np.ndarray | None = None, lead: np.ndarray | None = None) -> list[tuple[int, int]]:
@@ -227,7 +221,7 @@ def family_links(lead: DataFrame, sets: DataFrame, percent: int, most: int = 1 <
     def run(t: pa.Table) -> pa.Table:
         return _pairs(linked(t.column("cid").to_pylist(), _sets(t), percent))
 
-    return rows.unionByName(pivots).join(sets, "cid").groupBy("family", "b").applyInArrow(run, "src long, dst long")
+    return rows.unionByName(pivots).join(sets, "cid").groupBy("family", "b").applyInArrow(lean_group(run), "src long, dst long")
 
 
 def cells(rows: DataFrame, weight: Column, most: int, percent: int) -> DataFrame:
@@ -269,7 +263,7 @@ def with_partner(rows: DataFrame, percent: int, near: int, most: int = 8192) ->
         return t.select(["main", "cid"]).filter(pa.array(keep, pa.bool_()))
 
     light = cells(rows, F.lit(1), most, percent).select("main", "cid", "component", "size", "sketch", "outer", "low", "g", "i", "x")
-    found = light.groupBy(*CELL).applyInArrow(run, "main long, cid long").distinct()
+    found = light.groupBy(*CELL).applyInArrow(lean_group(run), "main long, cid long").distinct()
     return rows.select("main", "cid", "component", "size").join(found, ["main", "cid"], "left_semi")
 
 
@@ -282,7 +276,7 @@ def component_links(rows: DataFrame, sets: DataFrame, percent: int, most: int =
         return _pairs(found)
 
     dealt = cells(rows, F.col("size"), most, percent).select("cid", "component", "outer", *CELL)
-    return dealt.join(sets, "cid").groupBy(*CELL).applyInArrow(run, "src long, dst long")
+    return dealt.join(sets, "cid").groupBy(*CELL).applyInArrow(lean_group(run), "src long, dst long")
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
