@@ -8,6 +8,7 @@ from itertools import permutations
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from epsgraph.llm import packing, quality, secrets
 from epsgraph.llm.common import table
@@ -129,6 +130,27 @@ def test_quality_separates_labelled_documents(spark):
     assert np.mean([k for q, k in tried if q == 0] or [0]) <= 0.02
 
 
+def test_quality_is_fitted_on_every_labelled_document(spark):
+    """More labelled documents of a class than any earlier bound (20,000), each with a gram of its own."""
+    n = 20_500
+    docs = spark.range(2 * n).select(F.col("id").alias("doc_id"), F.concat_ws(" ", F.repeat(F.lit("w "), 60), F.lpad(F.hex("id"), 6, "0")).alias("text"))
+    labels = spark.range(2 * n).select(F.col("id").alias("doc_id"), (F.col("id") % 2).cast("int").alias("quality"))
+    rows = [r.text.encode() for r in docs.filter("doc_id % 2 = 1").select("text").collect()]
+    model = quality.fit_quality(docs, labels, buckets=256)
+    raw, good = (sum(np.bincount(g[a:b], minlength=256) for g, start, stop in [quality.gram_buckets(some, 4, 256)] for a, b in zip(start, stop)) for some in ([r.text.encode() for r in docs.select("text").collect()], rows))
+    want = np.log((good + 1) / (good.sum() + 256)) - np.log((raw + 1) / (raw.sum() + 256))
+    assert np.allclose(model.ratio / quality.UNIT, want, atol=1e-6)
+
+
+def test_quantiles_equal_percentile(spark):
+    rng = np.random.default_rng(3)
+    for n in (1, 2, 3, 999, 2500):
+        x = spark.createDataFrame([(v,) for v in rng.normal(size=n).round(2).tolist()], "x double").repartition(3)
+        for part in (0.001, 0.01, 0.5, 1.0):
+            assert quality._quantile(x, n, part) == pytest.approx(x.agg(F.percentile("x", part)).first()[0], abs=1e-12)
+    assert quality._quantile(x.limit(0), 0, 0.5) is None
+
+
 def test_quality_of_odd_rows(spark):
     model = quality.fit_quality(odd(spark), spark.createDataFrame([], "doc_id long, quality int"))
     out = quality.score_quality(odd(spark), model)
