@@ -98,3 +98,11 @@ def test_geodesics_go_to_the_end_of_a_long_path_or_refuse(spark):
     assert {r.pid: r.dist for r in downstream.geodesics(e, [0]).collect()} == {i: float(i) for i in range(n)}
     with pytest.raises(RuntimeError):
         downstream.geodesics(e, [0], max_hops=3)
+
+
+def test_lattice_of_all_parts(spark, tmp_path):
+    """Keys with gaps: an edge needs both of its ends in the table."""
+    keys = [0, 1, 2, 4, 5, 7, 8, 11, 12, 15, 15]
+    pq.write_table(pa.table({"p_partkey": keys}), tmp_path / "part.parquet")
+    got = sorted((r.src, r.dst) for r in registry.ALL["ds_lattice_edges"][0](spark, str(tmp_path)).collect())
+    assert got == sorted([(a, a + 1) for a in set(keys) if a % 4 < 3 and a + 1 in keys] + [(a, a + 4) for a in set(keys) if a + 4 in keys])
