@@ -106,3 +106,13 @@ def test_lattice_of_all_parts(spark, tmp_path):
     pq.write_table(pa.table({"p_partkey": keys}), tmp_path / "part.parquet")
     got = sorted((r.src, r.dst) for r in registry.ALL["ds_lattice_edges"][0](spark, str(tmp_path)).collect())
     assert got == sorted([(a, a + 1) for a in set(keys) if a % 4 < 3 and a + 1 in keys] + [(a, a + 4) for a in set(keys) if a + 4 in keys])
+
+
+def test_statistics_of_parts_do_not_pair_copies(spark, tmp_path):
+    """60,000 copies of two payloads: 1.8 thousand million pairs, of which none is written."""
+    n = 60_000
+    one = np.arange(n) % 3 == 0
+    pq.write_table(pa.table({"p_partkey": np.arange(n), "p_size": one.astype(np.int32) * 9 + 1, "p_retailprice": np.where(one, 10.0, 900.0)}), tmp_path / "part.parquet")
+    a, b = n // 3, n - n // 3
+    for r in registry.ALL["graph_stats_sweep_w14"][0](spark, str(tmp_path)).collect():
+        assert (r.n, r.pairs, r.max_degree, r.isolated) == (n, a * (a - 1) // 2 + b * (b - 1) // 2, b - 1, 0)
