@@ -132,7 +132,8 @@ def _quantile(values: DataFrame, n: int, part: float) -> float | None:
 
 def fit_quality(docs: DataFrame, labels: DataFrame, n: int = 4, buckets: int = 1 << 15) -> QualityModel:
     base, known = docs.select(F.col("doc_id").cast("long"), "text"), _labelled(labels)
-    marked = maybe_among(base, "doc_id", known).join(known, "doc_id").persist(StorageLevel.DISK_ONLY)
+    # one plan at every size, so that small inputs show what large ones shuffle
+    marked = maybe_among(base, "doc_id", known).join(known.hint("merge"), "doc_id").persist(StorageLevel.DISK_ONLY)
     total = np.stack([_counted(base, n, buckets), _counted(marked.filter("good"), n, buckets)])
     smooth = np.log((total + 1) / (total.sum(1, keepdims=True) + buckets))
     ratio = np.round((smooth[1] - smooth[0]) * UNIT).astype(np.int64) if total[1].any() else np.zeros(buckets, np.int64)
