@@ -3,7 +3,10 @@
 import numpy as np
 import pytest
 
-from epsgraph.operators import sets
+from epsgraph.functions import metrics
+from epsgraph.functions.metrics import metric
+from epsgraph.functions.trees import INDEXES, Pace
+from epsgraph.operators import baselines, ring, sets
 from tests.test_whole_tables import check_edges
 
 
@@ -23,3 +26,59 @@ def test_jaccard_join_finds_every_pair(spark, eps):
 def test_jaccard_join_refuses_what_it_cannot_prove(spark):
     with pytest.raises(ValueError):
         sets.jaccard_graph(spark.createDataFrame([(1, ["a"])], "pid long, vec array<string>"), 1.0)
+
+
+def _pairs(x, eps):
+    d = np.sqrt(((x[:, None] - x[None]) ** 2).sum(-1))
+    return {(i, j) for i, j in zip(*np.nonzero(d <= eps)) if i < j}
+
+
+@pytest.mark.parametrize("index", sorted(INDEXES))
+def test_answers_stay_small_however_dense_points_are(index):
+    """3200 points of which most lie together: 4.5 million pairs, in answers of a bounded number each."""
+    rng = np.random.default_rng(4)
+    x = np.concatenate([rng.normal(0, 0.001, (3000, 2)), rng.random((200, 2)) * 4])
+    tree = INDEXES[index](x, metric("l2"), **({"axis": np.array([0.6, 0.8]), "mean": np.array([0.5, 0.5])} if index == "sorted" else {}))
+    want, got, most = _pairs(x, 0.3), [], 0
+    for i, j, _ in tree.self_query(0.3):
+        got += zip(np.minimum(i, j).tolist(), np.maximum(i, j).tolist())
+        most = max(most, len(i))
+    assert len(got) == len(set(got)) and set(got) == want and most < 1.5 * (1 << 21) < len(want)
+    pace, crossed = Pace(pairs=1 << 14), []
+    for at, (i, j, _) in pace.strips(len(x), lambda lo, hi: tree.query(x[lo:hi], 0.3)):
+        crossed += zip((i + at).tolist(), j.tolist())
+    assert len(crossed) == 2 * len(want) + len(x) and {c for c in crossed if c[0] < c[1]} == want
+
+
+def test_tables_of_distances_are_cut(monkeypatch):
+    """Hamming distances have no prefilter: their tables are cut into strips, with the same answer."""
+    rng = np.random.default_rng(5)
+    a, b = (rng.integers(0, 1 << 12, (n, 2)).astype(np.uint64) for n in (300, 170))
+    m, seen = metric("hamming"), []
+    want = m.within(a, b, 9)
+    monkeypatch.setattr(metrics, "MOST_CELLS", 1000)
+    monkeypatch.setattr(m, "table", lambda x, y, f=m.table: seen.append(len(x) * len(y)) or f(x, y))
+    got = m.within(a, b, 9)
+    assert max(seen) <= 1000 and len(want[0]) and all(np.array_equal(g, w) for g, w in zip(got, want))
+
+
+@pytest.mark.parametrize("how", ["blocks", "local"])
+@pytest.mark.parametrize("eps", [0.0, 0.02, 0.4, 9.0])
+def test_sorted_search_in_blocks(spark, how, eps):
+    """Copies, equal projections, an eps that reaches no, some and all blocks; every block beyond the first has guests."""
+    rng = np.random.default_rng(6)
+    x = np.concatenate([rng.random((150, 3)), np.repeat(rng.random((5, 3)), 6, axis=0)])
+    p = spark.createDataFrame([(3 * k + 1, v) for k, v in enumerate(x.tolist())], "pid long, vec array<double>")
+    want = {(3 * i + 1, 3 * j + 1): float(np.sqrt(((x[i] - x[j]) ** 2).sum())) for i, j in _pairs(x, eps)}
+    check_edges(baselines.pca_sort_graph(p, eps, how), want)
+
+
+@pytest.mark.parametrize("dim", [2, 40])
+def test_brute_join_deals_out_its_pairs(spark, dim):
+    rng = np.random.default_rng(7)
+    x = rng.random((120, dim))
+    eps = float(np.sqrt(dim) / 3)
+    p = spark.createDataFrame([(5 * k + 2, v) for k, v in enumerate(x.tolist())], "pid long, vec array<double>")
+    e = ring.brute_graph(p, eps, how="join")
+    assert "NestedLoop" not in (plan := e._jdf.queryExecution().executedPlan().toString()) and "Cartesian" not in plan
+    check_edges(e, {(5 * i + 2, 5 * j + 2): float(np.sqrt(((x[i] - x[j]) ** 2).sum())) for i, j in _pairs(x, eps)})
