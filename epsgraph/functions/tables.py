@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udtf
@@ -33,10 +34,11 @@ class NearPairs(_Held):
     def terminate(self):
         if self.pids:
             m, x = self.block("l2")
-            i, j, d = CoverTree(x, m).query(x, self.rest[0])
-            for a, b, dist in zip(i.tolist(), j.tolist(), d.tolist()):
-                if self.pids[a] < self.pids[b]:
-                    yield self.pids[a], self.pids[b], dist
+            pids = np.array(self.pids, np.int64)
+            for i, j, d in CoverTree(x, m).self_query(self.rest[0]):
+                a, b = pids[i], pids[j]
+                apart = a != b
+                yield from zip(np.minimum(a, b)[apart].tolist(), np.maximum(a, b)[apart].tolist(), d[apart].tolist())
 
 
 class TreeNodes(_Held):
