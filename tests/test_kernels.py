@@ -3,7 +3,7 @@
 import numpy as np
 import pytest
 
-from epsgraph.functions import metrics
+from epsgraph.functions import metrics, trees
 from epsgraph.functions.metrics import metric
 from epsgraph.functions.trees import INDEXES, Pace
 from epsgraph.operators import baselines, ring, sets
@@ -34,19 +34,19 @@ def _pairs(x, eps):
 
 
 @pytest.mark.parametrize("index", sorted(INDEXES))
-def test_answers_stay_small_however_dense_points_are(index):
-    """3200 points of which most lie together: 4.5 million pairs, in answers of a bounded number each."""
+def test_answers_stay_small_however_dense_points_are(index, monkeypatch):
+    """900 points of which most lie together: after the first, answers shrink to the pairs allowed."""
+    monkeypatch.setattr(trees, "MOST_PAIRS", 1 << 14)
     rng = np.random.default_rng(4)
-    x = np.concatenate([rng.normal(0, 0.001, (3000, 2)), rng.random((200, 2)) * 4])
-    tree = INDEXES[index](x, metric("l2"), **({"axis": np.array([0.6, 0.8]), "mean": np.array([0.5, 0.5])} if index == "sorted" else {}))
-    want, got, most = _pairs(x, 0.3), [], 0
+    x = np.concatenate([rng.normal(0, 0.001, (800, 2)), rng.random((100, 2)) * 4])
+    x = x[rng.permutation(len(x))]
+    tree = INDEXES[index](x, metric("l2"))
+    want, got, sizes = _pairs(x, 0.3), [], []
     for i, j, _ in tree.self_query(0.3):
         got += zip(np.minimum(i, j).tolist(), np.maximum(i, j).tolist())
-        most = max(most, len(i))
-    assert len(got) == len(set(got)) and set(got) == want and most < 1.5 * (1 << 21) < len(want)
-    pace, crossed = Pace(pairs=1 << 14), []
-    for at, (i, j, _) in pace.strips(len(x), lambda lo, hi: tree.query(x[lo:hi], 0.3)):
-        crossed += zip((i + at).tolist(), j.tolist())
+        sizes.append(len(i))
+    assert len(got) == len(set(got)) and set(got) == want and len(sizes) > 3 and max(sizes[1:]) < 1 << 16
+    crossed = [(a, b) for at, (i, j, _) in Pace().strips(len(x), lambda lo, hi: tree.query(x[lo:hi], 0.3)) for a, b in zip((i + at).tolist(), j.tolist())]
     assert len(crossed) == 2 * len(want) + len(x) and {c for c in crossed if c[0] < c[1]} == want
 
 
