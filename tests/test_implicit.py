@@ -32,6 +32,20 @@ def distances(x, k):
     return np.sqrt(((x[:, None, :k] - x[None, :, :k]) ** 2).sum(-1))
 
 
+def test_spectral_without_edges(spark, crowd):
+    d, x, ids = crowd
+    before = written(spark)
+    got = {r.pid: r.value for r in registry.ALL["spectral_e4"][0](spark, d).collect()}
+    assert written(spark) - before < 2_000_000
+    a = (distances(x, 4) <= 0.141) & ~np.eye(len(x), dtype=bool)
+    k, v = a.sum(1), np.ones(len(x))
+    for _ in range(5):
+        v = a @ (v / np.sqrt(np.maximum(k, 1))) / np.sqrt(np.maximum(k, 1))
+        v /= np.sqrt((v * v).sum())
+    assert got.keys() == set(ids[k > 0].tolist()) and len(got) < len(x)
+    assert max(abs(got[p] - w) for p, w in zip(ids.tolist(), v) if p in got) < 1e-6
+
+
 def test_geodesics_without_edges(spark, crowd):
     d, x, ids = crowd
     before = written(spark)
