@@ -18,7 +18,9 @@ from .components import checkpoint_dir
 from .landmark import assign_cells, centers, ghosts, with_candidates
 
 #: Points at home in a part, cells at most, and bytes of bit rows that a task holds.
-HOME_ROWS, MOST_CENTRES, BIT_BYTES = 4096, 1024, 64 << 20
+HOME_ROWS, MOST_CENTRES, BIT_BYTES = 4096, 1024, 104 << 20
+#: Rows whose neighbours among all of a part are found at a time.
+STRIP = 128
 
 
 class Neighbourhoods:
@@ -183,16 +185,15 @@ class _Closed(_Around):
         where = np.argsort(pid)
         at_home = where[np.searchsorted(pid[where], self.pid)]
         degree = np.zeros(len(self.pid), np.int64)
-        many = max(64, BIT_BYTES // wide)
-        step = max(1, min(512, MOST_CELLS // len(pid)))
+        many = max(STRIP, BIT_BYTES // wide)
         for lo in range(0, len(self.pid), many):
             own, ids = slice(lo, lo + many), self.pid[lo : lo + many]
-            rows = np.concatenate([self._bits(self.x[k : k + step], ids[k - lo : k - lo + step], x, pid) for k in range(lo, min(lo + many, len(self.pid)), step)])
+            rows = np.concatenate([self._bits(self.x[k : min(k + STRIP, lo + many)], ids[k - lo : k - lo + STRIP], x, pid) for k in range(lo, min(lo + many, len(self.pid)), STRIP)])
             degree[own] = np.bitwise_count(rows).sum(1, dtype=np.int64)
             count_ = np.zeros(len(ids), np.int64)
-            for k in range(0, len(pid), step):
-                others = pid[k : k + step]
-                near = self.m.near(x[k : k + step], x[at_home[own]], self.eps)
+            for k in range(0, len(pid), STRIP):
+                others = pid[k : k + STRIP]
+                near = self.m.near(x[k : k + STRIP], x[at_home[own]], self.eps)
                 # of an edge, the end of smaller id where both ids are even or both odd
                 near &= ((others[:, None] + ids[None, :]) % 2 == 0) == (ids[None, :] < others[:, None])
                 near &= ids[None, :] != others[:, None]
@@ -202,7 +203,7 @@ class _Closed(_Around):
                 bits = self._bits(x[k + met], others[met], x, pid)
                 for b, j in zip(bits, met):
                     i = np.flatnonzero(near[j])
-                    common = np.bitwise_count(rows[i] & b).sum(1, dtype=np.int64)
+                    common = np.bitwise_count(np.bitwise_and(held := rows[i], b, out=held)).sum(1, dtype=np.uint32).astype(np.int64)
                     count_[i] += common
                     total[k + j] += common.sum()
             total[at_home[own]] += count_
@@ -256,7 +257,7 @@ def geodesics(p: DataFrame, eps: float, sources: list[int], metric: str | Metric
 
 def local_clustering(p: DataFrame, eps: float, metric: str | Metric = "l2") -> DataFrame:
     """(pid, triangles, clustering): closed part of the pairs of neighbours; 0 below two neighbours."""
-    hood = Neighbourhoods(p, eps, metric)
+    hood = Neighbourhoods(p, eps, metric, 2 * HOME_ROWS)
     if not hood.cells:
         return p.select("pid", F.lit(0).cast("long").alias("triangles"), F.lit(0.0).alias("clustering"))
     t = hood.run(_Closed, "pid long, closed long, degree long").groupBy("pid").agg(F.sum("closed").alias("c"), F.sum("degree").alias("k"))

@@ -64,6 +64,32 @@ def test_geodesics_without_edges(spark, crowd):
         assert max(abs(mine[p] - v) for p, v in zip(ids.tolist(), best) if p in mine) < 2e-5
 
 
+def test_clustering_without_edges(spark, crowd):
+    d, x, ids = crowd
+    before = written(spark)
+    got = {r.pid: (r.triangles, r.clustering) for r in registry.ALL["clustering_e8"][0](spark, d).collect()}
+    assert written(spark) - before < 2_000_000
+    a = ((distances(x, 8) <= 0.289) & ~np.eye(len(x), dtype=bool)).astype(float)
+    k, t = a.sum(1), ((a @ a) * a).sum(1) / 2
+    c = np.divide(2 * t, k * (k - 1), out=np.zeros(len(x)), where=k > 1)
+    assert got.keys() == set(ids.tolist())
+    assert all(got[p][0] == round(n) and abs(got[p][1] - v) < 1e-6 for p, n, v in zip(ids.tolist(), t, c))
+
+
+@pytest.mark.parametrize("home_rows", [7, 1000])
+def test_clustering_in_small_blocks_and_strips(spark, crowd, monkeypatch, home_rows):
+    _, x, ids = crowd
+    monkeypatch.setattr(implicit, "BIT_BYTES", 1)
+    monkeypatch.setattr(implicit, "STRIP", 16)
+    some = slice(1100, None)
+    p = points.points(spark.createDataFrame(pa.table({"pid": ids[some], "vec": list(x[some, :8])})), "pid", "vec")
+    a = ((distances(x[some], 8) <= 0.289) & ~np.eye(len(x[some]), dtype=bool)).astype(float)
+    hood = implicit.Neighbourhoods(p, 0.289, "l2", home_rows)
+    t = hood.run(implicit._Closed, "pid long, closed long, degree long").groupBy("pid").sum("closed", "degree").collect()
+    got = {r[0]: (r[1], r[2]) for r in t}
+    assert got == {i: (round(c), round(k)) for i, c, k in zip(ids[some].tolist(), ((a @ a) * a).sum(1), a.sum(1))}
+
+
 def test_no_points(spark):
     p = spark.createDataFrame([], "pid long, vec array<double>")
     assert not implicit.spectral(p, 1.0).count() + implicit.geodesics(p, 1.0, [0]).count() + implicit.local_clustering(p, 1.0).count()
