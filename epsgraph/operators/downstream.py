@@ -142,6 +142,11 @@ def power_iteration(m: DataFrame, p: DataFrame, steps: int = 20) -> DataFrame:
 def mcl_step(m: DataFrame, inflation: float = 2.0, keep: int | None = None) -> DataFrame:
     """One expand / inflate / prune step on a column-stochastic matrix (src, dst, value)."""
     sq = m.alias("a").join(m.alias("b"), F.col("a.dst") == F.col("b.src")).groupBy(F.col("a.src").alias("src"), F.col("b.dst").alias("dst")).agg(F.sum(F.col("a.value") * F.col("b.value")).alias("value"))
+    return inflated(sq, inflation, keep)
+
+
+def inflated(sq: DataFrame, inflation: float, keep: int | None) -> DataFrame:
+    """Powers of the entries, the ``keep`` strongest of each column, its sum one again."""
     grown = sq.select("src", "dst", F.pow("value", F.lit(inflation)).alias("value"))
     if keep:
         w = Window.partitionBy("dst").orderBy(F.desc(F.round("value", 12)), "src")  # sums of any order rank alike

@@ -15,24 +15,27 @@ from pyspark.sql import functions as F
 
 from ..functions.metrics import MOST_CELLS, Metric, resolve
 from .components import checkpoint_dir
+from .downstream import inflated
 from .landmark import assign_cells, centers, ghosts, with_candidates
 
 #: Points at home in a part, cells at most, and bytes of bit rows that a task holds.
 HOME_ROWS, MOST_CENTRES, BIT_BYTES = 4096, 1024, 104 << 20
+#: Points at home in a part of the flow matrix, whose cost grows with all that lies around.
+FLOW_ROWS = 512
 #: Rows whose neighbours among all of a part are found at a time.
 STRIP = 128
 
 
 class Neighbourhoods:
-    """The parts of ``p`` at radius ``eps``. Where ``p`` has no rows, ``cells`` is empty."""
+    """The parts of ``p`` at radius ``eps``; what comes to them lies within ``hops`` times eps. Where ``p`` has no rows, ``cells`` is empty."""
 
-    def __init__(self, p: DataFrame, eps: float, metric: str | Metric = "l2", home_rows: int = HOME_ROWS, seed: int = 0):
-        self.p, self.eps, self.m, self.seed = p, eps, resolve(metric), seed
+    def __init__(self, p: DataFrame, eps: float, metric: str | Metric = "l2", home_rows: int = HOME_ROWS, seed: int = 0, hops: int = 1):
+        self.p, self.eps, self.reach, self.m, self.seed = p, eps, hops * eps, resolve(metric), seed
         cs = centers(p, min(MOST_CENTRES, max(16, p.count() // home_rows)), seed=seed)
         if not cs:
             self.cells = {}
             return
-        self.assigned, self.cells = with_candidates(p, cs, self.m, eps)
+        self.assigned, self.cells = with_candidates(p, cs, self.m, self.reach)
         self.blocks = {c: -(-r.size // home_rows) for c, r in self.cells.items()}
         self.most = max(self.blocks.values())
         parts = [(c * self.most + b, self.cells[c].size / k) for c, k in self.blocks.items() for b in range(k)]
@@ -53,7 +56,7 @@ class Neighbourhoods:
         """(pid, vec, *also, part): the parts that a point may have neighbours in, its own among them."""
         radii = {c: r.radius for c, r in self.cells.items()}
         packed = of.withColumn("vec", F.struct("vec", *also))
-        far = ghosts(packed, self.eps, radii, half=False).select("pid", "vec", "cell")
+        far = ghosts(packed, self.reach, radii, half=False).select("pid", "vec", "cell")
         here = packed.select("pid", "vec", F.col("home").alias("cell"))
         rows = here.unionByName(far).withColumn("b", F.explode(F.sequence(F.lit(0), self._split("cell") - 1)))
         return rows.select("pid", "vec.*", (F.col("cell") * self.most + F.col("b")).cast("int").alias("part"))
@@ -217,6 +220,98 @@ class _Closed(_Around):
         return _words(near)
 
 
+def _strong(v: np.ndarray, keep: int) -> np.ndarray:
+    """Places of the ``keep`` largest positive entries, and of those that a rank by 12 digits might put before them."""
+    some = np.flatnonzero(v > 0)
+    if len(some) <= keep:
+        return some
+    return some[v[some] >= np.partition(v[some], -keep)[-keep] - 2e-12]
+
+
+def _columns(found: list[tuple[int, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+    n = [len(src) for _, src, _ in found]
+    src, value = (np.concatenate([f[k] for f in found]) for k in (1, 2))
+    return pa.record_batch({"src": src, "dst": np.repeat([f[0] for f in found], n), "value": value})
+
+
+class _Flow(_Around):
+    """Columns at home of the square of the flow matrix, of each those entries that may be among the ``keep`` strongest."""
+
+    def __init__(self, m: Metric, eps: float, home: pa.Table, inflation: float, keep: int):
+        super().__init__(m, eps, home)
+        self.inflation, self.keep = inflation, keep
+
+    def result(self) -> Iterator[pa.RecordBatch]:
+        t, pid, x = self.universe(self.m)
+        value = t.column("value").to_numpy()
+        where = np.argsort(pid)
+        own = value[where[np.searchsorted(pid[where], self.pid)]]
+        wide = max(1, 2 * MOST_CELLS // len(pid))
+        for lo in range(0, len(self.pid), STRIP):
+            near = self.m.near(self.x[lo : lo + STRIP], x, self.eps)
+            via = np.flatnonzero(near.any(0))
+            total = np.zeros(near.shape)
+            for k in (via[c : c + wide] for c in range(0, len(via), wide)):
+                total += (near[:, k] * value[k]) @ self.m.near(x[k], x, self.eps).astype(float)
+            total *= own[lo : lo + STRIP, None]
+            found = []
+            for i, row in zip(self.pid[lo : lo + STRIP], total):
+                some = _strong(row**self.inflation, self.keep)
+                found.append((i, pid[some], row[some]))
+            yield _columns(found)
+
+
+class _Product:
+    """Columns at home of a sparse matrix's square, from those columns that theirs name; again the strongest alone."""
+
+    def __init__(self, m: Metric, eps: float, home: pa.Table, inflation: float, keep: int):
+        self.home, self.inflation, self.keep, self.batches = home, inflation, keep, []
+
+    def add(self, batch: pa.RecordBatch) -> None:
+        self.batches.append(batch)
+
+    def result(self) -> Iterator[pa.RecordBatch]:
+        t = pa.Table.from_batches(self.batches)
+        order = np.argsort(t.column("pid").to_numpy())
+        ids = t.column("pid").to_numpy()[order]
+        lists = t.column("src").combine_chunks().take(pa.array(order))
+        ends = lists.offsets.to_numpy()
+        names, place = np.unique(lists.values.to_numpy(), return_inverse=True)
+        value = t.column("value").combine_chunks().take(pa.array(order)).values.to_numpy()
+        found = []
+        for dst, src, v in zip(self.home.column("pid").to_pylist(), self.home.column("src").to_pylist(), self.home.column("value").to_pylist()):
+            known = np.isin(src, ids)
+            at, v = np.searchsorted(ids, np.array(src)[known]), np.array(v)[known]
+            lo, n = ends[at], ends[at + 1] - ends[at]
+            entry = np.repeat(lo - np.cumsum(n) + n, n) + np.arange(n.sum())
+            row = np.bincount(place[entry], value[entry] * np.repeat(v, n), len(names))
+            some = _strong(row**self.inflation, self.keep)
+            found.append((dst, names[some], row[some]))
+        if found:
+            yield _columns(found)
+
+
+def flow_clusters(p: DataFrame, eps: float, metric: str | Metric = "l2", inflation: float = 2.0, steps: int = 8, keep: int = 50, least: float = 1e-4) -> DataFrame:
+    """(pid, cluster) as ``downstream.mcl``: the flow matrix's first square from points within two hops, later ones by packed
+    columns, each sent to the parts whose columns name it."""
+    checkpoint_dir(p.sparkSession)
+    hood = Neighbourhoods(p, eps, metric, FLOW_ROWS, hops=2)
+    if not hood.cells:
+        return p.select("pid", F.col("pid").alias("cluster"))
+    entries = "src long, dst long, value double"
+    degree = neighbour_sums(hood, p.select("pid", F.lit(1.0).alias("value"))).checkpoint()
+    own = hood.own().select("pid", "part")
+    m = hood.run(lambda *a: _Flow(*a, inflation, keep), entries, ("value",), hood.assigned.join(degree.select("pid", (1 / (F.col("value") + 1)).alias("value")), "pid"))
+    m = inflated(m, inflation, keep).filter(F.col("value") >= least).checkpoint()
+    for _ in range(steps - 1):
+        columns = m.groupBy(F.col("dst").alias("pid")).agg(F.collect_list(F.struct("src", "value")).alias("e")).select("pid", F.col("e.src").alias("src"), F.col("e.value").alias("value"))
+        named = m.join(own, F.col("dst") == F.col("pid")).select(F.col("src").alias("pid"), "part").distinct()
+        rows = hood.dealt(columns.join(own, "pid"), columns.join(named, "pid"))
+        m = rows.mapInArrow(part_kernel(lambda *a: _Product(*a, inflation, keep), hood.m, eps), entries)
+        m = inflated(m, inflation, keep).filter(F.col("value") >= least).checkpoint()
+    return m.groupBy(F.col("dst").alias("pid")).agg(F.min_by("src", F.struct(-F.round("value", 6), F.col("src"))).alias("cluster"))
+
+
 def neighbour_sums(hood: Neighbourhoods, values: DataFrame) -> DataFrame:
     """(pid, value) of every point: the sum of ``values`` (pid, value) over its neighbours."""
     of = hood.assigned.join(values.select("pid", F.col("value").cast("double").alias("value")), "pid")

@@ -90,6 +90,26 @@ def test_clustering_in_small_blocks_and_strips(spark, crowd, monkeypatch, home_r
     assert got == {i: (round(c), round(k)) for i, c, k in zip(ids[some].tolist(), ((a @ a) * a).sum(1), a.sum(1))}
 
 
+def test_flow_clusters_of_a_crowd(spark, crowd):
+    """Paths of two edges through the crowd are some 1.7 billion."""
+    d, x, ids = crowd
+    got = {r.pid: r.cluster for r in registry.ALL["mcl_e2"][0](spark, d).collect()}
+    order = np.argsort(ids)
+    x, ids = x[order], ids[order]
+    m = (distances(x, 2) <= 0.05).astype(float)
+    m /= m.sum(0)
+    for _ in range(4):
+        v = (m @ m) ** 2
+        for j in range(len(x)):
+            some = np.flatnonzero(v[:, j] > 0)
+            rest = some[np.lexsort((some, -np.round(v[some, j], 12)))[50:]]
+            v[rest, j] = 0
+        v /= v.sum(0)
+        m = np.where(v >= 1e-4, v, 0)
+    want = {i: ids[np.flatnonzero(np.round(m[:, j], 6) == np.round(m[:, j], 6).max())[0]] for j, i in enumerate(ids.tolist())}
+    assert got == want
+
+
 def test_no_points(spark):
     p = spark.createDataFrame([], "pid long, vec array<double>")
     assert not implicit.spectral(p, 1.0).count() + implicit.geodesics(p, 1.0, [0]).count() + implicit.local_clustering(p, 1.0).count()
