@@ -116,3 +116,15 @@ def test_statistics_of_parts_do_not_pair_copies(spark, tmp_path):
     a, b = n // 3, n - n // 3
     for r in registry.ALL["graph_stats_sweep_w14"][0](spark, str(tmp_path)).collect():
         assert (r.n, r.pairs, r.max_degree, r.isolated) == (n, a * (a - 1) // 2 + b * (b - 1) // 2, b - 1, 0)
+
+
+def test_copies_of_orders_meet_once(spark, tmp_path, monkeypatch):
+    rng = np.random.default_rng(2)
+    price, day = np.repeat(rng.integers(1, 40, 12), 25) * 1000.0, np.repeat(rng.integers(0, 100, 12), 25)
+    key = rng.permutation(300) * 3 + 1
+    pq.write_table(pa.table({"o_orderkey": key, "o_totalprice": price, "o_orderdate": np.datetime64("1992-01-01") + day}), tmp_path / "orders.parquet")
+    met, build = [], registry.planner.near_graph
+    monkeypatch.setattr(registry.planner, "near_graph", lambda p, *a, **kw: (met.append(p.count()), build(p, *a, **kw))[1])
+    x = np.column_stack([price / 1000, day / 10])
+    check_edges(registry.ALL["graph_auto_o2"][0](spark, str(tmp_path)), near(key.tolist(), x, 5.003))
+    assert met == [len(np.unique(x, axis=0))]
