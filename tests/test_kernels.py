@@ -1,5 +1,6 @@
 """Kernels that must not grow with their output, and joins that must not compare all pairs, against brute force."""
 
+import dataclasses
 import time
 
 import numpy as np
@@ -116,3 +117,29 @@ def test_edit_pairs_of_urls_take_microseconds():
     begin = time.process_time()
     metrics.metric("edit").within(u[:400], u, 12)
     assert time.process_time() - begin < 20
+
+
+@pytest.mark.parametrize("d,eps,off", [(64, 1.2, 0.0), (3, 0.3, 0.0), (3, 0.3, 1e4), (2, 0.0, 5.0)])
+def test_pairs_are_the_same_measured_or_only_found(d, eps, off):
+    """The last two offsets leave single precision no room."""
+    rng = np.random.default_rng(3)
+    a, b = (rng.normal(size=(n, d)) / np.sqrt(d) + off for n in (300, 5000))
+    b[:50] = a[:50]
+    want = np.sqrt(((a[:, None, :] - b[None, :, :]) ** 2).sum(2))
+    for measured in (True, False):
+        m = dataclasses.replace(metrics.metric("l2"), measured=measured)
+        i, j, dist = m.within(a, b, eps)
+        assert sorted(zip(i.tolist(), j.tolist())) == list(map(tuple, np.argwhere(want <= eps).tolist()))
+        assert m.evaluations == 300 * 5000
+        if measured:
+            assert np.allclose(dist, want[i, j], rtol=0, atol=1e-9)
+
+
+def test_a_large_hub_of_scattered_points_is_left_whole_by_a_sample():
+    x = np.random.default_rng(5).normal(size=(6000, 64))
+    m = metrics.metric("l2")
+    tree = trees.CoverTree(x, m)
+    assert tree.bailed == 1 and m.evaluations < 2_000_000  # a quarter of all ordered pairs are 9,000,000
+    i, j, _ = trees._joined(list(tree.self_query(9.0)))
+    want = np.argwhere(np.triu(np.sqrt(np.maximum((x * x).sum(1)[:, None] + (x * x).sum(1) - 2 * x @ x.T, 0)) <= 9.0, 1))
+    assert len(want) > 100 and {(min(p), max(p)) for p in zip(i.tolist(), j.tolist())} == set(map(tuple, want.tolist()))

@@ -5,8 +5,12 @@ import pyarrow.parquet as pq
 import numpy as np
 import pytest
 
-from epsgraph import registry
-from epsgraph.operators import downstream
+from pyspark.sql import functions as F
+
+from epsgraph import registry, workloads
+from epsgraph.operators import downstream, measures
+from epsgraph.plans import experiments
+from tests.conftest import TINY
 
 
 def near(pids, x, eps):
@@ -128,3 +132,28 @@ def test_copies_of_orders_meet_once(spark, tmp_path, monkeypatch):
     x = np.column_stack([price / 1000, day / 10])
     check_edges(registry.ALL["graph_auto_o2"][0](spark, str(tmp_path)), near(key.tolist(), x, 5.003))
     assert met == [len(np.unique(x, axis=0))]
+
+
+def test_ranks_in_ranges_are_those_of_one_window(spark):
+    rows = [(None if k % 17 == 0 else (k * 37) % 50, k % 7, k) for k in range(400)]
+    df = spark.createDataFrame(rows, "a long, b long, c long").repartition(5)
+    got = {(r.a, r.b, r.c): r.pid for r in workloads.ranked(df, "a", "b", "c").collect()}
+    order = sorted(got, key=lambda r: (r[0] is not None, r[0] or 0, r[1], r[2]))
+    assert [got[r] for r in order] == list(range(1, 401))
+    assert workloads.ranked(df.limit(0), "a", "b", "c").count() == 0
+
+
+@pytest.mark.parametrize("most", [1_000_000, 10])
+def test_kinds_of_lines_have_the_smallest_rank_of_their_copies(spark, monkeypatch, most):
+    monkeypatch.setattr(workloads, "MOST_KINDS", most)
+    want = workloads.line_flags_all(spark, TINY).groupBy("vec").agg(F.min("pid").alias("pid")).select("pid", "vec")
+    got = workloads.line_kinds(spark, TINY)
+    assert got.count() == want.count() > 1000 and not got.exceptAll(want).count()
+    assert "SinglePartition" not in got._jdf.queryExecution().toString()
+
+
+def test_counts_without_distances_are_those_with_them(spark):
+    p, m = workloads.SETS["e8"].build(spark, TINY), workloads.SETS["e8"].metric()
+    for build in experiments._methods(p, 0.289, m, 8).keys():
+        a, b = (measures.work_stats(experiments._methods(p, 0.289, m, 8, report=r)[build]()).first() for r in (True, "counts"))
+        assert all(a[c] == b[c] for c in ("pairs", "rows_moved", "most_home_rows", "build_distances", "home_distances", "guest_distances"))
