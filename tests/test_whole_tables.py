@@ -157,3 +157,10 @@ def test_counts_without_distances_are_those_with_them(spark):
     for build in experiments._methods(p, 0.289, m, 8).keys():
         a, b = (measures.work_stats(experiments._methods(p, 0.289, m, 8, report=r)[build]()).first() for r in (True, "counts"))
         assert all(a[c] == b[c] for c in ("pairs", "rows_moved", "most_home_rows", "build_distances", "home_distances", "guest_distances"))
+
+
+@pytest.mark.parametrize("name", ["graph_landmark_coll_lgf"])
+def test_copies_of_lines_are_written_out_of_rounded_and_kept_groups(spark, lines, name):
+    plan = registry.queries()[name](spark, lines[0])._jdf.queryExecution().optimizedPlan().toString().split("\n")
+    assert any("InMemoryRelation" in p for p in plan)
+    assert min(k for k, p in enumerate(plan) if "round(dist" in p) > max(k for k, p in enumerate(plan) if "Generate explode(md" in p)
