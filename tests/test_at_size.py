@@ -20,3 +20,19 @@ def test_speedups_run_every_set_and_radius(spark, monkeypatch):
     rows = registry.ALL["experiment_speedups"][0](spark, TINY).collect()
     assert {(r.dataset, r.eps) for r in rows} == {(n, float(eps)) for n in ("e64", "lgd", "uc") for eps in workloads.SETS[n].radii}
     assert len(rows) == 3 * 3 * 3 * 3
+
+
+def test_near_pairs_go_out_in_batches(spark, monkeypatch):
+    monkeypatch.setattr(tables, "BATCH", 100)
+    rng = np.random.default_rng(0)
+    x = rng.integers(0, 4, (60, 2)).astype(float)
+    held = tables.NearPairs.func()
+    for lo in (0, 25):
+        n = len(x[lo : lo + 25] if lo == 0 else x[lo:])
+        held.eval(pa.record_batch({"label": [0] * n, "pid": np.arange(lo, lo + n), "vec": x[lo : lo + n].tolist()}), pa.array([1.5] * n))
+    found = list(held.terminate())
+    want = {(a, b) for a in range(60) for b in range(a + 1, 60) if np.sqrt(((x[a] - x[b]) ** 2).sum()) <= 1.5}
+    got = [p for t in found for p in zip(t["src"].to_pylist(), t["dst"].to_pylist())]
+    assert all(t.num_rows <= 100 for t in found) and len(found) > 1 and len(got) == len(want) and set(got) == want
+    for name in ("udtf_near_pairs", "udtf_tree_nodes"):
+        assert "ArrowEvalPythonUDTF" in registry.ALL[name][0](spark, TINY)._jdf.queryExecution().toString()
