@@ -36,3 +36,37 @@ def test_near_pairs_go_out_in_batches(spark, monkeypatch):
     assert all(t.num_rows <= 100 for t in found) and len(found) > 1 and len(got) == len(want) and set(got) == want
     for name in ("udtf_near_pairs", "udtf_tree_nodes"):
         assert "ArrowEvalPythonUDTF" in registry.ALL[name][0](spark, TINY)._jdf.queryExecution().toString()
+
+
+def test_tree_costs_ask_points_that_lie_together(spark, monkeypatch):
+    rng = np.random.default_rng(0)
+    x = rng.random((3000, 2))
+    p = spark.createDataFrame([(k, v) for k, v in enumerate(x.tolist())], "pid long, vec array<double>")
+    entered = []
+    query = CoverTree.query
+
+    def counted(tree, q, eps, bound=None):
+        entered.append(np.ptp(q, axis=0).prod())
+        return query(tree, q, eps, bound)
+
+    tree = CoverTree(x, m := metric("l2"), leaf_size=1)
+    order, last = tree.numbered()
+    assert sorted(order.tolist()) == list(range(3000)) and last[0] == 2999
+    m.evaluations = 0
+    for at in range(0, 3000, 500):
+        counted(tree, x[order[at : at + 500]], 0.01)
+    asked, m.evaluations = m.evaluations, 0
+    assert np.mean(entered) < 0.7  # in order of their ids each strip spans the whole square
+    tree.query(x, 0.01)
+    assert definitions.tree_stats(p, 0.01, "l2", leaf_size=1).first().query_distances == asked == m.evaluations
+    assert CoverTree(x[:0], m).numbered()[0].tolist() == []
+
+
+def test_tree_costs_are_one_job_of_many_trees(spark, monkeypatch):
+    jobs, stats = [], definitions.tree_stats
+    monkeypatch.setattr(experiments.definitions, "tree_stats", lambda *a, **kw: (jobs.append(a[1]), stats(*a, **kw))[1])
+    first = type(spark.range(1)).first
+    monkeypatch.setattr(type(spark.range(1)), "first", lambda df: pytest.fail("a tree of its own") if "query_distances" in df.columns else first(df))
+    rows = registry.ALL["experiment_tree_costs"][0](spark, TINY).collect()
+    assert len(jobs) == 15 and len(rows) == 45
+    assert {r.dataset for r in rows} == {"e2", "e4", "e8", "e64", "p2"} and all(0 < r.value < 3 for r in rows)
