@@ -8,7 +8,7 @@ from epsgraph import registry, workloads
 from epsgraph.functions import tables
 from epsgraph.functions.metrics import metric
 from epsgraph.functions.trees import CoverTree
-from epsgraph.operators import definitions
+from epsgraph.operators import definitions, points
 from epsgraph.plans import experiments
 from tests.conftest import TINY
 
@@ -70,3 +70,18 @@ def test_tree_costs_are_one_job_of_many_trees(spark, monkeypatch):
     rows = registry.ALL["experiment_tree_costs"][0](spark, TINY).collect()
     assert len(jobs) == 15 and len(rows) == 45
     assert {r.dataset for r in rows} == {"e2", "e4", "e8", "e64", "p2"} and all(0 < r.value < 3 for r in rows)
+
+
+@pytest.mark.parametrize("most", [1, 1 << 18])
+def test_members_do_not_travel_with_edges(spark, monkeypatch, most):
+    monkeypatch.setattr(points, "MOST_MEMBERS", most)
+    members = {5: [5, 105], 1: [1, 101, 201], 7: [7], 9: [9, 12]}
+    groups = spark.createDataFrame([(r, [0.0], m) for r, m in members.items()], "rep long, vec array<double>, members array<long>")
+    edges = [(5, 1, 0.5), (1, 7, 0.25), (9, 5, 0.75), (7, 9, 1.0)]
+    found = points.expand(spark.createDataFrame(edges, points.EDGE), groups)
+    want = {(min(a, b), max(a, b), d) for s, t, d in edges for a in members[s] for b in members[t]}
+    want |= {(min(a, b), max(a, b), 0.0) for m in members.values() for a in m for b in m if a != b}
+    rows = [tuple(r) for r in found.collect()]
+    assert len(rows) == len(want) and set(rows) == want
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+    assert points.expand(spark.createDataFrame([], points.EDGE), groups.limit(0)).count() == 0
