@@ -13,7 +13,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.metrics import MOST_CELLS, Metric, resolve
+from ..functions.metrics import MOST_CELLS, Metric, resolve, slack
+from ..functions.trees import CoverTree
 from .components import checkpoint_dir
 from .downstream import inflated
 from .landmark import assign_cells, centers, ghosts, with_candidates
@@ -24,6 +25,8 @@ HOME_ROWS, MOST_CENTRES, BIT_BYTES = 4096, 1024, 104 << 20
 FLOW_ROWS = 512
 #: Rows whose neighbours among all of a part are found at a time.
 STRIP = 128
+#: Of the flow matrix: bounds by groups of points only where more than the first lie around; so many radii are told apart.
+FEWEST_BOUNDED, RADII = 2048, 8
 
 
 class Neighbourhoods:
@@ -235,29 +238,64 @@ def _columns(found: list[tuple[int, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
 
 
 class _Flow(_Around):
-    """Columns at home of the square of the flow matrix, of each those entries that may be among the ``keep`` strongest."""
+    """Columns at home of the square of the flow matrix, of each those entries that may be among the ``keep`` strongest.
+
+    An entry is a sum over the points near both its ends. For a group of points (a leaf of a cover tree) the sum over all that lie within eps
+    and the leaf's radius of its centre bounds them from above, so most groups are left without being measured: those below the ``keep``-th
+    of the exact entries of the best groups."""
 
     def __init__(self, m: Metric, eps: float, home: pa.Table, inflation: float, keep: int):
         super().__init__(m, eps, home)
         self.inflation, self.keep = inflation, keep
 
+    def groups(self, x: np.ndarray) -> list[tuple[float, np.ndarray, list[np.ndarray]]]:
+        """(radius, centres, members) of leaves, a few radii for all; none where there are few points."""
+        if len(x) <= FEWEST_BOUNDED:
+            return []
+        tree = CoverTree(x, self.m, leaf_size=16)
+        leaves = sorted((n for n, own in enumerate(tree.members) if own is not None), key=lambda n: tree.radius[n])
+        parts = [part.tolist() for part in np.array_split(np.array(leaves), RADII) if len(part)]
+        return [(tree.radius[part[-1]], x[[tree.centre[n] for n in part]], [tree.members[n] for n in part]) for part in parts]
+
     def result(self) -> Iterator[pa.RecordBatch]:
         t, pid, x = self.universe(self.m)
         value = t.column("value").to_numpy()
         where = np.argsort(pid)
         own = value[where[np.searchsorted(pid[where], self.pid)]]
-        wide = max(1, 2 * MOST_CELLS // len(pid))
+        groups = self.groups(x)
+        members = [g for _, _, each in groups for g in each]
+        size = np.array([len(g) for g in members], int)
+
+        def sums(near: np.ndarray, to: np.ndarray, eps: float) -> np.ndarray:
+            """Of each row and each point of ``to``, the values of the points near the row and within ``eps`` of the point."""
+            total, via = np.zeros((len(near), len(to))), np.flatnonzero(near.any(0))
+            wide = max(1, 2 * MOST_CELLS // max(1, len(to)))
+            for k in (via[c : c + wide] for c in range(0, len(via), wide)):
+                total += (near[:, k] * value[k]) @ self.m.near(x[k], to, eps).astype(float)
+            return total
+
         for lo in range(0, len(self.pid), STRIP):
             near = self.m.near(self.x[lo : lo + STRIP], x, self.eps)
-            via = np.flatnonzero(near.any(0))
-            total = np.zeros(near.shape)
-            for k in (via[c : c + wide] for c in range(0, len(via), wide)):
-                total += (near[:, k] * value[k]) @ self.m.near(x[k], x, self.eps).astype(float)
-            total *= own[lo : lo + STRIP, None]
+            scale = own[lo : lo + STRIP, None]
+            if groups:
+                bound = np.hstack([sums(near, c, float(slack(self.eps + r))) for r, c, _ in groups]) * scale * (1 + 1e-9)
+                order = np.argsort(-bound, axis=1)
+                before = np.cumsum(size[order], axis=1) - size[order]
+                best = np.zeros(len(members), bool)
+                best[order[before < self.keep]] = True
+                at = np.concatenate([members[g] for g in np.flatnonzero(best)])
+                total = sums(near, x[at], self.eps) * scale
+                least = np.partition(total, -self.keep, axis=1)[:, -self.keep, None] if len(at) >= self.keep else np.zeros_like(scale)
+                rest = np.flatnonzero(((bound > 0) & (bound**self.inflation >= least**self.inflation * (1 - 1e-9) - 4e-12)).any(0) & ~best)
+                if len(rest):
+                    more = np.concatenate([members[g] for g in rest])
+                    at, total = np.concatenate([at, more]), np.hstack([total, sums(near, x[more], self.eps) * scale])
+            else:
+                at, total = np.arange(len(x)), sums(near, x, self.eps) * scale
             found = []
             for i, row in zip(self.pid[lo : lo + STRIP], total):
                 some = _strong(row**self.inflation, self.keep)
-                found.append((i, pid[some], row[some]))
+                found.append((i, pid[at[some]], row[some]))
             yield _columns(found)
 
 

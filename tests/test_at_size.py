@@ -8,7 +8,7 @@ from epsgraph import registry, workloads
 from epsgraph.functions import tables
 from epsgraph.functions.metrics import metric
 from epsgraph.functions.trees import CoverTree
-from epsgraph.operators import definitions, points
+from epsgraph.operators import definitions, implicit, points
 from epsgraph.plans import experiments
 from tests.conftest import TINY
 
@@ -85,3 +85,23 @@ def test_members_do_not_travel_with_edges(spark, monkeypatch, most):
     assert len(rows) == len(want) and set(rows) == want
     assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
     assert points.expand(spark.createDataFrame([], points.EDGE), groups.limit(0)).count() == 0
+
+
+def test_flow_entries_are_bounded_by_groups_of_points(monkeypatch):
+    rng = np.random.default_rng(0)
+    x = rng.random((3000, 2))
+    x[100:110] = x[100]
+    pid = rng.permutation(3000) * 3
+    value = 1 / (1 + rng.random(3000))
+    home = np.flatnonzero(((x - 0.5) ** 2).sum(1) < 0.01)
+
+    def run(fewest):
+        monkeypatch.setattr(implicit, "FEWEST_BOUNDED", fewest)
+        m = metric("l2")
+        f = implicit._Flow(m, 0.15, pa.table({"pid": pid[home], "vec": x[home].tolist()}), 2.0, 20)
+        f.add(pa.record_batch({"pid": pid, "vec": x.tolist(), "value": value}))
+        return {(r["src"], r["dst"]): r["value"] for b in f.result() for r in b.to_pylist()}, m.evaluations
+
+    (plain, all_), (bounded, fewer) = run(10**9), run(0)
+    assert plain.keys() == bounded.keys() and len(plain) >= 20 * len(home) and fewer < 0.7 * all_
+    assert all(abs(plain[k] - v) < 1e-12 for k, v in bounded.items())
